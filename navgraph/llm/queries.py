@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: Query name and the module that has it.
 WHERE = {
+    "op6_warc_transactions": "warc",
     "op7_secret_scans": "secrets",
     "op9_benchmark_decontamination": "decontaminate",
     "op10_mixing_sources": "mixing",
