@@ -1,0 +1,143 @@
+"""Hash values of all documents, gathered in buckets by their leading bits.
+
+Map tasks send, per bucket, one binary value holding many sorted hashes; so the exchange moves a few bytes a hash, a frequent
+hash counts once per flush, and a bucket's group is a share of all hashes whatever the documents look like.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+import pyarrow as pa
+
+#: Buckets, and hashes that a map task holds before it sends them.
+BUCKET_BITS = 10
+BUCKETS = 1 << BUCKET_BITS
+FLUSH = 3_000_000
+
+
+def bucket_of(hashes: np.ndarray) -> np.ndarray:
+    return (hashes >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)
+
+
+def cuts(sorted_hashes: np.ndarray) -> np.ndarray:
+    """Where each bucket begins in ascending hashes, and the end."""
+    edges = np.arange(1, BUCKETS, dtype=np.uint64) << np.uint64(64 - BUCKET_BITS)
+    return np.concatenate(([0], np.searchsorted(sorted_hashes, edges), [len(sorted_hashes)]))
+
+
+def counted(hashes: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct hashes, ascending, and how often each occurs."""
+    if counts is None:
+        hashes = np.sort(hashes)
+        first = np.flatnonzero(np.concatenate(([True], hashes[1:] != hashes[:-1]))) if len(hashes) else np.zeros(0, np.int64)
+        return hashes[first], np.diff(np.append(first, len(hashes)))
+    order = np.argsort(hashes, kind="stable")
+    hashes, counts = hashes[order], counts[order]
+    first = np.flatnonzero(np.concatenate(([True], hashes[1:] != hashes[:-1]))) if len(hashes) else np.zeros(0, np.int64)
+    return hashes[first], np.add.reduceat(counts, first) if len(first) else counts
+
+
+def pack(hashes: np.ndarray, counts: np.ndarray, short: bool = False) -> bytes:
+    """Counts of one take no room. short: 40 bits below the bucket's are kept instead of all 64."""
+    once = counts == 1
+    h = np.concatenate((hashes[once], hashes[~once]))
+    head = np.array([once.sum(), len(h)], np.uint32).tobytes()
+    if short:
+        h = h >> np.uint64(24 - BUCKET_BITS)
+        body = (h & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes() + (h >> np.uint64(32)).astype(np.uint8).tobytes()
+    else:
+        body = h.tobytes()
+    return head + body + counts[~once].astype(np.uint32).tobytes()
+
+
+def unpack(blob: bytes, bucket: int, short: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    once, n = (int(x) for x in np.frombuffer(blob, np.uint32, 2))
+    if short:
+        h = np.frombuffer(blob, np.uint32, n, 8).astype(np.uint64) | np.frombuffer(blob, np.uint8, n, 8 + 4 * n).astype(np.uint64) << np.uint64(32)
+        h = h << np.uint64(24 - BUCKET_BITS) | np.uint64(bucket) << np.uint64(64 - BUCKET_BITS)
+        at = 8 + 5 * n
+    else:
+        h, at = np.frombuffer(blob, np.uint64, n, 8), 8 + 8 * n
+    counts = np.ones(n, np.int64)
+    counts[once:] = np.frombuffer(blob, np.uint32, n - once, at)
+    return h, counts
+
+
+def merged(blobs: list[bytes], bucket: int, short: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    parts = [unpack(b, bucket, short) for b in blobs if b is not None]
+    if not parts:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    return counted(np.concatenate([h for h, _ in parts]), np.concatenate([c for _, c in parts]))
+
+
+class Gather:
+    """Collects hash arrays in a map task and gives bucket rows of (bucket, kind, blob)."""
+
+    def __init__(self, short: tuple[bool, ...], flush: int = FLUSH):
+        self.short, self.flush_at = short, flush
+        self.parts: list[list[np.ndarray]] = [[] for _ in short]
+        self.held = 0
+
+    def add(self, kind: int, hashes: np.ndarray) -> None:
+        self.parts[kind].append(hashes)
+        self.held += len(hashes)
+
+    def full(self) -> bool:
+        return self.held >= self.flush_at
+
+    def flush(self) -> pa.RecordBatch:
+        buckets, kinds, blobs = [], [], []
+        for kind, parts in enumerate(self.parts):
+            if parts:
+                h, c = counted(np.concatenate(parts))
+                at = cuts(h)
+                for b in np.flatnonzero(np.diff(at)):
+                    buckets.append(int(b))
+                    kinds.append(kind)
+                    blobs.append(pack(h[at[b] : at[b + 1]], c[at[b] : at[b + 1]], self.short[kind]))
+        self.parts, self.held = [[] for _ in self.short], 0
+        return pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array(kinds, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "kind", "blob"])
+
+
+CENSUS = "bucket int, kind int, blob binary"
+
+
+class Bitmap:
+    """Bits by hash, in one segment per bucket. Every hash sets or asks `ways` bits of its bucket's segment."""
+
+    def __init__(self, bits: int, ways: int, data: np.ndarray | None = None):
+        self.bits, self.ways, self.segment = bits, ways, bits // BUCKETS
+        self.data = data
+
+    def places(self, hashes: np.ndarray, salt: int) -> list[np.ndarray]:
+        from navgraph.llm.textscan import mix
+
+        x = mix(hashes ^ np.uint64((salt * 0x9E3779B97F4A7C15 + 0x5851F42D4C957F2D) & 0xFFFFFFFFFFFFFFFF))
+        mask = np.uint64(self.segment - 1)
+        return [(x >> np.uint64(21 * i)) & mask for i in range(self.ways)]
+
+    def make(self, entries: list[tuple[np.ndarray, int]]) -> bytes:
+        """One bucket's segment from (hashes, salt)."""
+        own = np.zeros(self.segment // 8, np.uint8)
+        for hashes, salt in entries:
+            for p in self.places(hashes, salt):
+                np.bitwise_or.at(own, (p >> np.uint64(3)).astype(np.int64), (np.uint8(1) << (p & np.uint64(7)).astype(np.uint8)))
+        return own.tobytes()
+
+    def has(self, hashes: np.ndarray, salt: int) -> np.ndarray:
+        base = bucket_of(hashes) * self.segment
+        found = np.ones(len(hashes), bool)
+        for p in self.places(hashes, salt):
+            at = base + p.astype(np.int64)
+            found &= (self.data[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+        return found
+
+
+def assembled(rows, bits: int) -> np.ndarray:
+    """All segments of one bitmap from collected (bucket, segment) rows; absent buckets are empty."""
+    size = bits // BUCKETS // 8
+    out = np.zeros(bits // 8, np.uint8)
+    for bucket, segment in rows:
+        if segment is not None:
+            out[bucket * size : (bucket + 1) * size] = np.frombuffer(segment, np.uint8)
+    return out

@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: Query name and the module that has it.
 WHERE = {
+    "op5_lm_scoring": "ngram_lm",
     "op3_language_id": "langid",
     "op6_warc_transactions": "warc",
     "op7_secret_scans": "secrets",
