@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: Query name and the module that has it.
 WHERE = {
+    "op2_ngram_jaccard_join": "jaccard",
     "op8_substring_dedup": "substrings",
     "op5_lm_scoring": "ngram_lm",
     "op3_language_id": "langid",
