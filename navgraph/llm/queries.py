@@ -6,6 +6,8 @@ from importlib import import_module
 
 #: Query name and the module that has it.
 WHERE = {
+    "op1_toxicity": "toxicity",
+    "op4_exact_topk": "topk",
     "op2_ngram_jaccard_join": "jaccard",
     "op8_substring_dedup": "substrings",
     "op5_lm_scoring": "ngram_lm",
