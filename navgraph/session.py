@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import SparkSession
 
@@ -33,3 +35,18 @@ def written(df, name: str):
     path = scratch_path(spark, name)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def ship(spark: SparkSession) -> None:
+    """Sends this package to the Python workers, once per Spark context, so that they needn't have it installed."""
+    sc = spark.sparkContext
+    if getattr(sc, "_navgraph_shipped", False):
+        return
+    root = Path(__file__).resolve().parent
+    if root.is_dir():
+        target = Path(tempfile.mkdtemp(prefix="navgraph-")) / "navgraph.zip"
+        with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as z:
+            for p in sorted(root.rglob("*.py")):
+                z.write(p, f"navgraph/{p.relative_to(root)}")
+        sc.addPyFile(str(target))
+    sc._navgraph_shipped = True
