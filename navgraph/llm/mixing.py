@@ -42,7 +42,8 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float =
         .withColumn("open", F.sum("weight").over(line.rowsBetween(Window.currentRow, Window.unboundedFollowing)))
         .withColumn("level", (F.col("budget") - F.col("used")) / F.col("open"))
     )
-    level = F.min(F.when(F.col("level") <= F.col("full"), F.col("level"))).over(everything)
+    # From the first source that isn't filled on, levels only fall; so that of the first one is the largest.
+    level = F.max(F.when(F.col("level") <= F.col("full"), F.col("level"))).over(everything)
     return run.withColumn("common", level).select("source", "source_size", "weight", F.least(F.col("limit"), F.coalesce(F.col("common") * F.col("weight"), F.col("limit"))).alias("target"))
 
 
@@ -117,7 +118,7 @@ WITH RECURSIVE s AS (
 ), r AS (
   SELECT *, (budget - coalesce(sum(cap) OVER (ORDER BY cap / weight, n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) / sum(weight) OVER (ORDER BY cap / weight, n ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS lvl FROM w
 ), g AS (
-  SELECT source, source_size, least(cap, coalesce((SELECT min(lvl) FROM r WHERE lvl <= cap / weight) * weight, cap))::DOUBLE AS target FROM r
+  SELECT source, source_size, least(cap, coalesce((SELECT max(lvl) FROM r WHERE lvl <= cap / weight) * weight, cap))::DOUBLE AS target FROM r
 ), c AS (
   SELECT s.doc_id, s.size, g.source_size, g.target, CASE WHEN g.source_size > 0 THEN floor(g.target / g.source_size) ELSE 0 END::BIGINT AS copies,
          sum(s.size) OVER (PARTITION BY s.source ORDER BY s.place ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before
