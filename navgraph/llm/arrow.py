@@ -8,6 +8,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql.types import StructField, StructType, _parse_datatype_string
 
+from navgraph.session import ship
+
 
 def fields(ddl: str) -> list[StructField]:
     return _parse_datatype_string(ddl).fields
@@ -18,6 +20,7 @@ def add_columns(df: DataFrame, ddl: str, make: Callable[[], Callable[[pa.RecordB
 
     make() runs once in each task and returns a function from a batch to the new columns, as lists or Arrow arrays.
     """
+    ship(df.sparkSession)
     new = fields(ddl)
     names = {f.name for f in new}
     keep = [f for f in df.schema.fields if f.name not in names]

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, assembled, bucket_of, merged
 from navgraph.llm.components import components
 from navgraph.llm.textscan import GRAPHIC, LOWER, Words, words
-from navgraph.session import written
+from navgraph.session import ship, written
 
 SHINGLE, PERCENT = 5, 75
 BITS, WAYS = 1 << 28, 2
@@ -183,6 +183,7 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
     itself (null) as component. An empty table gives an empty result.
     """
     spark = docs.sparkSession
+    ship(spark)
     sent = spark.sparkContext.broadcast(classes(docs, size))
 
     def measure(batches):

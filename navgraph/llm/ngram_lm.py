@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, assembled, bucket_of, merged
 from navgraph.llm.langid import held_out
 from navgraph.llm.textscan import GRAPHIC, LOWER, Words, mix, words
-from navgraph.session import written
+from navgraph.session import ship, written
 
 STEP, WAYS, MAX_BITS, MAX_FREQUENT = math.sqrt(2), 3, 1 << 29, 1 << 22
 #: Share of set bits that the filter may reach, training documents that the mixture weights are fitted on, classes of c(v).
@@ -117,7 +117,7 @@ class Model:
 
 def learn(training: DataFrame) -> Model:
     """Counts all words and pairs of `training` (text) and builds the filter."""
-    spark = training.sparkSession
+    ship(training.sparkSession)
 
     def count(batches):
         held = Gather((False, True))

@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, assembled, bucket_of, merged
 from navgraph.llm.textscan import GRAPHIC, Words, mix, words
+from navgraph.session import ship
 
 WINDOW, GRAM = 20, 8
 BITS, WAYS = 1 << 27, 2
@@ -187,6 +188,7 @@ def dedup(docs: DataFrame, with_text: bool = True) -> DataFrame:
     fewer than WINDOW words stay whole. Rows are numbered by their place in the scan, so `docs` should be read from a table.
     """
     spark = docs.sparkSession
+    ship(spark)
     names = {"n_words", "n_removed", "kept_sha256", "kept"}
     keep = [c for c in docs.columns if c not in names]
     numbered = docs.select(*keep, F.monotonically_increasing_id().alias("_row"))

@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from navgraph.session import ship
+
 #: Rows of a block of candidates and of queries; points of a leaf; children of a node.
 CANDIDATES, QUERIES, LEAF, CHILDREN = 8192, 4096, 48, 24
 NONE = np.iinfo(np.int64).min
@@ -120,6 +122,7 @@ def top_k(vectors: DataFrame, is_query, k: int = 5, id_column: str = "vec_id", v
     Vectors that are null, empty, or hold a null or non-finite component take no part; nor do rows with a null id. Only
     vectors of one length are compared. Of rows that share an id, the one with the greatest vector counts.
     """
+    ship(vectors.sparkSession)
     x = F.col(vector_column)
     fine = x.isNotNull() & (F.size(x) > 0) & F.forall(x, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf")).cast("double")))
     quantised = F.transform(x, lambda v: F.floor(v.cast("double") * F.lit(scale)).cast("double"))

@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from navgraph.llm.arrow import add_columns
 from navgraph.llm.langid import held_out
 from navgraph.llm.textscan import _BASE, _TABLE, LOWER, Words, _spans, mix, words
+from navgraph.session import ship
 
 LETTERS = np.zeros(256, bool)
 LETTERS[[*range(0x61, 0x7B), *range(0x80, 0x100)]] = True
@@ -179,6 +180,7 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> Neighbour
     """docs: doc_id, text (all of them, for idf). labels: doc_id, toxic (only those to learn from). Of the labels about `most`
     are used, chosen by a hash; repeated texts among them count once."""
     spark = docs.sparkSession
+    ship(spark)
     labels = labels.select("doc_id", "toxic").filter("toxic IS NOT NULL AND doc_id IS NOT NULL").dropDuplicates(["doc_id"])
     n = labels.count()
     some = labels.filter(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(1 << 30)) < F.lit(int(min(1.0, most / max(n, 1)) * (1 << 30)))).limit(2 * most)

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navgraph.session import scratch_path, written
+from navgraph.session import scratch_path, ship, written
 
 #: Payloads of at least so many bytes are kept once; equal ones refer to the first.
 LEAST_SHARED = 100
@@ -93,6 +93,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
+    ship(spark)
     schema = _parse_datatype_string(SCHEMA)
     ids = re.compile(r"<([^>]*)>")
 
