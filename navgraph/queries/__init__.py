@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("methods",)
+MODULES = ("methods", "relational")
 
 
 def queries() -> dict:
