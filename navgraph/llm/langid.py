@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -16,13 +17,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from navgraph.llm.arrow import add_columns
-from navgraph.llm.textscan import GRAPHIC, buffers, words
+from navgraph.llm.textscan import GRAPHIC, buffers, mix, words
+from navgraph.session import ship
 
-SEGMENT, HIDDEN, EMBED = 24, 24, 12
+SEGMENT, HIDDEN, EMBED = 24, 16, 8
 #: Expected labelled documents per language, and segments per language, that the network learns from.
 TRAIN_DOCS, TRAIN_SEGMENTS = 300, 5_000
 EPOCHS, BATCH, RATE = 4, 256, 0.01
 UNKNOWN = "und"
+CACHE = 400_000
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -137,9 +140,30 @@ class Network:
         return [grad_embed, grad_out, p.sum((0, 1)), *own]
 
 
-def segments(column) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
-    """For each step of a text column: its first document, the document of each segment, segment bytes (rows of SEGMENT,
-    256 after the end) and lengths. Segments hold every word byte; a word of more than SEGMENT - 1 bytes is several."""
+@dataclass
+class Segments:
+    """Pieces of words: document (counted from `first`), key (equal pieces have equal keys), start and bytes taken of data."""
+
+    first: int
+    data: np.ndarray
+    doc: np.ndarray
+    keys: np.ndarray
+    starts: np.ndarray
+    sizes: np.ndarray
+    later: np.ndarray
+
+    def matrix(self, which: np.ndarray) -> np.ndarray:
+        """Bytes of pieces, rows of SEGMENT, 256 after the end; the first is a blank, or a hyphen inside a word."""
+        out = np.full((len(which), SEGMENT), 256, np.int16)
+        out[:, 0] = np.where(self.later[which], 0x2D, 0x20)
+        if len(which):
+            at = self.starts[which][:, None] + np.arange(SEGMENT - 1)
+            out[:, 1:] = np.where(np.arange(SEGMENT - 1) < self.sizes[which][:, None], self.data[np.minimum(at, len(self.data) - 1)], 256)
+        return out
+
+
+def segments(column) -> Iterator[Segments]:
+    """All word bytes of a text column; a word of more than SEGMENT - 1 bytes is several pieces."""
     for w in words(column, GRAPHIC):
         length = w.ends - w.starts
         pieces = -(-length // (SEGMENT - 1))
@@ -147,13 +171,7 @@ def segments(column) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]
         part = np.arange(len(which)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
         start = w.starts[which] + part * (SEGMENT - 1)
         size = np.minimum(w.ends[which] - start, SEGMENT - 1)
-        bytes_ = np.full((len(which), SEGMENT), 256, np.int16)
-        bytes_[:, 0] = np.where(part == 0, 0x20, 0x2D)
-        if len(which):
-            at = start[:, None] + np.arange(SEGMENT - 1)
-            inside = np.arange(SEGMENT - 1) < size[:, None]
-            bytes_[:, 1:] = np.where(inside, w.data[np.minimum(at, len(w.data) - 1)], 256)
-        yield w.first, np.repeat(np.arange(len(w.offsets) - 1), np.bincount(w.owner()[which], minlength=len(w.offsets) - 1)) if len(which) else np.zeros(0, int), bytes_, size + 1
+        yield Segments(w.first, w.data, w.owner()[which], mix(w.hashes[which] + part.astype(np.uint64)), start, size, part > 0)
 
 
 def train(labelled: DataFrame, docs_each: int = TRAIN_DOCS, segments_each: int = TRAIN_SEGMENTS, seed: int = 7) -> Network | None:
@@ -173,7 +191,7 @@ def train(labelled: DataFrame, docs_each: int = TRAIN_DOCS, segments_each: int =
     xs, ys = [], []
     for k, label in enumerate(labels):
         texts = sorted(r["text"] for r in rows if r["lang"] == label)
-        found = [b for _, _, b, _ in segments(pa.array(texts, pa.string()))] if texts else []
+        found = [x.matrix(np.arange(len(x.doc))) for x in segments(pa.array(texts, pa.string()))] if texts else []
         if found and len(b := np.concatenate(found)):
             b = b[rng.permutation(len(b))[:segments_each]]
             xs.append(b)
@@ -192,10 +210,37 @@ def identify(docs: DataFrame, network: Network | None) -> DataFrame:
 
     A null text or one without any letter is "und" with score 0, as is every text where nothing was learned.
     """
+    ship(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(network)
 
     def make():
         net = sent.value
+        #: What the network said of pieces seen before in this task, by ascending key; emptied when it holds CACHE pieces.
+        cache = [np.zeros(0, np.uint64), np.zeros((0, len(net.labels) if net else 0), np.float32), np.zeros((0, len(net.labels) if net else 0), np.int16)]
+
+        def labelled(x: Segments) -> tuple[np.ndarray, np.ndarray]:
+            """Of every piece: sums of log-probabilities, and bytes won, for each label."""
+            keys, where, back = np.unique(x.keys, return_index=True, return_inverse=True)
+            if len(cache[0]) > CACHE:
+                cache[:] = [c[:0] for c in cache]
+            new = np.ones(len(keys), bool)
+            if len(cache[0]):
+                new = cache[0][np.minimum(np.searchsorted(cache[0], keys), len(cache[0]) - 1)] != keys
+            rows = x.matrix(where[new])
+            sums, wins = np.empty((len(rows), len(net.labels)), np.float32), np.empty((len(rows), len(net.labels)), np.int16)
+            length = (rows < 256).sum(1)
+            order = np.argsort(length, kind="stable")
+            for i in range(0, len(rows), 2048):
+                take = order[i : i + 2048]
+                y = np.ascontiguousarray(rows[take, : length[take[-1]]].T)
+                lp, there = net.log_probabilities(y), (y < 256)[:, :, None]
+                sums[take] = (lp * there).sum(0)
+                wins[take] = ((lp == lp.max(2, keepdims=True)) & there).sum(0)
+            all_keys = np.concatenate((cache[0], keys[new]))
+            order = np.argsort(all_keys)
+            cache[:] = [all_keys[order], np.concatenate((cache[1], sums))[order], np.concatenate((cache[2], wins))[order]]
+            at = np.searchsorted(cache[0], keys)[back]
+            return cache[1][at], cache[2][at]
 
         def work(batch):
             column = batch.column(batch.schema.get_field_index("text"))
@@ -203,25 +248,13 @@ def identify(docs: DataFrame, network: Network | None) -> DataFrame:
             if not k:
                 return {"lang_pred": [UNKNOWN] * n, "score": [0.0] * n, "parts": [[]] * n}
             total, votes, size = np.zeros((n, k)), np.zeros((n, k), np.int64), np.zeros(n, np.int64)
-            for first, doc, x, length in segments(column):
-                if not len(doc):
-                    continue
-                rows, back = np.unique(np.ascontiguousarray(x).view(f"V{2 * SEGMENT}").ravel(), return_inverse=True)
-                rows = rows.view(np.int16).reshape(-1, SEGMENT)
-                sums, wins = np.empty((len(rows), k), np.float32), np.empty((len(rows), k), np.int64)
-                order = np.argsort((rows < 256).sum(1), kind="stable")
-                for i in range(0, len(rows), 1024):
-                    take = order[i : i + 1024]
-                    t = int((rows[take[-1]] < 256).sum())
-                    y = np.ascontiguousarray(rows[take, :t].T)
-                    lp, there = net.log_probabilities(y), (y < 256)[:, :, None]
-                    sums[take] = (lp * there).sum(0)
-                    wins[take] = ((lp == lp.max(2, keepdims=True)) & there).sum(0)
-                doc = doc + first
+            for x in segments(column):
+                sums, wins = labelled(x)
+                doc = x.doc + x.first
                 for j in range(k):
-                    total[:, j] += np.bincount(doc, sums[back, j], n)
-                    votes[:, j] += np.bincount(doc, wins[back, j], n).astype(np.int64)
-                size += np.bincount(doc, length, n).astype(np.int64)
+                    total[:, j] += np.bincount(doc, sums[:, j], n)
+                    votes[:, j] += np.bincount(doc, wins[:, j], n).astype(np.int64)
+                size += np.bincount(doc, x.sizes + 1, n).astype(np.int64)
             mean = total / np.maximum(size, 1)[:, None]
             mean = np.exp(mean - mean.max(1, keepdims=True))
             mean /= mean.sum(1, keepdims=True)
