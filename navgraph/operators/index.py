@@ -11,12 +11,10 @@ from dataclasses import dataclass, field
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
-from pyspark.sql.pandas.types import to_arrow_schema
-from pyspark.sql.types import _parse_datatype_string
 
 from navgraph.functions.vectors import is_valid
 from navgraph.operators.kernel import GraphKernel
-from navgraph.schema import HITS, INDEX
+from navgraph.schema import HITS, INDEX, arrow_schema
 from navgraph.session import ship, written
 
 #: Points that one shard should hold at most; the number of shards follows from it.
@@ -47,7 +45,7 @@ def validated(points: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def _table(rows: list[dict], ddl: str) -> pa.Table:
-    return pa.Table.from_pylist(rows, to_arrow_schema(_parse_datatype_string(ddl)))
+    return pa.Table.from_pylist(rows, arrow_schema(ddl))
 
 
 def build(points: DataFrame, params: GraphParams = GraphParams(), shards: int = 1, role: str = "main") -> DataFrame:
@@ -138,7 +136,7 @@ def compact(index: DataFrame, strategy: str = "mutual_gamma") -> DataFrame:
 def search_hits(index: DataFrame, queries: DataFrame, k: int, ef: int, source: str = "main") -> DataFrame:
     """Every shard's k nearest for every query, not yet merged."""
     ship(index.sparkSession)
-    shards = index.select("shard").distinct()
+    shards = index.select(F.col("shard").alias("at")).distinct()
     asked = queries.select("query_id", "vec").crossJoin(F.broadcast(shards))
 
     def find(key, state, batch):
@@ -150,7 +148,7 @@ def search_hits(index: DataFrame, queries: DataFrame, k: int, ef: int, source: s
                 out += [{"query_id": r["query_id"], "rank": i + 1, "label": g.label[s], "version": g.version[s], "dist": d, "source": source} for i, (d, s) in enumerate(g.knn(r["vec"], k, ef))]
         return _table(out, HITS)
 
-    return index.groupBy("shard").cogroup(asked.groupBy("shard")).applyInArrow(find, HITS)
+    return index.groupBy("shard").cogroup(asked.groupBy("at")).applyInArrow(find, HITS)
 
 
 def merged(hits: DataFrame, k: int) -> DataFrame:

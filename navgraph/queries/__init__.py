@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("methods", "relational")
+MODULES = ("methods", "relational", "indexed")
 
 
 def queries() -> dict:
