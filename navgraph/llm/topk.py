@@ -15,15 +15,16 @@ from pyspark.sql import functions as F
 
 from navgraph.session import ship
 
-#: Rows of a block of candidates and of queries; points of a leaf; children of a node.
-CANDIDATES, QUERIES, LEAF, CHILDREN = 8192, 4096, 48, 24
+#: Rows of a block of candidates and of queries; candidates and queries of a leaf; children of a node.
+CANDIDATES, QUERIES, LEAF, ASKED, CHILDREN = 8192, 4096, 48, 12, 24
 NONE = np.iinfo(np.int64).min
 
 
 class CoverTree:
     """Nodes as arrays. Children's centres are picked farthest first, so they keep apart; every point goes to its nearest."""
 
-    def __init__(self, x: np.ndarray):
+    def __init__(self, x: np.ndarray, leaf: int = LEAF):
+        self.leaf = leaf
         self.x, self.norm = x, np.sqrt((x * x).sum(1))
         self.centre: list[int] = []
         self.radius: list[float] = []
@@ -42,7 +43,7 @@ class CoverTree:
         self.radius.append(float(d.max(initial=0.0)))
         self.children.append([])
         self.points.append(points)
-        if len(points) <= LEAF or self.radius[me] == 0:
+        if len(points) <= self.leaf or self.radius[me] == 0:
             return me
         least, owner, picked = d, np.zeros(len(points), np.int64), [centre]
         while len(picked) < CHILDREN and least.max() > self.radius[me] / 2:
@@ -81,7 +82,7 @@ class Best:
 
 def dual_search(queries: np.ndarray, query_ids: np.ndarray, points: np.ndarray, ids: np.ndarray, k: int) -> tuple[Best, int]:
     """The best of every query among points with another id, and the number of scores that were computed."""
-    q, p, best, work = CoverTree(queries), CoverTree(points), Best(len(queries), k), 0
+    q, p, best, work = CoverTree(queries, ASKED), CoverTree(points), Best(len(queries), k), 0
     if not len(queries) or not len(points):
         return best, work
     below: dict[int, np.ndarray] = {}
@@ -102,7 +103,7 @@ def dual_search(queries: np.ndarray, query_ids: np.ndarray, points: np.ndarray,
         own = all_below(a)
         if bound < best.worst(own):
             continue
-        if not p.children[b] and (not q.children[a] or len(own) <= LEAF):
+        if not p.children[b] and not q.children[a]:
             at = p.points[b]
             scores = np.rint(queries[own] @ points[at].T).astype(np.int64)
             work += scores.size
