@@ -184,14 +184,14 @@ def dedup(docs: DataFrame, with_text: bool = True) -> DataFrame:
 
     A word goes if it lies in a window of WINDOW words of its document whose words also start earlier: in a smaller doc_id, or
     before it in the same one. Windows are judged on the input. Needs doc_id (whole numbers; null comes before all) and
-    text (null has no words). Rows that share a doc_id and a text are the same document and share their fate. Texts of
-    fewer than WINDOW words stay whole. Rows are numbered by their place in the scan, so `docs` should be read from a table.
+    text (null has no words). Rows that share a doc_id and a text are the same document and share their fate (rows are told apart by a hash of both). Texts of
+    fewer than WINDOW words stay whole.
     """
     spark = docs.sparkSession
     ship(spark)
     names = {"n_words", "n_removed", "kept_sha256", "kept"}
     keep = [c for c in docs.columns if c not in names]
-    numbered = docs.select(*keep, F.monotonically_increasing_id().alias("_row"))
+    numbered = docs.select(*keep, F.xxhash64("doc_id", "text").alias("_row"))
     sent = spark.sparkContext.broadcast(recurring(docs))
     rows_schema = pa.schema([("bucket", pa.int32()), ("row", pa.int64()), ("starts", pa.binary()), ("passages", pa.binary())])
 
