@@ -96,7 +96,8 @@ def apply_log(index: DataFrame, log: DataFrame, strategy: str = "mutual_gamma",
     """The index after operations (seq, op, label, vec), in order of seq within a shard. op: delete, unmark, insert, upsert.
 
     insert reuses the slot that was marked first (or grows the graph where none is marked), repairing around it; a label
-    that is live already is upserted. marks_first: all deletions of the log go before its insertions.
+    that is live already is deleted first. A point's version is its operation's seq + 1 (0: from the build), so that what a
+    backup kept of an earlier one can be told apart. marks_first: all deletions of the log go before its insertions.
     """
     ship(index.sparkSession)
     ops = log.select("seq", "op", "label", "vec", shard_of(F.col("label"), shards).alias("shard"))
@@ -112,10 +113,9 @@ def apply_log(index: DataFrame, log: DataFrame, strategy: str = "mutual_gamma",
                 g.mark_deleted(r["label"])
             elif r["op"] == "unmark":
                 g.unmark(r["label"])
-            elif r["label"] in g.slot_of:
-                g.upsert(r["label"], r["vec"], strategy)
             else:
-                g.replace_update(r["label"], r["vec"], strategy)
+                g.mark_deleted(r["label"])
+                g.replace_update(r["label"], r["vec"], strategy, r["seq"] + 1)
         return _table(g.rows(rows[0]["role"] if rows else "main", shard), INDEX)
 
     return index.groupBy("shard").cogroup(ops.groupBy("shard")).applyInArrow(change, INDEX)
