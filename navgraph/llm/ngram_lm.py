@@ -20,12 +20,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, assembled, bucket_of, merged
+from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, bucket_of, merged
 from navgraph.llm.langid import held_out
 from navgraph.llm.textscan import GRAPHIC, LOWER, Words, mix, words
 from navgraph.session import ship, written
 
-STEP, WAYS, MAX_BITS, MAX_FREQUENT = math.sqrt(2), 3, 1 << 29, 1 << 22
+STEP, WAYS, MAX_BITS, MAX_FREQUENT = math.sqrt(2), 3, 1 << 28, 1 << 20
 #: Share of set bits that the filter may reach, training documents that the mixture weights are fitted on, classes of c(v).
 LOAD, TUNE_DOCS, CLASSES = 0.35, 1000, 12
 ADD = 0.1
@@ -163,10 +163,17 @@ def learn(training: DataFrame) -> Model:
                 often = c1 >= floor
                 yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([made]), pa.array([h1[often].tobytes()]), pa.array([c1[often].tobytes()])], names=["bucket", "segment", "often", "counts"])
 
-    rows = census.select("bucket", "words", "word_counts", "pairs", "pair_levels").mapInArrow(fill, "bucket int, segment binary, often binary, counts binary").collect()
-    bitmap = Bitmap(bits, WAYS, assembled([(r[0], r[1]) for r in rows], bits))
-    often = np.concatenate([np.frombuffer(r[2], np.uint64) for r in rows] or [np.zeros(0, np.uint64)])
-    counts = np.concatenate([np.frombuffer(r[3], np.int64) for r in rows] or [np.zeros(0, np.int64)])
+    size, data, often, counts = bits // BUCKETS // 8, np.zeros(bits // 8, np.uint8), [], []
+    filled = census.select("bucket", "words", "word_counts", "pairs", "pair_levels").mapInArrow(fill, "bucket int, segment binary, often binary, counts binary").toArrow()
+    for batch in filled.to_batches():
+        for b, segment, h, c in zip(*(batch.column(i) for i in range(4)), strict=True):
+            data[b.as_py() * size : (b.as_py() + 1) * size] = np.frombuffer(segment.as_buffer(), np.uint8)
+            often.append(np.frombuffer(h.as_py(), np.uint64))
+            counts.append(np.frombuffer(c.as_py(), np.int64))
+    del filled
+    bitmap = Bitmap(bits, WAYS, data)
+    often = np.concatenate([*often, np.zeros(0, np.uint64)])
+    counts = np.concatenate([*counts, np.zeros(0, np.int64)])
     if documents and END not in often:
         often, counts = np.append(often, END), np.append(counts, documents)
     order = np.argsort(often)
@@ -175,10 +182,12 @@ def learn(training: DataFrame) -> Model:
 
 def score(docs: DataFrame, train: str = "train") -> DataFrame:
     """Adds n_tokens, n_known, train_tokens, base_score and score to `docs`, which needs text and a boolean column `train`
-    that says which rows are learned from. All columns stay (those of the five names are replaced), all rows are scored.
+    that says which rows are learned from. All columns stay (those of the five names are replaced), all rows are scored;
+    they must be of types that Spark can hash.
 
     Null texts count as empty: one token, the end. With nothing to learn from, every token has the probability 1 / (V + 1)
-    for an empty V. Rows are told apart by their place in the scan, so `docs` should be read from a table.
+    for an empty V. Rows are told apart by a hash of all their columns; repeated rows share theirs, and their sums are divided by their
+    number.
     """
     names = ("n_tokens", "n_known", "train_tokens", "base_score", "score")
     keep = [c for c in docs.columns if c not in names]
@@ -228,6 +237,7 @@ def score(docs: DataFrame, train: str = "train") -> DataFrame:
 
     def meet(key, table):
         main = table.filter(pa.compute.is_valid(table.column("row"))).select(["row", "n_tokens", "n_known", "base", "score"])
+        main = main.append_column("rows", pa.array(np.ones(len(main), np.int64)))
         blobs = [b for b in table.column("blob").to_pylist() if b is not None]
         if not blobs:
             return main
@@ -238,17 +248,19 @@ def score(docs: DataFrame, train: str = "train") -> DataFrame:
         _, at = np.unique(h, return_inverse=True)
         c = np.bincount(at, train)[at]
         ids, own = np.unique(rows, return_inverse=True)
-        more = pa.table({"row": ids, "n_tokens": np.zeros(len(ids), np.int64), "n_known": np.bincount(own, c > 0).astype(np.int64), "base": np.bincount(own, np.log10(c + ADD)), "score": np.zeros(len(ids))})
+        more = pa.table({"row": ids, "n_tokens": np.zeros(len(ids), np.int64), "n_known": np.bincount(own, c > 0).astype(np.int64), "base": np.bincount(own, np.log10(c + ADD)), "score": np.zeros(len(ids)), "rows": np.zeros(len(ids), np.int64)})
         return pa.concat_tables([main.cast(more.schema), more])
 
     import pyarrow.compute  # noqa: F401
 
-    numbered = docs.select(*keep, F.monotonically_increasing_id().alias("_row"))
+    numbered = docs.select(*keep, F.xxhash64(*keep).alias("_row"))
     sums = (
         numbered.select("text", "_row", train).mapInArrow(measure, "bucket int, row long, n_tokens long, n_known long, base double, score double, blob binary")
-        .groupBy("bucket").applyInArrow(meet, "row long, n_tokens long, n_known long, base double, score double")
-        .groupBy("row").agg(F.sum("n_tokens").alias("n_tokens"), F.sum("n_known").alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.sum("base") - F.sum("n_tokens") * F.lit(log_all)).alias("base_score"), F.sum("score").alias("score"))
+        .groupBy("bucket").applyInArrow(meet, "row long, n_tokens long, n_known long, base double, score double, rows long")
+        .groupBy("row").agg(*(F.sum(x).alias(x) for x in ("n_tokens", "n_known", "base", "score", "rows")))
     )
+    each = lambda x: F.col(x) / F.col("rows")
+    sums = sums.select("row", each("n_tokens").cast("long").alias("n_tokens"), each("n_known").cast("long").alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (each("base") - each("n_tokens") * F.lit(log_all)).alias("base_score"), each("score").alias("score"))
     return numbered.join(sums, F.col("_row") == F.col("row")).select(*keep, *names)
 
 

@@ -24,7 +24,7 @@ LETTERS[[*range(0x61, 0x7B), *range(0x80, 0x100)]] = True
 #: Bytes of the beginnings that are terms of their own.
 STEMS = (4, 6)
 #: Bounds of what is learned from: labelled documents, terms.
-EXAMPLES, TERMS = 8000, 20_000
+EXAMPLES, TERMS = 4000, 20_000
 NEIGHBOURS, BLOCK, SHRINK, THRESHOLD = 15, 64, 0.05, 0.3
 
 
@@ -66,8 +66,8 @@ class Vocabulary:
 
 
 def choose(doc: np.ndarray, hashes: np.ndarray, toxic: np.ndarray) -> np.ndarray:
-    """Terms that most often stand in toxic examples, and more than chance explains; the most telling TERMS of them."""
-    doc, hashes, _ = counted(doc, hashes)
+    """Terms that most often stand in toxic examples, and more than chance explains; the most telling TERMS of them. doc and
+    hashes are distinct pairs."""
     uni, at = np.unique(hashes, return_inverse=True)
     n, n1 = len(toxic), int(toxic.sum())
     if not n1 or n1 == n:
@@ -189,12 +189,13 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> Neighbour
     for r in sorted(rows, key=lambda r: r["doc_id"]):
         seen.setdefault(r["text"] or "", (r["doc_id"], int(r["toxic"] == 1)))
     ids, toxic = np.array([v[0] for v in seen.values()], np.int64), np.array([v[1] for v in seen.values()], np.int64)
-    doc, hashes = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
+    parts = []
     for w in words(pa.array(list(seen), pa.string()), LETTERS, LOWER):
-        d, h = terms(w)
-        doc.append(d + w.first)
-        hashes.append(h)
-    doc, hashes = np.concatenate(doc), np.concatenate(hashes)
+        d, h, tf = counted(*terms(w))
+        parts.append(((d + w.first).astype(np.int32), h, tf.astype(np.int32)))
+    del rows, seen
+    doc, hashes, tf = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int32), np.zeros(0, np.uint64), np.zeros(0, np.int32))
+    del parts
     vocabulary = Vocabulary(choose(doc, hashes, toxic))
     sent = spark.sparkContext.broadcast(vocabulary)
 
@@ -210,7 +211,10 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> Neighbour
     sums = dict(docs.select("text").mapInArrow(frequencies, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect())
     total = sums.get(-1, 0)
     df = np.array([sums.get(t, 0) for t in range(len(vocabulary.hashes))], float)
-    doc, term, tf = counted(*vocabulary.find(doc, hashes))
+    known = np.isin(hashes, vocabulary.hashes)
+    doc, term, tf = doc[known].astype(np.int64), np.searchsorted(vocabulary.hashes, hashes[known]), tf[known].astype(np.int64)
+    order = np.lexsort((term, doc))
+    doc, term, tf = doc[order], term[order], tf[order]
     return Neighbours(vocabulary, np.log((1 + total) / (1 + df)) + 0.1, doc, term, tf, toxic, ids)
 
 

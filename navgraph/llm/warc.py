@@ -143,7 +143,9 @@ def assemble(found: DataFrame) -> DataFrame:
     captures = found.filter(F.col("type").isin("response", "revisit")).join(sides, F.col("record_id") == F.col("center"), "left")
     captures = captures.select("record_id", "type", "refers_to", "uri", "payload_bytes", "payload_digest", "intact", "request", "metadata", F.try_element_at("metadata.fields", F.lit("page-id")).cast("long").alias("page_id"))
     response = captures.filter("type = 'response'").dropDuplicates(["record_id"]).select(F.col("record_id").alias("first_id"), F.struct("page_id", "payload_bytes", "payload_digest").alias("first"))
-    joined = captures.join(response, (F.col("refers_to") == F.col("first_id")), "left")
+    # Responses refer to nothing; in the join they would all meet under null.
+    own = captures.filter("type = 'response'").withColumns({"first_id": F.lit(None).cast("string"), "first": F.lit(None).cast("struct<page_id:long,payload_bytes:long,payload_digest:string>")})
+    joined = captures.filter("type = 'revisit'").join(response, F.col("refers_to") == F.col("first_id"), "left").unionByName(own)
     return joined.select(
         "page_id", "record_id", F.col("type").alias("record_type"), "uri", "intact", "request", "metadata",
         F.coalesce("payload_bytes", "first.payload_bytes").alias("payload_bytes"), F.coalesce("first.payload_digest", "payload_digest").alias("payload_digest"), F.col("first.page_id").alias("refers_to"),
