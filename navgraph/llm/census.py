@@ -133,11 +133,13 @@ class Bitmap:
         return found
 
 
-def assembled(rows, bits: int) -> np.ndarray:
-    """All segments of one bitmap from collected (bucket, segment) rows; absent buckets are empty."""
+def assembled(segments, bits: int) -> np.ndarray:
+    """All segments of one bitmap from a table of (bucket, segment); absent buckets are empty. The result is `bits` bits
+    whatever the table was made from."""
     size = bits // BUCKETS // 8
     out = np.zeros(bits // 8, np.uint8)
-    for bucket, segment in rows:
-        if segment is not None:
-            out[bucket * size : (bucket + 1) * size] = np.frombuffer(segment, np.uint8)
+    for batch in segments.filter("segment IS NOT NULL").select("bucket", "segment").toArrow().to_batches():
+        for bucket, segment in zip(batch.column(0), batch.column(1), strict=True):
+            at = bucket.as_py() * size
+            out[at : at + size] = np.frombuffer(segment.as_buffer(), np.uint8)
     return out

@@ -23,7 +23,7 @@ from navgraph.llm.textscan import GRAPHIC, LOWER, Words, words
 from navgraph.session import ship, written
 
 SHINGLE, PERCENT = 5, 75
-BITS, WAYS = 1 << 28, 2
+BITS, WAYS = 1 << 27, 2
 CLASSES = (2, 8, 64, 512)
 #: Nodes that one task joins with each other, and groups that small blocks are dealt out to.
 BLOCK, GROUPS = 800, 4096
@@ -62,7 +62,7 @@ def classes(docs: DataFrame, size: int) -> np.ndarray:
         made = Bitmap(BITS, WAYS).make([(h[c >= n], k) for k, n in enumerate(CLASSES)]) if (c > 1).any() else None
         return pa.table({"bucket": pa.array([b], pa.int32()), "segment": pa.array([made], pa.binary())})
 
-    rows = docs.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(bits, "bucket int, segment binary").collect()
+    rows = docs.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(bits, "bucket int, segment binary")
     return assembled(rows, BITS)
 
 
@@ -203,6 +203,7 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
 
     numbers = docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(measure, "id long, n long, alone long, shingles binary")
     numbers = written(numbers.withColumn("set", F.md5("shingles")), "shingle-sets")
+    sent.destroy()
     nodes = numbers.filter(F.col("shingles").isNotNull()).groupBy("set").agg(F.min("id").alias("node"))
     nodes = written(nodes, "shingle-nodes")
     whole = numbers.filter(F.col("shingles").isNotNull()).join(nodes.withColumnRenamed("node", "id"), ["set", "id"]).dropDuplicates(["set", "id"]).select(F.col("id").alias("node"), "n", "alone", "shingles")

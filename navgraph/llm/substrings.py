@@ -68,7 +68,7 @@ def recurring(docs: DataFrame) -> np.ndarray:
         h, c = merged(table.column("blob").to_pylist(), b, short=True)
         return pa.table({"bucket": pa.array([b], pa.int32()), "segment": pa.array([Bitmap(BITS, WAYS).make([(h[c > 1], 0)]) if (c > 1).any() else None], pa.binary())})
 
-    rows = docs.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(bits, "bucket int, segment binary").collect()
+    rows = docs.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(bits, "bucket int, segment binary")
     return assembled(rows, BITS)
 
 
