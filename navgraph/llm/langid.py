@@ -191,11 +191,13 @@ def train(labelled: DataFrame, docs_each: int = TRAIN_DOCS, segments_each: int =
     xs, ys = [], []
     for k, label in enumerate(labels):
         texts = sorted(r["text"] for r in rows if r["lang"] == label)
-        found = [x.matrix(np.arange(len(x.doc))) for x in segments(pa.array(texts, pa.string()))] if texts else []
-        if found and len(b := np.concatenate(found)):
-            b = b[rng.permutation(len(b))[:segments_each]]
-            xs.append(b)
-            ys.append(np.full(len(b), k))
+        found = list(segments(pa.array(texts, pa.string()))) if texts else []
+        first = np.cumsum([0, *(len(x.doc) for x in found)])
+        taken = np.sort(rng.permutation(first[-1])[:segments_each])
+        for x, start, end in zip(found, first[:-1], first[1:], strict=True):
+            own = taken[(taken >= start) & (taken < end)] - start
+            xs.append(x.matrix(own))
+            ys.append(np.full(len(own), k))
     network = Network(labels, seed)
     if xs:
         network.fit(np.concatenate(xs), np.concatenate(ys), seed)
