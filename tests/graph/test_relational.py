@@ -60,3 +60,20 @@ def test_store(spark, points, tmp_path):
     assert index.load(spark, str(tmp_path)).count() == 80
     index.register_views(index.load(spark, str(tmp_path)))
     assert spark.sql("SELECT sum(n_live) FROM ng_meta").first()[0] == 80
+
+
+def test_search_by_joins(points):
+    from navgraph.operators.relational_search import beam_search
+
+    lists = exact.knn_graph(points, 6)
+    got = beam_search(lists, points.selectExpr("label AS slot", "vec"), points.filter("label < 3").selectExpr("label AS query_id", "vec"), 0, 5, 100).collect()
+    rows, x = {r.src: r.nbrs for r in lists.collect()}, {r.label: np.array(r.vec, float) for r in points.collect()}
+    seen, todo = {0}, [0]
+    while todo:
+        for n in rows[todo.pop()]:
+            if n not in seen:
+                seen.add(n)
+                todo.append(n)
+    for q in range(3):
+        best = sorted((float(np.linalg.norm(x[q] - x[s])), s) for s in seen)[:5]
+        assert [(r.slot, round(r.dist, 6)) for r in sorted(got, key=lambda r: r["rank"]) if r.query_id == q] == [(s, round(d, 6)) for d, s in best]
