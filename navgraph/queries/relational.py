@@ -161,16 +161,16 @@ op("having", "SELECT o_custkey, count(*)::BIGINT AS n FROM orders GROUP BY 1 HAV
 op("centroid", "SELECT label, i::INT - 1 AS place, round(avg(embedding[i]::DOUBLE), 4) AS mean FROM embeddings, range(1, 65) r(i) GROUP BY ALL", lambda t: t.embeddings.select("label", F.posexplode("embedding").alias("place", "v")).groupBy("label", "place").agg(F.round(F.avg(c("v").cast("double")), 4).alias("mean")))
 
 # ---- windows
-_by_customer = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+_by_customer = lambda: W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
 _OVER = "OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey"
-op("win_row_number", f"SELECT o_orderkey, row_number() {_OVER})::INT AS n FROM orders", lambda t: t.orders.select("o_orderkey", F.row_number().over(_by_customer).alias("n")))
-_prio = W.partitionBy("o_orderstatus").orderBy("o_orderpriority")
-op("win_rank_dense", "SELECT o_orderkey, rank() OVER (PARTITION BY o_orderstatus ORDER BY o_orderpriority)::INT AS r, dense_rank() OVER (PARTITION BY o_orderstatus ORDER BY o_orderpriority)::INT AS d FROM orders", lambda t: t.orders.select("o_orderkey", F.rank().over(_prio).alias("r"), F.dense_rank().over(_prio).alias("d")))
+op("win_row_number", f"SELECT o_orderkey, row_number() {_OVER})::INT AS n FROM orders", lambda t: t.orders.select("o_orderkey", F.row_number().over(_by_customer()).alias("n")))
+_prio = lambda: W.partitionBy("o_orderstatus").orderBy("o_orderpriority")
+op("win_rank_dense", "SELECT o_orderkey, rank() OVER (PARTITION BY o_orderstatus ORDER BY o_orderpriority)::INT AS r, dense_rank() OVER (PARTITION BY o_orderstatus ORDER BY o_orderpriority)::INT AS d FROM orders", lambda t: t.orders.select("o_orderkey", F.rank().over(_prio()).alias("r"), F.dense_rank().over(_prio()).alias("d")))
 op("win_ntile", "SELECT vec_id, ntile(7) OVER (PARTITION BY label ORDER BY vec_id)::INT AS part FROM embeddings", lambda t: t.embeddings.select("vec_id", F.ntile(7).over(W.partitionBy("label").orderBy("vec_id")).alias("part")))
 op("win_percent_rank", "SELECT o_orderkey, round(percent_rank() OVER (PARTITION BY o_orderstatus ORDER BY o_totalprice), 6) AS p, round(cume_dist() OVER (PARTITION BY o_orderstatus ORDER BY o_totalprice), 6) AS c FROM orders", lambda t: t.orders.select("o_orderkey", F.round(F.percent_rank().over(W.partitionBy("o_orderstatus").orderBy("o_totalprice")), 6).alias("p"), F.round(F.cume_dist().over(W.partitionBy("o_orderstatus").orderBy("o_totalprice")), 6).alias("c")))
-op("win_lag_lead", f"SELECT o_orderkey, lag(o_orderkey) {_OVER}) AS before, lead(o_orderkey, 2) {_OVER}) AS after FROM orders", lambda t: t.orders.select("o_orderkey", F.lag("o_orderkey").over(_by_customer).alias("before"), F.lead("o_orderkey", 2).over(_by_customer).alias("after")))
-op("win_first_last", f"SELECT o_orderkey, first_value(o_orderkey) {_OVER}) AS first, last_value(CASE WHEN o_orderstatus = 'P' THEN o_orderkey END IGNORE NULLS) {_OVER} ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS last_p FROM orders", lambda t: t.orders.select("o_orderkey", F.first("o_orderkey").over(_by_customer).alias("first"), F.last(F.when(c("o_orderstatus") == "P", c("o_orderkey")), True).over(_by_customer.rowsBetween(W.unboundedPreceding, W.currentRow)).alias("last_p")))
-op("win_rows_frame", f"SELECT o_orderkey, sum({CENTS.format('o_totalprice')}) {_OVER} ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS cents FROM orders", lambda t: t.orders.select("o_orderkey", F.sum(cents("o_totalprice")).over(_by_customer.rowsBetween(-2, 0)).alias("cents")))
+op("win_lag_lead", f"SELECT o_orderkey, lag(o_orderkey) {_OVER}) AS before, lead(o_orderkey, 2) {_OVER}) AS after FROM orders", lambda t: t.orders.select("o_orderkey", F.lag("o_orderkey").over(_by_customer()).alias("before"), F.lead("o_orderkey", 2).over(_by_customer()).alias("after")))
+op("win_first_last", f"SELECT o_orderkey, first_value(o_orderkey) {_OVER}) AS first, last_value(CASE WHEN o_orderstatus = 'P' THEN o_orderkey END IGNORE NULLS) {_OVER} ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS last_p FROM orders", lambda t: t.orders.select("o_orderkey", F.first("o_orderkey").over(_by_customer()).alias("first"), F.last(F.when(c("o_orderstatus") == "P", c("o_orderkey")), True).over(_by_customer().rowsBetween(W.unboundedPreceding, W.currentRow)).alias("last_p")))
+op("win_rows_frame", f"SELECT o_orderkey, sum({CENTS.format('o_totalprice')}) {_OVER} ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS cents FROM orders", lambda t: t.orders.select("o_orderkey", F.sum(cents("o_totalprice")).over(_by_customer().rowsBetween(-2, 0)).alias("cents")))
 op("win_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 100 PRECEDING AND CURRENT ROW)::BIGINT AS n FROM events", lambda t: t.events.select("event_id", F.count(lit(1)).over(W.partitionBy("user_id").orderBy("event_id").rangeBetween(-100, 0)).alias("n")))
 op("growth_trace", "SELECT user_id, event_id, n, n - lag(n) OVER (PARTITION BY user_id ORDER BY event_id) AS growth FROM (SELECT user_id, event_id, count(*) FILTER (WHERE event_type = 'error') OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)::BIGINT AS n FROM events)", lambda t: t.events.select("user_id", "event_id", F.count(F.when(c("event_type") == "error", 1)).over(W.partitionBy("user_id").orderBy("event_id").rowsBetween(W.unboundedPreceding, 0)).alias("n")).withColumn("growth", c("n") - F.lag("n").over(W.partitionBy("user_id").orderBy("event_id"))))
 

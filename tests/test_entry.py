@@ -8,3 +8,11 @@ def test_every_sql_has_its_query():
 
 def test_flagship(spark):
     assert entry.entry(spark).columns == ["query_id", "rank", "label", "dist"]
+
+
+def test_registry_needs_no_session():
+    import subprocess
+    import sys
+
+    done = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()))"], capture_output=True, text=True)
+    assert done.returncode == 0, done.stderr
