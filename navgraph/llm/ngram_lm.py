@@ -1,14 +1,16 @@
 """Language-model scoring with a log-frequency Bloom filter of n-gram counts.
 
 An n-gram of count c has level 1 + floor(log(c) / log(STEP)) and is put into the filter once for each level up to its own; a
-count is read back by asking level after level until one is absent. One filter of at most MAX_BITS bits holds the words and
-the word pairs and is broadcast; it doesn't grow with the corpus. Pairs seen once are left out, and if the filter would
-get too full, so are pairs below the least level that fits (levels of all pairs are known by then, so nothing is guessed).
-
-The model: p(w | v) = a * c(vw) / c(v) + (1 - a) * p1(w), with p1 the base's formula on counts read from the filter and a by
-size of c(v), fitted by expectation maximisation on a bounded sample of training documents with each token's own count taken
-out. The base score itself uses exact counts (words are told apart by 64-bit hashes): words of at least 1 / MAX_FREQUENT of
-all tokens, so at most MAX_FREQUENT, are broadcast; all others meet their counts in hash buckets.
+count is read back by asking level after level until one is absent. The filter holds all word pairs of the training
+documents, those seen once as well. It has one segment per hash bucket, as large as the bucket's pairs need, so it grows with
+the corpus; no process holds more than one segment. The counts of words are exact, and so is the base score.
+
+Documents are dealt into chunks. A chunk asks each bucket for its distinct words and pairs, the buckets answer with counts and
+levels in the order of asking, and the chunk's documents meet the answers: an n-gram goes over the network once per chunk.
+
+The model: p(w | v) = a * c(vw) / c(v) + (1 - a) * p1(w), with counts rounded to levels, p1 the base's formula on them and a by
+size of c(v), fitted by expectation maximisation over all training tokens with each token's own count taken out. A token's
+share depends only on its three levels, so a table of how many tokens have which levels says as much as the tokens themselves.
 """
 
 from __future__ import annotations
@@ -20,28 +22,33 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, bucket_of, merged
+from navgraph.llm.census import CENSUS, FLUSH, Gather, cuts, merged, pack, unpack
 from navgraph.llm.langid import held_out
-from navgraph.llm.textscan import GRAPHIC, LOWER, Words, mix, words
+from navgraph.llm.textscan import GRAPHIC, LOWER, Words, mix, steps, words
 from navgraph.session import ship, written
 
-STEP, WAYS, MAX_BITS, MAX_FREQUENT = math.sqrt(2), 3, 1 << 28, 1 << 20
-#: Share of set bits that the filter may reach, training documents that the mixture weights are fitted on, classes of c(v).
-LOAD, TUNE_DOCS, CLASSES = 0.35, 1000, 12
+#: WAYS bits an entry; FIRST_WAYS for the levels of counts 1 and 2, as most pairs that are asked for were seen never or once.
+STEP, WAYS, FIRST_WAYS = math.sqrt(2), 3, 8
+#: Share of set bits of the filter, classes of c(v), bytes of text in a chunk.
+LOAD, CLASSES, CHUNK_BYTES = 0.35, 12, 2 << 20
 ADD = 0.1
 END, BEGIN = np.uint64(0x3C5A9D1E7F208B46), np.uint64(0x71E2C8A4D63B05F9)
 LEVELS = 128
+#: Stands in for the level of END and BEGIN, whose count is the number of documents.
+ENDS = LEVELS
 
 
 def level(counts: np.ndarray) -> np.ndarray:
     return 1 + np.floor(np.log(np.maximum(counts, 1)) / math.log(STEP) + 1e-9).astype(np.int64)
 
 
-#: What a level stands for: the middle of the counts that have it.
+#: What a level stands for: the middle of the counts that have it. No count has level 2; it counts as level 1.
 _low = np.ceil(STEP ** (np.arange(LEVELS, dtype=float) - 1) - 1e-6)
 MEANS = np.where(np.arange(LEVELS) == 0, 0.0, (_low + np.maximum(_low, np.ceil(STEP ** np.arange(LEVELS, dtype=float) - 1e-6) - 1)) / 2)
-#: No count has these levels, as the next integer is beyond them.
-FIRST_PAIR = int(level(np.array([2]))[0])
+MEANS[2] = 1.0
+#: Levels that counts have.
+USED = (1, *range(3, LEVELS))
+TWICE = int(level(np.array([2]))[0])
 
 
 def tokens(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -64,55 +71,90 @@ def pair(before: np.ndarray, own: np.ndarray) -> np.ndarray:
     return mix(before * np.uint64(0xA0761D6478BD642F) + own) & np.uint64(0xFFFFFFFFFFFFC000)
 
 
-class Model:
-    def __init__(self, bitmap: Bitmap, total: int, distinct: int, documents: int, frequent: np.ndarray, counts: np.ndarray):
-        self.bitmap, self.total, self.distinct, self.documents = bitmap, total, distinct, documents
-        self.frequent, self.counts = frequent, counts
-        self.weights = np.zeros(CLASSES)
-
-    def read(self, hashes: np.ndarray, kind: int) -> np.ndarray:
-        """Counts as the filter has them: level after level until one is absent."""
-        found, left = np.zeros(len(hashes), np.int64), np.arange(len(hashes))
-        for q in range(1, LEVELS):
+class Segment:
+    """The filter of one bucket's pairs."""
+
+    def __init__(self, data: np.ndarray):
+        self.data, self.bits = data, len(data) * 8
+
+    @staticmethod
+    def ways(q: int) -> int:
+        return FIRST_WAYS if q <= TWICE else WAYS
+
+    @classmethod
+    def of(cls, hashes: np.ndarray, levels: np.ndarray) -> Segment:
+        entries = [(q, hashes[levels >= q]) for q in USED if q <= levels.max(initial=0)]
+        need = sum(len(h) * cls.ways(q) for q, h in entries) / -math.log(1 - LOAD)
+        made = cls(np.zeros(max(8, math.ceil(need / 8)), np.uint8))
+        own = np.zeros(made.bits, bool)
+        for q, h in entries:
+            for at in made.places(h, q):
+                own[at] = True
+        made.data = np.packbits(own, bitorder="little")
+        return made
+
+    def places(self, hashes: np.ndarray, q: int):
+        x = mix(hashes ^ np.uint64((q * 0x9E3779B97F4A7C15 + 0x5851F42D4C957F2D) & 0xFFFFFFFFFFFFFFFF))
+        step = mix(x ^ np.uint64(0xD1B54A32D192ED03)) | np.uint64(1)
+        for _ in range(self.ways(q)):
+            yield (x % np.uint64(self.bits)).astype(np.int64)
+            x = x + step
+
+    def read(self, hashes: np.ndarray) -> np.ndarray:
+        """Levels as the filter has them: one after another until one is absent."""
+        found, left = np.zeros(len(hashes), np.uint8), np.arange(len(hashes))
+        for q in USED:
             if not len(left):
                 break
-            left = left[self.bitmap.has(hashes[left], q * 2 + kind)]
+            has = np.ones(len(left), bool)
+            for at in self.places(hashes[left], q):
+                has &= (self.data[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+            left = left[has]
             found[left] = q
-        if kind:
-            found[found < FIRST_PAIR] = 0
-        return MEANS[found]
-
-    def parts(self, own: np.ndarray, before: np.ndarray, less: float = 0.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """p1 of each token, its share among the followers of the one before, and the class of that one. less: taken off."""
-        uni, at = np.unique(np.concatenate((own, before)), return_inverse=True)
-        c = self.read(uni, 0)[at]
-        c_own, c_before = c[: len(own)], c[len(own) :]
-        c_own = np.where(own == END, self.documents, c_own)
-        c_before = np.where(before == BEGIN, self.documents, c_before)
+        return found
+
+
+class Model:
+    """`census` has exact word counts and the filter by bucket; the rest are its totals and the fitted weights."""
+
+    def __init__(self, census: DataFrame, total: int, distinct: int, documents: int):
+        self.census, self.total, self.distinct, self.documents = census, total, distinct, documents
+
+    def parts(self, before: np.ndarray, own: np.ndarray, both: np.ndarray, less: float = 0.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """From levels: p1 of a token, its share among the followers of the one before, and the class of that one. less: taken off."""
+        value = np.append(MEANS, float(self.documents))
+        c_before, c_own, c2 = value[before], value[own], np.maximum(value[both] - less, 0)
         p1 = (np.maximum(c_own - less, 0) + ADD) / (self.total + ADD * (self.distinct + 1))
-        pairs, at = np.unique(pair(before, own), return_inverse=True)
-        c2 = np.maximum(self.read(pairs, 1)[at] - less, 0)
         kind = np.minimum(np.log2(np.maximum(c_before, 1)).astype(np.int64) // 2, CLASSES - 1)
         return p1, np.minimum(c2 / np.maximum(c_before - less, 1), 1.0), kind
 
-    def tune(self, texts: list[str]) -> None:
-        for_class = [[] for _ in range(CLASSES)]
-        for w in words(pa.array(texts, pa.string()), GRAPHIC, LOWER):
-            own, before, _ = tokens(w)
-            p1, p2, kind = self.parts(own, before, 1.0)
-            for k in range(CLASSES):
-                for_class[k].append(np.stack((p1[kind == k], p2[kind == k])))
-        for k, found in enumerate(for_class):
-            p1, p2 = np.concatenate(found, 1) if found else np.zeros((2, 0))
+    def fit(self, cells: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """Weights from how many training tokens (n) have which levels (cells, as cell() makes them)."""
+        weights = np.zeros(CLASSES)
+        p1, p2, kind = self.parts(cells >> 16, cells >> 8 & 255, cells & 255, 1.0)
+        for k in range(CLASSES):
+            x, y, m = p1[kind == k], p2[kind == k], n[kind == k]
             a = 0.3
-            for _ in range(30 if len(p1) else 0):
-                a = float(np.mean(a * p2 / (a * p2 + (1 - a) * p1)))
-            self.weights[k] = min(a, 0.999) if len(p1) else 0.0
+            for _ in range(30 if len(m) else 0):
+                a = float(np.average(a * y / (a * y + (1 - a) * x), weights=m))
+            weights[k] = min(a, 0.999) if len(m) else 0.0
+        return weights
+
+
+def cell(n: np.ndarray, own: pa.Array, both: pa.Array) -> np.ndarray:
+    """Levels of the token before, the token and the pair of both in one number, for documents of n tokens each."""
+    own, both = (np.frombuffer(b"".join(x.to_pylist()), np.uint8).astype(np.int64) for x in (own, both))
+    before = np.empty_like(own)
+    before[1:] = own[:-1]
+    before[np.cumsum(n) - n] = ENDS
+    return before << 16 | own << 8 | both
+
 
-    def log10(self, own: np.ndarray, before: np.ndarray) -> np.ndarray:
-        p1, p2, kind = self.parts(own, before)
-        a = self.weights[kind]
-        return np.log10(a * p2 + (1 - a) * p1)
+def small(batches, at: int):
+    """Batches cut to about 2^18 tokens, whose numbers are in column `at`."""
+    for batch in batches:
+        for i, j in steps(np.append(0, np.cumsum(batch.column(at).to_numpy())), 1 << 18):
+            yield batch.slice(i, j - i)
 
 
 def learn(training: DataFrame) -> Model:
@@ -120,7 +162,7 @@ def learn(training: DataFrame) -> Model:
     ship(training.sparkSession)
 
     def count(batches):
-        held = Gather((False, True))
+        held = Gather((False, True), FLUSH // 2)
         for batch in batches:
             for w in words(batch.column(0), GRAPHIC, LOWER):
                 own, before, _ = tokens(w)
@@ -137,47 +179,14 @@ def learn(training: DataFrame) -> Model:
             of[k].append(blob)
         h1, c1 = merged(of[0], b)
         h2, c2 = merged(of[1], b, short=True)
-        h2, c2 = h2[c2 > 1], c2[c2 > 1]
-        l2 = np.bincount(level(c2), minlength=LEVELS) if len(c2) else np.zeros(LEVELS, np.int64)
+        made = Segment.of(h2, level(c2)).data.tobytes()
         end = int(c1[h1 == END].sum())
-        return pa.table({"bucket": pa.array([b], pa.int32()), "words": [h1.tobytes()], "word_counts": [c1.astype(np.int64).tobytes()], "pairs": [h2.tobytes()], "pair_levels": [level(c2).astype(np.uint8).tobytes()], "n_tokens": [int(c1.sum())], "n_words": [len(h1)], "n_entries": [int(level(c1).sum()) if len(c1) else 0], "n_documents": [end], "levels": [l2.tolist()]})
+        return pa.table({"bucket": pa.array([b], pa.int32()), "words": [h1.tobytes()], "word_counts": [c1.astype(np.int64).tobytes()], "segment": [made], "n_tokens": [int(c1.sum())], "n_words": [len(h1)], "n_documents": [end]})
 
-    census = training.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(add_up, "bucket int, words binary, word_counts binary, pairs binary, pair_levels binary, n_tokens long, n_words long, n_entries long, n_documents long, levels array<long>")
+    census = training.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(add_up, "bucket int, words binary, word_counts binary, segment binary, n_tokens long, n_words long, n_documents long")
     census = written(census, "lm-census")
-    total, distinct, entries, documents = (int(x or 0) for x in census.agg(*(F.sum(c) for c in ("n_tokens", "n_words", "n_entries", "n_documents"))).first())
-    by_level = dict(census.select(F.posexplode("levels").alias("q", "n")).groupBy("q").agg(F.sum("n").alias("n")).collect())
-    sizes = [by_level.get(q, 0) * q for q in range(LEVELS)]
-    room = -math.log(1 - LOAD) * MAX_BITS / WAYS
-    least = next((q for q in range(FIRST_PAIR, LEVELS) if entries + sum(sizes[q:]) <= room), LEVELS)
-    need = (entries + sum(sizes[least:])) * WAYS / -math.log(1 - LOAD)
-    bits = min(MAX_BITS, max(BUCKETS * 64, 1 << math.ceil(math.log2(max(need, 1)))))
-    plain = Bitmap(bits, WAYS)
-    floor = total / MAX_FREQUENT
-
-    def fill(batches):
-        for batch in batches:
-            for b, h1, c1, h2, l2 in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-                h1, c1, h2, l2 = np.frombuffer(h1, np.uint64), np.frombuffer(c1, np.int64), np.frombuffer(h2, np.uint64), np.frombuffer(l2, np.uint8)
-                h2, l2, q1 = h2[l2 >= least], l2[l2 >= least], level(c1)
-                made = plain.make([(h1[q1 >= q], q * 2) for q in range(1, int(q1.max(initial=0)) + 1)] + [(h2[l2 >= q], q * 2 + 1) for q in range(1, int(l2.max(initial=0)) + 1)])
-                often = c1 >= floor
-                yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([made]), pa.array([h1[often].tobytes()]), pa.array([c1[often].tobytes()])], names=["bucket", "segment", "often", "counts"])
-
-    size, data, often, counts = bits // BUCKETS // 8, np.zeros(bits // 8, np.uint8), [], []
-    filled = census.select("bucket", "words", "word_counts", "pairs", "pair_levels").mapInArrow(fill, "bucket int, segment binary, often binary, counts binary").toArrow()
-    for batch in filled.to_batches():
-        for b, segment, h, c in zip(*(batch.column(i) for i in range(4)), strict=True):
-            data[b.as_py() * size : (b.as_py() + 1) * size] = np.frombuffer(segment.as_buffer(), np.uint8)
-            often.append(np.frombuffer(h.as_py(), np.uint64))
-            counts.append(np.frombuffer(c.as_py(), np.int64))
-    del filled
-    bitmap = Bitmap(bits, WAYS, data)
-    often = np.concatenate([*often, np.zeros(0, np.uint64)])
-    counts = np.concatenate([*counts, np.zeros(0, np.int64)])
-    if documents and END not in often:
-        often, counts = np.append(often, END), np.append(counts, documents)
-    order = np.argsort(often)
-    return Model(bitmap, total, distinct, documents, often[order], counts[order])
+    total, distinct, documents = (int(x or 0) for x in census.agg(*(F.sum(c) for c in ("n_tokens", "n_words", "n_documents"))).first())
+    return Model(census.select("bucket", "words", "word_counts", "segment"), total, distinct, documents)
 
 
 def score(docs: DataFrame, train: str = "train") -> DataFrame:
@@ -191,76 +200,83 @@ def score(docs: DataFrame, train: str = "train") -> DataFrame:
     """
     names = ("n_tokens", "n_known", "train_tokens", "base_score", "score")
     keep = [c for c in docs.columns if c not in names]
-    spark = docs.sparkSession
     model = learn(docs.filter(F.col(train)))
-    some = F.pmod(F.xxhash64("text", F.lit(11)), F.lit(1 << 30)) < F.lit(int(min(1.0, TUNE_DOCS / max(model.documents, 1)) * (1 << 30)))
-    model.tune([r[0] or "" for r in docs.filter(F.col(train) & some).select("text").limit(2 * TUNE_DOCS).collect()])
-    sent = spark.sparkContext.broadcast(model)
-    log_all = math.log10(model.total + ADD * (model.distinct + 1))
-    total = model.total
-
-    def measure(batches):
-        model = sent.value
-        schema = pa.schema([("bucket", pa.int32()), ("row", pa.int64()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base", pa.float64()), ("score", pa.float64()), ("blob", pa.binary())])
-        held, size = [], 0
-
-        def rare():
-            h, rows, train = (np.concatenate(x) for x in zip(*held, strict=True))
-            b = bucket_of(h)
-            order = np.argsort(b, kind="stable")
-            at = np.searchsorted(b[order], np.arange(BUCKETS + 1))
-            found = [(k, order[at[k] : at[k + 1]]) for k in np.flatnonzero(np.diff(at))]
-            blobs = [h[o].tobytes() + rows[o].tobytes() + train[o].tobytes() for _, o in found]
-            n = len(found)
-            none = pa.nulls(n, pa.int64())
-            return pa.RecordBatch.from_arrays([pa.array([int(k) for k, _ in found], pa.int32()), none, none, none, pa.nulls(n, pa.float64()), pa.nulls(n, pa.float64()), pa.array(blobs, pa.binary())], schema=schema)
-
-        for batch in batches:
-            rows, train = batch.column(1).to_numpy(), batch.column(2).fill_null(False).to_numpy(zero_copy_only=False)
-            for w in words(batch.column(0), GRAPHIC, LOWER):
-                own, before, doc = tokens(w)
-                n = len(w.offsets) - 1
-                uni, at = np.unique(own, return_inverse=True)
-                place = np.minimum(np.searchsorted(model.frequent, uni), max(len(model.frequent) - 1, 0))
-                known = model.frequent[place] == uni if len(model.frequent) else np.zeros(len(uni), bool)
-                value = np.where(known, np.log10(np.where(known, model.counts[place] if len(model.counts) else 0, 0) + ADD), 0.0)
-                often = known[at]
-                ids = rows[w.first : w.first + n]
-                yield pa.RecordBatch.from_arrays([pa.array((ids % BUCKETS).astype(np.int32)), pa.array(ids), pa.array(w.counts + 1), pa.array(np.bincount(doc[often], minlength=n)), pa.array(np.bincount(doc, value[at], n)), pa.array(np.bincount(doc, model.log10(own, before), n)), pa.nulls(n, pa.binary())], schema=schema)
-                held.append((own[~often], ids[doc[~often]], train[w.first : w.first + n][doc[~often]].astype(np.uint8)))
-                size += len(held[-1][0])
-                if size > 1_000_000:
-                    yield rare()
-                    held, size = [], 0
-        if size:
-            yield rare()
-
-    def meet(key, table):
-        main = table.filter(pa.compute.is_valid(table.column("row"))).select(["row", "n_tokens", "n_known", "base", "score"])
-        main = main.append_column("rows", pa.array(np.ones(len(main), np.int64)))
-        blobs = [b for b in table.column("blob").to_pylist() if b is not None]
-        if not blobs:
-            return main
-        n = [len(b) // 17 for b in blobs]
-        h = np.concatenate([np.frombuffer(b, np.uint64, k) for b, k in zip(blobs, n, strict=True)])
-        rows = np.concatenate([np.frombuffer(b, np.int64, k, 8 * k) for b, k in zip(blobs, n, strict=True)])
-        train = np.concatenate([np.frombuffer(b, np.uint8, k, 16 * k) for b, k in zip(blobs, n, strict=True)])
-        _, at = np.unique(h, return_inverse=True)
-        c = np.bincount(at, train)[at]
-        ids, own = np.unique(rows, return_inverse=True)
-        more = pa.table({"row": ids, "n_tokens": np.zeros(len(ids), np.int64), "n_known": np.bincount(own, c > 0).astype(np.int64), "base": np.bincount(own, np.log10(c + ADD)), "score": np.zeros(len(ids)), "rows": np.zeros(len(ids), np.int64)})
-        return pa.concat_tables([main.cast(more.schema), more])
-
-    import pyarrow.compute  # noqa: F401
-
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     numbered = docs.select(*keep, F.xxhash64(*keep).alias("_row"))
+    dealt = numbered.select("text", "_row", F.coalesce(train, F.lit(False)).alias("learned"), F.pmod(F.xxhash64("_row"), F.lit(math.ceil(size / CHUNK_BYTES) + 1)).cast("int").alias("chunk"))
+    total, distinct, documents = model.total, model.distinct, model.documents
+    log_all = math.log10(total + ADD * (distinct + 1))
+
+    def ask(key, table):
+        found = [(own, pair(before, own)) for w in words(table.column("text"), GRAPHIC, LOWER) for own, before, _ in [tokens(w)]]
+        h = [np.unique(np.concatenate(x)) for x in zip(*found, strict=True)]
+        at = [cuts(x) for x in h]
+        buckets = np.flatnonzero(np.diff(at[0]) + np.diff(at[1]))
+        sent = [[pack(x[a[b] : a[b + 1]], np.ones(a[b + 1] - a[b], np.int64), short) for b in buckets] for x, a, short in zip(h, at, (False, True), strict=True)]
+        return pa.table({"bucket": pa.array(buckets, pa.int32()), "chunk": pa.array([key[0].as_py()] * len(buckets), pa.int32()), "words": pa.array(sent[0], pa.binary()), "pairs": pa.array(sent[1], pa.binary())})
+
+    def answer(key, asked, census):
+        b = key[0].as_py()
+        h, c, segment = np.zeros(0, np.uint64), np.zeros(0, np.int64), Segment.of(np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        for x, y, z in zip(*(census.column(k).to_pylist() for k in ("words", "word_counts", "segment")), strict=True):
+            h, c, segment = np.frombuffer(x, np.uint64), np.frombuffer(y, np.int64), Segment(np.frombuffer(z, np.uint8))
+        h, c = np.append(h, ~np.uint64(0)), np.append(c, 0)
+        x = [unpack(blob, b)[0] for blob in asked.column("words").to_pylist()]
+        y = [unpack(blob, b, short=True)[0] for blob in asked.column("pairs").to_pylist()]
+        ends = [np.cumsum([len(k) for k in z])[:-1] for z in (x, y)]
+        x, y = (np.concatenate([np.zeros(0, np.uint64), *z]) for z in (x, y))
+        place = np.searchsorted(h[:-1], x)
+        y, at = np.unique(y, return_inverse=True)
+        counts = [k.tobytes() for k in np.split(np.where(h[place] == x, c[place], 0), ends[0])] if len(asked) else []
+        levels = [k.tobytes() for k in np.split(segment.read(y)[at], ends[1])] if len(asked) else []
+        return pa.table({"chunk": asked.column("chunk"), "bucket": pa.array([b] * len(counts), pa.int32()), "counts": pa.array(counts, pa.binary()), "levels": pa.array(levels, pa.binary())})
+
+    def measure(key, table, answers):
+        answers = answers.sort_by("bucket")
+        counts = np.frombuffer(b"".join(answers.column("counts").to_pylist()), np.int64)
+        levels = np.frombuffer(b"".join(answers.column("levels").to_pylist()), np.uint8)
+        found = [(tokens(w), len(w.offsets) - 1) for w in words(table.column("text"), GRAPHIC, LOWER)]
+        uni = [np.unique(np.concatenate(x)) for x in zip(*((own, pair(before, own)) for (own, before, _), _ in found), strict=True)]
+        n, known, base, blobs = [], [], [], ([], [])
+        for (own, before, doc), k in found:
+            c = counts[np.searchsorted(uni[0], own)]
+            both = levels[np.searchsorted(uni[1], pair(before, own))]
+            of_own = np.where(own == END, ENDS, np.where(c > 0, level(c), 0)).astype(np.uint8)
+            ends = np.cumsum(np.bincount(doc, minlength=k))
+            n.append(np.diff(ends, prepend=0))
+            known.append(np.bincount(doc, c > 0, k).astype(np.int64))
+            base.append(np.bincount(doc, np.log10(c + ADD), k))
+            for held, x in zip(blobs, (of_own.tobytes(), both.tobytes()), strict=True):
+                held += [x[i:j] for i, j in zip(np.append(0, ends[:-1]), ends, strict=True)]
+        return pa.table({"row": table.column("_row"), "learned": table.column("learned"), "n_tokens": np.concatenate(n), "n_known": np.concatenate(known), "base": np.concatenate(base), "own": pa.array(blobs[0], pa.binary()), "both": pa.array(blobs[1], pa.binary())})
+
+    def tally(batches):
+        for batch in small(batches, 0):
+            cells, n = np.unique(cell(batch.column(0).to_numpy(), *batch.columns[1:]), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(n)], names=["cell", "n"])
+
+    asked = dealt.groupBy("chunk").applyInArrow(ask, "bucket int, chunk int, words binary, pairs binary")
+    answers = asked.groupBy("bucket").cogroup(model.census.groupBy("bucket")).applyInArrow(answer, "chunk int, bucket int, counts binary, levels binary")
+    measured = dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(measure, "row long, learned boolean, n_tokens long, n_known long, base double, own binary, both binary")
+    measured = written(measured, "lm-levels")
+    cells = measured.filter("learned").select("n_tokens", "own", "both").mapInArrow(tally, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    weights = model.fit(cells.column("cell").to_numpy(), cells.column("n").to_numpy())
+    parts = Model(None, total, distinct, documents).parts
+
+    def log10(batches):
+        for batch in small(batches, 1):
+            n = batch.column(1).to_numpy()
+            cells = cell(n, *batch.columns[4:])
+            p1, p2, kind = parts(cells >> 16, cells >> 8 & 255, cells & 255)
+            a = weights[kind]
+            sums = np.bincount(np.repeat(np.arange(len(n)), n), np.log10(a * p2 + (1 - a) * p1), len(n))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(sums, pa.float64())], names=["row", "n_tokens", "n_known", "base", "score"])
+
     sums = (
-        numbered.select("text", "_row", train).mapInArrow(measure, "bucket int, row long, n_tokens long, n_known long, base double, score double, blob binary")
-        .groupBy("bucket").applyInArrow(meet, "row long, n_tokens long, n_known long, base double, score double, rows long")
-        .groupBy("row").agg(*(F.sum(x).alias(x) for x in ("n_tokens", "n_known", "base", "score", "rows")))
+        measured.select("row", "n_tokens", "n_known", "base", "own", "both").mapInArrow(log10, "row long, n_tokens long, n_known long, base double, score double")
+        .groupBy("row").agg(*(F.avg(x).alias(x) for x in ("n_tokens", "n_known", "base", "score")))
     )
-    each = lambda x: F.col(x) / F.col("rows")
-    sums = sums.select("row", each("n_tokens").cast("long").alias("n_tokens"), each("n_known").cast("long").alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (each("base") - each("n_tokens") * F.lit(log_all)).alias("base_score"), each("score").alias("score"))
+    sums = sums.select("row", F.col("n_tokens").cast("long").alias("n_tokens"), F.col("n_known").cast("long").alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") - F.col("n_tokens") * F.lit(log_all)).alias("base_score"), "score")
     return numbered.join(sums, F.col("_row") == F.col("row")).select(*keep, *names)
 
 

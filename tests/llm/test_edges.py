@@ -244,3 +244,22 @@ def test_mixing(docs, none):
     found = mixing.mix(docs).collect()
     assert len(found) == len(ROWS) and found[0].score == "clash"
     assert mixing.mix(none).count() == 0
+
+
+def test_language_model_keeps_all_pairs(spark):
+    # Every text has the same 401 words, and no two of different steps share a pair, so only pairs tell them apart.
+    by_step = lambda step: " ".join(f"v{k * step % 401}" for k in range(401))
+    rows = [(i, by_step(i), True) for i in range(1, 31)] + [(1000 * k + i, by_step(i), True) for k in (1, 2, 3) for i in range(61, 71)]
+    rows += [(100 + i, by_step(i), False) for i in range(1, 31)] + [(100 + i, by_step(i), False) for i in range(31, 61)]
+    found = {r.doc_id: r.score for r in ngram_lm.score(spark.createDataFrame(rows, "doc_id long, text string, train boolean").repartition(3)).collect()}
+    assert all(found[100 + i] > found[130 + i] + 1 for i in range(1, 31))
+
+
+def test_language_model_filter():
+    rng = np.random.default_rng(7)
+    h = np.unique(rng.integers(0, 1 << 63, 60_000, dtype=np.uint64))
+    levels = ngram_lm.level(1 + rng.geometric(0.7, len(h)) // 2)
+    small, large = (ngram_lm.Segment.of(h[:n], levels[:n]) for n in (5_000, 50_000))
+    assert large.bits > 8 * small.bits
+    for s, n in ((small, 5_000), (large, 50_000)):
+        assert (s.read(h[:n]) >= levels[:n]).all() and (s.read(h[:n]) == levels[:n]).mean() > 0.98 and (s.read(h[50_000:]) > 0).mean() < 0.01
