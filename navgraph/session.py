@@ -1,4 +1,4 @@
-"""Access to settings of the running session."""
+"""Access to settings of the running session: the shared folder, tables written to it, sizes of plans, code for workers."""
 
 from __future__ import annotations
 
@@ -7,16 +7,20 @@ import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
     """Folder that the driver and all executors share, from ``spark.checkpoint.dir``.
 
-    Only where the cluster names none (tests on one machine) is a local folder made and set.
+    Where none is set, a folder of this machine is made, but only for a local master: on a cluster it would be another one
+    on each executor.
     """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not base:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = getattr(shared_dir, "_own", None) or tempfile.mkdtemp(prefix="navgraph-")
         shared_dir._own = base
     if spark.sparkContext.getCheckpointDir() is None:
@@ -24,12 +28,31 @@ def shared_dir(spark: SparkSession) -> str:
     return base
 
 
+def _session_dir(spark: SparkSession) -> str:
+    """This application's own folder below the shared one. Hadoop deletes it when the driver's JVM ends."""
+    sc = spark.sparkContext
+    if not getattr(sc, "_navgraph_dir", None):
+        sc._navgraph_dir = f"{shared_dir(spark).rstrip('/')}/navgraph-{uuid.uuid4().hex}"
+        path = sc._jvm.org.apache.hadoop.fs.Path(sc._navgraph_dir)
+        system = path.getFileSystem(sc._jsc.hadoopConfiguration())
+        system.mkdirs(path)
+        system.deleteOnExit(path)
+    return sc._navgraph_dir
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
     """A new path below the shared folder."""
-    return f"{shared_dir(spark).rstrip('/')}/navgraph/{name}-{uuid.uuid4().hex}"
+    return f"{_session_dir(spark)}/{name}-{uuid.uuid4().hex}"
+
 
+def discard(spark: SparkSession, path: str) -> None:
+    """Deletes a path that scratch_path() gave."""
+    if path.startswith(_session_dir(spark) + "/"):
+        at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
-def written(df, name: str):
+
+def written(df: DataFrame, name: str) -> DataFrame:
     """``df`` written once below the shared folder and read back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = scratch_path(spark, name)
@@ -37,6 +60,12 @@ def written(df, name: str):
     return spark.read.schema(df.schema).parquet(path)
 
 
+def plan_bytes(df: DataFrame) -> int | None:
+    """Catalyst's estimate of the size of ``df`` from file sizes, without reading anything; None where it has none."""
+    n = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return n if n < 1 << 60 else None
+
+
 def ship(spark: SparkSession) -> None:
     """Sends this package to the Python workers, once per Spark context, so that they needn't have it installed."""
     sc = spark.sparkContext
