@@ -62,7 +62,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 def plan_bytes(df: DataFrame) -> int | None:
     """Catalyst's estimate of the size of ``df`` from file sizes, without reading anything; None where it has none."""
-    n = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    n = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     return n if n < 1 << 60 else None
 
 
