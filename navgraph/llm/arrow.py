@@ -5,12 +5,29 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql.types import StructField, StructType, _parse_datatype_string
 
 from navgraph.session import ship
 
 
+def fresh(columns: list[str], *names: str) -> list[str]:
+    """These names, changed where a table with `columns` has them already."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def named(column: str) -> Column:
+    """A column by its name as it is, dots and all."""
+    return F.col("`" + column.replace("`", "``") + "`")
+
+
 def fields(ddl: str) -> list[StructField]:
     return _parse_datatype_string(ddl).fields
 

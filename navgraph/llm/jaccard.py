@@ -1,34 +1,41 @@
 """Jaccard join of documents on word shingles, by signature trees.
 
-1. A census of shingle hashes gives a filter of fixed size with the class of each shingle: how many documents have it (1, 2 or
-   more, 8, 64, 512 or more). A document of which less than the threshold's share is in other documents links with nothing.
-2. Documents with equal sets are one node. Nodes that share one of their rarest shingles (so many that linked sets can't
-   miss each other) fall into one block, found as connected components.
+1. Chunks of documents ask buckets of shingle hashes how many documents have each shingle. That gives its class (1, 2 or more,
+   8, 64, 512 or more documents). A document of which less than the threshold's share is in other documents links with nothing.
+2. Documents with equal sets are one node. Nodes that share one of their rarest shingles (so many that linked sets can't miss
+   each other) fall into one block, found as connected components.
 3. In a block a signature tree is built: a node holds the OR of its sets' bitmaps and the range of their sizes. It is joined
-   with itself from the top; pairs that can't overlap enough, or that are linked already, are left out, sets that remain are
-   compared exactly. A block beyond BLOCK nodes is cut into pieces, and every pair of pieces is joined in a task of its own.
-4. Components of the links give the answer.
+   with itself from the top; node pairs whose possible overlap is too small are left out, and pairs of leaves that remain are
+   compared exactly, all sets of one with all of the other. A large block is cut into pieces by content, and every pair of
+   pieces is joined in a task of its own.
+4. A task gives how many documents each of its sets links with, and as many links as join them into components; no list of all
+   pairs is made. Components of the links give the answer.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, assembled, bucket_of, merged
-from navgraph.llm.components import components
+from navgraph.llm.arrow import fresh, named
+from navgraph.llm.components import components, united
+from navgraph.llm.deal import bucket_of, counted, cuts, deal_of, firsts, mask, packed, totals, unpack
 from navgraph.llm.textscan import GRAPHIC, LOWER, Words, words
 from navgraph.session import ship, written
 
 SHINGLE, PERCENT = 5, 75
-BITS, WAYS = 1 << 27, 2
-CLASSES = (2, 8, 64, 512)
-#: Nodes that one task joins with each other, and groups that small blocks are dealt out to.
-BLOCK, GROUPS = 800, 4096
-FANOUT = 8
-_CUT = np.uint64(0xFFFFFFFFFFFFC000)
+#: Least number of documents of each class of shingles.
+CLASSES = np.array([2, 8, 64, 512])
+#: Bytes of a hash below its bucket's bits that the census keeps: a class needs no more.
+WIDTH = 4
+#: Nodes of a piece, pieces of a block by content, and shingles of a piece (a block of more is cut further by hash).
+PIECE, PIECES, PIECE_SHINGLES = 128, 32, 1 << 21
+#: Sets of a leaf, most shingles of a leaf of several sets, and children of a node.
+LEAF, LEAF_SHINGLES, FANOUT = 32, 200_000, 8
 
 
 def shingles(w: Words, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
@@ -40,70 +47,35 @@ def shingles(w: Words, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
     hashes = np.concatenate((hashes, w.spans(w.offsets[few], w.offsets[few + 1])))
     order = np.lexsort((hashes, doc))
     doc, hashes = doc[order], hashes[order]
-    new = np.concatenate(([True], (doc[1:] != doc[:-1]) | (hashes[1:] != hashes[:-1]))) if len(doc) else np.zeros(0, bool)
+    new = firsts(doc, hashes)
     return doc[new], hashes[new]
 
 
-def classes(docs: DataFrame, size: int) -> np.ndarray:
-    """The filter: a shingle is in it once for each of CLASSES that the number of its documents reaches."""
-
-    def count(batches):
-        held = Gather((True,))
-        for batch in batches:
-            for w in words(batch.column(0), GRAPHIC, LOWER):
-                held.add(0, shingles(w, size)[1])
-                if held.full():
-                    yield held.flush()
-        yield held.flush()
-
-    def bits(key, table):
-        b = key[0].as_py()
-        h, c = merged(table.column("blob").to_pylist(), b, short=True)
-        made = Bitmap(BITS, WAYS).make([(h[c >= n], k) for k, n in enumerate(CLASSES)]) if (c > 1).any() else None
-        return pa.table({"bucket": pa.array([b], pa.int32()), "segment": pa.array([made], pa.binary())})
-
-    rows = docs.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(bits, "bucket int, segment binary")
-    return assembled(rows, BITS)
-
-
-def class_of(filter_: Bitmap, hashes: np.ndarray) -> np.ndarray:
-    """0 for shingles of one document. Depends on the hash alone, so all documents order their shingles alike."""
-    found, left = np.zeros(len(hashes), np.int8), np.arange(len(hashes))
-    for k in range(len(CLASSES)):
-        left = left[filter_.has(hashes[left] & _CUT, k)]
-        found[left] = k + 1
-    return found
-
-
-class Forest:
-    """Disjoint sets over 0 .. n-1."""
-
-    def __init__(self, n: int):
-        self.up = list(range(n))
-
-    def root(self, i: int) -> int:
-        while self.up[i] != i:
-            self.up[i] = i = self.up[self.up[i]]
-        return i
-
-
 class SignatureTree:
-    """Sets in leaves of FANOUT, leaves in nodes of FANOUT. Per node: OR of bitmaps, least and largest size, and most shingles
-    of one of its sets that share a bit with another of the same set (so overlap <= common bits + that number)."""
-
-    def __init__(self, sets: list[np.ndarray], order: list[int], bits: int):
-        self.sets, self.order = sets, order
-        marks = np.zeros((len(order), bits // 8), np.uint8)
-        sizes = np.array([len(sets[i]) for i in order])
-        for k, i in enumerate(order):
-            p = (sets[i] >> np.uint64(20)) & np.uint64(bits - 1)
-            np.bitwise_or.at(marks[k], (p >> np.uint64(3)).astype(np.int64), np.uint8(1) << (p & np.uint64(7)).astype(np.uint8))
-        spare = sizes - np.bitwise_count(marks).sum(1)
-        self.levels = [(marks, sizes, sizes, spare)]
-        while len(self.levels[-1][0]) > 1:
-            m, lo, hi, s = self.levels[-1]
-            at = np.arange(0, len(m), FANOUT)
-            self.levels.append((np.bitwise_or.reduceat(m, at, axis=0), np.minimum.reduceat(lo, at), np.maximum.reduceat(hi, at), np.maximum.reduceat(s, at)))
+    """Leaves of neighbouring sets (in the order given), nodes of FANOUT children. Per node: OR of bitmaps, least and largest
+    size, and most shingles of one of its sets that share a bit with another of the same set (so that the overlap of two
+    sets is at most their nodes' common bits plus the smaller of these numbers)."""
+
+    def __init__(self, size: np.ndarray, at: np.ndarray, column: np.ndarray, order: np.ndarray, bits: int):
+        """Set i has size[i] shingles, of which column[at[i]:at[i + 1]] are in other sets too (numbers, shared by all trees)."""
+        edges, held = [0], 0
+        for k, i in enumerate(order.tolist()):
+            held += int(at[i + 1] - at[i])
+            if k > edges[-1] and (k - edges[-1] >= LEAF or held > LEAF_SHINGLES):
+                edges.append(k)
+                held = int(at[i + 1] - at[i])
+        self.leaves = np.split(order, edges[1:])
+        marks, most = np.zeros((len(order), bits // 8), np.uint8), size[order]
+        shared = (at[1:] - at[:-1])[order]
+        own = column[np.repeat(at[order] - np.cumsum(shared) + shared, shared) + np.arange(shared.sum())].astype(np.uint64)
+        place = ((own * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) & np.uint64(bits - 1)
+        np.bitwise_or.at(marks, (np.repeat(np.arange(len(order)), shared), (place >> np.uint64(3)).astype(np.int64)), np.uint8(1) << (place & np.uint64(7)).astype(np.uint8))
+        spare = shared - np.bitwise_count(marks).sum(1)
+        first = np.array(edges)
+        self.levels = [tuple(f.reduceat(x, first) for f, x in ((np.bitwise_or, marks), (np.minimum, most), (np.maximum, most), (np.maximum, spare)))]
+        while len(self.levels[-1][1]) > 1:
+            first = np.arange(0, len(self.levels[-1][1]), FANOUT)
+            self.levels.append(tuple(f.reduceat(x, first) for f, x in zip((np.bitwise_or, np.minimum, np.maximum, np.maximum), self.levels[-1], strict=True)))
 
     def possible(self, level: int, a: np.ndarray, other: SignatureTree, b: np.ndarray, percent: int) -> np.ndarray:
         """Whether sets below nodes a and b (pairwise) may link: sizes near enough, and the largest possible overlap enough."""
@@ -114,188 +86,272 @@ class SignatureTree:
         return near & (100 * overlap >= percent * (lo[a] + lo2[b] - overlap))
 
 
-def linked(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
-    both = np.concatenate((x, y))
-    both.sort()
-    common = int((both[1:] == both[:-1]).sum())
-    return 100 * common >= percent * (len(x) + len(y) - common)
-
-
-def tree_join(sets: list[np.ndarray], left: list[int], right: list[int], percent: int) -> list[tuple[int, int]]:
-    """Links between sets of `left` and `right` (equal lists: within), as many as join what is linked into components.
-
-    Goes down two trees together, level by level. Sets that are in one component already aren't compared; neighbours in the
-    order of the leaves are, first, as near copies stand side by side there.
+class Block:
+    """Sets that are joined with each other: sizes, and of each set the numbers of those shingles that several sets have."""
+
+    def __init__(self, sets: list[np.ndarray]):
+        self.size = np.array([len(s) for s in sets])
+        owner = np.repeat(np.arange(len(sets)), self.size)
+        uni, number, n = np.unique(np.concatenate(sets) if len(sets) else np.zeros(0, np.uint64), return_inverse=True, return_counts=True)
+        several = n[number] > 1
+        renumbered = np.cumsum(n > 1) - 1
+        self.column, self.n_columns = renumbered[number[several]], int((n > 1).sum())
+        self.at = np.searchsorted(owner[several], np.arange(len(sets) + 1))
+
+    def rows(self, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Row (place in `which`) and column of every shared shingle of these sets."""
+        n = self.at[which + 1] - self.at[which]
+        return np.repeat(np.arange(len(which)), n), self.column[np.repeat(self.at[which] - np.cumsum(n) + n, n) + np.arange(n.sum())]
+
+    def linked(self, a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
+        """Which sets of a link with which of b: overlaps by one matrix product over the shingles that both sides have."""
+        (ra, ca), (rb, cb) = self.rows(a), self.rows(b)
+        there = np.zeros(self.n_columns, np.int8)
+        there[ca] = 1
+        there[cb] |= 2
+        both = np.flatnonzero(there == 3)
+        number = np.zeros(self.n_columns, np.int64)
+        number[both] = np.arange(len(both))
+        x, y = np.zeros((len(a), len(both)), np.float32), np.zeros((len(b), len(both)), np.float32)
+        inside = there[ca] == 3
+        x[ra[inside], number[ca[inside]]] = 1
+        inside = there[cb] == 3
+        y[rb[inside], number[cb[inside]]] = 1
+        overlap = np.rint(x @ y.T).astype(np.int64)
+        return 100 * overlap >= percent * (self.size[a][:, None] + self.size[b][None, :] - overlap)
+
+
+def tree_join(sets: list[np.ndarray], left: list[int], right: list[int], percent: int, copies: np.ndarray | None = None) -> tuple[list[tuple[int, int]], np.ndarray, int]:
+    """Joins the sets of `left` with those of `right` (equal lists: within). Sets are ascending and not empty.
+
+    Returns links that connect what all links connect, per set the copies (default: one each) it links with, and the number of pairs that
+    were compared. Goes down two trees together, level by level.
     """
+    copies = np.ones(len(sets), np.int64) if copies is None else copies
+    partners, links, compared = np.zeros(len(sets), np.int64), [], 0
     self_join = left == right
-    largest = max((len(sets[i]) for i in {*left, *right}), default=1)
+    if not left or not right or (self_join and len(left) < 2):
+        return links, partners, compared
+    block = Block(sets)
+    # Sets with the same least shared shingle stand side by side; of those, sets of like size.
+    lead = np.array([block.column[block.at[i]] if block.at[i + 1] > block.at[i] else -1 for i in range(len(sets))])
+    largest = int(np.diff(block.at).max(initial=1))
     bits = min(1 << 16, max(64, 1 << (2 * largest - 1).bit_length()))
-    key = lambda i: (int(sets[i][0]), len(sets[i]))
-    orders = [sorted(left, key=key), sorted(right, key=key)]
-    trees = [SignatureTree(sets, orders[0], bits)]
-    trees.append(trees[0] if self_join else SignatureTree(sets, orders[1], bits))
-    forest, links = Forest(len(sets)), []
-
-    def compare(i: int, j: int) -> None:
-        a, b = forest.root(i), forest.root(j)
-        if a != b and linked(sets[i], sets[j], percent):
-            forest.up[max(a, b)] = min(a, b)
-            links.append((i, j))
-
-    side = sorted({*left, *right}, key=key)
-    members = set(left) if not self_join else set()
-    for step in (1, 2, 3):
-        for i, j in zip(side, side[step:], strict=False):
-            if self_join or (i in members) != (j in members):
-                compare(i, j)
+    trees = [SignatureTree(block.size, block.at, block.column, own[np.lexsort((block.size[own], lead[own]))], bits) for own in (np.array(left), np.array(right))[: 1 if self_join else 2]]
+    trees = trees * 2 if self_join else trees
+    up = list(range(len(sets)))
+
+    def root(i: int) -> int:
+        while up[i] != i:
+            up[i] = i = up[up[i]]
+        return i
+
     top = min(len(trees[0].levels), len(trees[1].levels)) - 1
-    n = [len(t.levels[top][0]) for t in trees]
-    a, b = (x.ravel() for x in np.indices(n))
+    a, b = (x.ravel() for x in np.indices([len(t.levels[top][1]) for t in trees]))
     for level in range(top, -1, -1):
         if self_join:
             a, b = a[a <= b], b[a <= b]
-        whole = []  # the component of each node whose sets are all of one, else less than 0
-        for t, o in zip(trees, orders, strict=True):
-            roots = np.array([forest.root(i) for i in o])
-            at = np.arange(0, len(roots), FANOUT**level)
-            low, high = np.minimum.reduceat(roots, at), np.maximum.reduceat(roots, at)
-            whole.append(np.where(low == high, low, -1))
-        apart = (whole[0][a] != whole[1][b]) | (whole[0][a] < 0)
-        a, b = a[apart], b[apart]
-        good = np.concatenate([trees[0].possible(level, a[k : k + 4096], trees[1], b[k : k + 4096], percent) for k in range(0, len(a), 4096)] or [np.zeros(0, bool)])
+        good = np.concatenate([trees[0].possible(level, a[k : k + 2048], trees[1], b[k : k + 2048], percent) for k in range(0, len(a), 2048)] or [np.zeros(0, bool)])
         a, b = a[good], b[good]
         if level:
-            n = [len(t.levels[level - 1][0]) for t in trees]
+            n = [len(t.levels[level - 1][1]) for t in trees]
             a, b = (np.repeat(a * FANOUT, FANOUT**2) + np.tile(np.repeat(np.arange(FANOUT), FANOUT), len(a)), np.repeat(b * FANOUT, FANOUT**2) + np.tile(np.arange(FANOUT), FANOUT * len(b)))
             inside = (a < n[0]) & (b < n[1])
             a, b = a[inside], b[inside]
-    for i, j in zip(a, b, strict=True):
-        compare(orders[0][i], orders[1][j])
-    return links
+    for i, j in zip(a.tolist(), b.tolist(), strict=True):
+        p, q = trees[0].leaves[i], trees[1].leaves[j]
+        compared += len(p) * len(q)
+        found = block.linked(p, q, percent)
+        if self_join and i == j:
+            np.fill_diagonal(found, False)
+        if not found.any():
+            continue
+        partners[p] += found @ copies[q]
+        if not (self_join and i == j):
+            partners[q] += copies[p] @ found
+        while True:
+            rp, rq = np.array([root(x) for x in p]), np.array([root(x) for x in q])
+            new = found & (rp[:, None] != rq[None, :])
+            rows = np.flatnonzero(new.any(1))
+            if not len(rows):
+                break
+            for r, c in zip(rows.tolist(), new[rows].argmax(1).tolist(), strict=True):
+                x, y = root(p[r]), root(q[c])
+                if x != y:
+                    up[max(x, y)] = min(x, y)
+                    links.append((int(p[r]), int(q[c])))
+    return links, partners, compared
 
 
 def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """One row (doc_id, n_shingles, component_id) per row of `docs`, which needs doc_id (whole numbers) and text.
+    """One row (doc_id, n_shingles, component_id, n_links) per row of `docs`, which needs doc_id (whole numbers) and text.
 
     Sets are of distinct shingles of `size` words (A-Z lower-cased); fewer words make one shingle; no words, or null, none,
     which links with nothing. Sets link when their Jaccard similarity is at least percent / 100. component_id is the least
-    doc_id reachable by links. Rows that share a doc_id pool their links. A row with a null doc_id links with nothing and has
-    itself (null) as component. An empty table gives an empty result.
+    doc_id reachable by links; n_links counts the other rows that a row's set links with, rows with an equal set among them.
+    Rows that share a doc_id pool their groups. A row with a null doc_id links with nothing and has itself (null) as component.
+    An empty table gives an empty result; other columns are not read.
     """
     spark = docs.sparkSession
     ship(spark)
-    sent = spark.sparkContext.broadcast(classes(docs, size))
-
-    def measure(batches):
-        asked = Bitmap(BITS, WAYS, sent.value)
-        for batch in batches:
-            for w in words(batch.column(1), GRAPHIC, LOWER):
-                n_docs = len(w.offsets) - 1
-                doc, hashes = shingles(w, size)
-                kind = class_of(asked, hashes)
-                total, shared = np.bincount(doc, minlength=n_docs), np.bincount(doc[kind > 0], minlength=n_docs)
-                order = np.lexsort((hashes, kind, doc))
-                hashes, at = hashes[order], np.concatenate(([0], np.cumsum(total)))
-                ids = batch.column(0).slice(w.first, n_docs)
-                may = (100 * shared >= percent * total) & (total > 0) & ids.is_valid().to_numpy(zero_copy_only=False)
-                sets = [hashes[at[i] : at[i + 1]].tobytes() if may[i] else None for i in range(n_docs)]
-                yield pa.RecordBatch.from_arrays([ids, pa.array(total), pa.array(total - shared), pa.array(sets, pa.binary())], names=["id", "n", "alone", "shingles"])
-
-    numbers = docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(measure, "id long, n long, alone long, shingles binary")
-    numbers = written(numbers.withColumn("set", F.md5("shingles")), "shingle-sets")
-    sent.destroy()
-    nodes = numbers.filter(F.col("shingles").isNotNull()).groupBy("set").agg(F.min("id").alias("node"))
-    nodes = written(nodes, "shingle-nodes")
-    whole = numbers.filter(F.col("shingles").isNotNull()).join(nodes.withColumnRenamed("node", "id"), ["set", "id"]).dropDuplicates(["set", "id"]).select(F.col("id").alias("node"), "n", "alone", "shingles")
-    whole = written(whole, "node-sets")
+    numbered = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
+    deal = deal_of(docs)
+    bits, cut = deal.bits, mask(deal.bits, WIDTH)
+    dealt = numbered.withColumn("chunk", deal.chunk("id", "text"))
+
+    def chunk_sets(table):
+        """Per step: the first row, the number of rows, and the shingles."""
+        for w in words(table.column("text"), GRAPHIC, LOWER):
+            yield w.first, len(w.offsets) - 1, *shingles(w, size)
+
+    def ask(key, table):
+        hashes, counts = counted(np.concatenate([h for _, _, _, h in chunk_sets(table)] or [np.zeros(0, np.uint64)]) & cut)
+        buckets, blobs = packed(hashes, counts, bits, WIDTH)
+        return pa.table({"chunk": pa.array([key[0].as_py()] * len(blobs), pa.int32()), "bucket": pa.array(buckets, pa.int32()), "blob": pa.array(blobs, pa.binary())})
+
+    def answer(key, table):
+        b = key[0].as_py()
+        parts = [unpack(x, b, bits, WIDTH) for x in table.column("blob").to_pylist()]
+        _, n, place = totals(parts)
+        kinds = np.searchsorted(CLASSES, n, "right").astype(np.uint8)[place]
+        ends = np.cumsum([len(h) for h, _ in parts])
+        return pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "kinds": pa.array([x.tobytes() for x in np.split(kinds, ends[:-1])], pa.binary())})
+
+    def measure(key, table, answers):
+        answers = answers.sort_by("bucket")
+        kinds = np.frombuffer(b"".join(answers.column("kinds").to_pylist()), np.uint8)
+        steps = list(chunk_sets(table))
+        asked = np.unique(np.concatenate([h for _, _, _, h in steps] or [np.zeros(0, np.uint64)]) & cut)
+        ids, texts = table.column("id").combine_chunks(), table.column("text").combine_chunks()
+        valid = ids.is_valid().to_numpy(zero_copy_only=False)
+        out = {k: [] for k in ("n", "alone", "lead", "set", "rare", "text")}
+        for first, rows, doc, hashes in steps:
+            kind = kinds[np.searchsorted(asked, hashes & cut)]
+            total, shared = np.bincount(doc, minlength=rows), np.bincount(doc[kind > 0], minlength=rows)
+            may = (100 * shared >= percent * total) & (total > 0) & valid[first : first + rows]
+            order = np.lexsort((hashes, kind, doc))
+            ordered, at = hashes[order], np.concatenate(([0], np.cumsum(total)))
+            for i in range(rows):
+                n, alone = int(total[i]), int(total[i] - shared[i])
+                rare = ordered[at[i] + alone : at[i] + n - -(-percent * n // 100) + 1] if may[i] else None
+                out["n"].append(n)
+                out["alone"].append(alone)
+                out["lead"].append(int(rare[0].view(np.int64)) if may[i] else None)
+                out["set"].append(hashlib.md5(hashes[at[i] : at[i + 1]].tobytes()).digest() if may[i] else None)
+                out["rare"].append(rare.tobytes() if may[i] else None)
+                out["text"].append(texts[first + i] if may[i] else None)
+        kept = pa.array([None if t is None else t.as_py() for t in out["text"]], pa.string())
+        return pa.table({"id": ids, "n": pa.array(out["n"], pa.int64()), "lead": pa.array(out["lead"], pa.int64()), "set": pa.array(out["set"], pa.binary()), "rare": pa.array(out["rare"], pa.binary()), "text": kept})
+
+    asked = dealt.groupBy("chunk").applyInArrow(ask, "chunk int, bucket int, blob binary")
+    answers = asked.groupBy("bucket").applyInArrow(answer, "chunk int, bucket int, kinds binary")
+    sets = dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(measure, "id long, n long, lead long, set binary, rare binary, text string")
+    sets = written(sets, "shingle-sets")
+    nodes = sets.filter("set IS NOT NULL").groupBy("set").agg(F.min("id").alias("node"), F.count(F.lit(1)).alias("copies"), F.min_by(F.struct("n", "lead", "rare", "text"), "id").alias("own"))
+    nodes = written(nodes.select("set", "node", "copies", "own.*"), "shingle-nodes")
+
+    def meet(tokens: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct tokens and a node of each, and links between nodes that share one."""
+        order = np.lexsort((own, tokens))
+        tokens, own = tokens[order], own[order]
+        first = firsts(tokens)
+        a, b = united(own, np.repeat(own[first], np.diff(np.append(first, len(own)))))
+        return tokens[first], own[first], a[a != b], b[a != b]
 
     def rare(batches):
         """Links within a flush go out at once; of each shingle one row travels on."""
         held, size_ = [], 0
 
         def send():
-            tokens, own = (np.concatenate(x) for x in zip(*held, strict=True))
-            order = np.lexsort((own, tokens))
-            tokens, own = tokens[order], own[order]
-            first = np.flatnonzero(np.concatenate(([True], tokens[1:] != tokens[:-1])))
-            lead = np.repeat(own[first], np.diff(np.append(first, len(own))))
-            pairs = np.unique(np.stack((own, lead), 1)[own != lead], axis=0)
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(pairs), pa.int32()), pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.nulls(len(pairs), pa.binary())], schema=edge_schema)
-            tokens, own = tokens[first], own[first]
-            at = np.searchsorted(bucket_of(tokens), np.arange(BUCKETS + 1))
+            tokens, own, a, b = meet(*(np.concatenate(x) for x in zip(*held, strict=True)))
+            at = cuts(tokens, bits)
             found = np.flatnonzero(np.diff(at))
             blobs = [tokens[at[k] : at[k + 1]].tobytes() + own[at[k] : at[k + 1]].tobytes() for k in found]
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(a), pa.int32()), pa.array(a), pa.array(b), pa.nulls(len(a), pa.binary())], schema=edge_schema)
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.nulls(len(found), pa.int64()), pa.nulls(len(found), pa.int64()), pa.array(blobs, pa.binary())], schema=edge_schema)
 
         for batch in batches:
-            for node, n, alone, blob in zip(*(batch.column(i) for i in range(4)), strict=True):
-                n, alone, node = n.as_py(), alone.as_py(), node.as_py()
-                prefix = n - -(-percent * n // 100) + 1
-                if prefix > alone:
-                    tokens = np.frombuffer(blob.as_buffer(), np.uint64)[alone:prefix]
-                    held.append((tokens, np.full(len(tokens), node)))
-                    size_ += len(tokens)
-            if size_ > 1_500_000:
-                yield from send()
-                held, size_ = [], 0
+            for node, blob in zip(batch.column(0).to_numpy(), batch.column(1), strict=True):
+                tokens = np.frombuffer(blob.as_buffer(), np.uint64)
+                held.append((tokens, np.full(len(tokens), node)))
+                size_ += len(tokens)
+                if size_ > 1_500_000:
+                    yield from send()
+                    held, size_ = [], 0
         if held:
             yield from send()
 
     edge_schema = pa.schema([("bucket", pa.int32()), ("a", pa.int64()), ("b", pa.int64()), ("blob", pa.binary())])
 
-    def meet(key, table):
-        blobs = [b for b in table.column("blob").to_pylist() if b is not None]
-        tokens = np.concatenate([np.frombuffer(b, np.uint64, len(b) // 16) for b in blobs])
-        own = np.concatenate([np.frombuffer(b, np.int64, len(b) // 16, len(b) // 2) for b in blobs])
-        order = np.lexsort((own, tokens))
-        tokens, own = tokens[order], own[order]
-        first = np.flatnonzero(np.concatenate(([True], tokens[1:] != tokens[:-1])))
-        lead = np.repeat(own[first], np.diff(np.append(first, len(own))))
-        pairs = np.unique(np.stack((own, lead), 1)[own != lead], axis=0)
-        return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
-
-    sent_out = written(whole.select("node", "n", "alone", "shingles").mapInArrow(rare, "bucket int, a long, b long, blob binary"), "rare-shingles")
-    met = sent_out.filter("bucket IS NOT NULL").select("bucket", "blob").groupBy("bucket").applyInArrow(meet, "a long, b long")
-    blocks = components(sent_out.filter("bucket IS NULL").select("a", "b").unionByName(met))
-
-    sizes = blocks.groupBy("component").agg(F.count(F.lit(1)).alias("members"))
-    pieces = F.ceil(F.col("members") / F.lit(BLOCK)).cast("int")
-    placed = blocks.join(sizes, "component").select("node", F.col("component").alias("block"), pieces.alias("pieces"), F.pmod(F.xxhash64("node"), pieces).cast("int").alias("piece"))
-    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("pieces") - 1)))
-    own = F.when(F.col("pieces") == 1, F.pmod(F.xxhash64("block"), F.lit(GROUPS))).otherwise(F.xxhash64("block", F.least("piece", "other"), F.greatest("piece", "other")))
-    # The other piece's rows come under the same key; a key of two pieces never gets a third.
-    tasks = placed.select("node", "block", "piece", F.least("piece", "other").alias("low"), F.greatest("piece", "other").alias("high"), own.alias("task"))
+    def gather(key, table):
+        blobs = table.column("blob").to_pylist()
+        tokens = np.concatenate([np.frombuffer(x, np.uint64, len(x) // 16) for x in blobs])
+        own = np.concatenate([np.frombuffer(x, np.int64, len(x) // 16, len(x) // 2) for x in blobs])
+        _, _, a, b = meet(tokens, own)
+        return pa.table({"a": a, "b": b})
+
+    sent = written(nodes.select("node", "rare").mapInArrow(rare, "bucket int, a long, b long, blob binary"), "rare-shingles")
+    met = sent.filter("bucket IS NOT NULL").select("bucket", "blob").groupBy("bucket").applyInArrow(gather, "a long, b long")
+    blocks = written(components(sent.filter("bucket IS NULL").select("a", "b").unionByName(met)), "shingle-blocks")
+
+    members = blocks.join(nodes.select("node", "lead", "n"), "node")
+    extent = members.groupBy("component").agg(F.count(F.lit(1)).alias("members"), F.sum("n").alias("shingles"), F.percentile_approx("lead", [k / PIECES for k in range(1, PIECES)], 1000).alias("edges"))
+    # Pieces by content: between quantiles of the rarest shingle; where many share one, the pieces that it spans share them by hash.
+    by_content = F.least(F.greatest(F.ceil(F.col("members") / PIECE), F.lit(1)), F.lit(PIECES)).cast("int")
+    by_hash = F.greatest(F.ceil(F.col("shingles") / F.lit(PIECE_SHINGLES) / F.col("by_content")), F.lit(1)).cast("int")
+    low, high = (F.size(F.filter("edges", lambda x: x < F.col("lead"))), F.size(F.filter("edges", lambda x: x <= F.col("lead"))))
+    turn = low + F.pmod(F.xxhash64("node"), high - low + 1)
+    placed = (
+        members.join(extent, "component").withColumn("by_content", by_content).withColumn("by_hash", by_hash)
+        .select("node", F.col("component").alias("block"), (F.col("by_content") * F.col("by_hash")).alias("pieces"), (F.floor(turn * F.col("by_content") / PIECES) * F.col("by_hash") + F.pmod(F.xxhash64("node", F.lit(1)), F.col("by_hash"))).cast("int").alias("piece"))
+        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("pieces") - 1)))
+    )
+    low, high = F.least("piece", "other"), F.greatest("piece", "other")
+    # Small blocks are dealt out to as many groups as there are chunks of documents; a pair of pieces has a group of its own.
+    task = F.when(F.col("pieces") == 1, F.pmod(F.xxhash64("block"), F.lit(deal.chunks + 255))).otherwise(F.xxhash64("block", low, high))
+    tasks = placed.select("node", "block", "piece", low.alias("low"), high.alias("high"), task.alias("task"))
 
     def join(key, table):
-        node, block, piece, low, high = (table.column(c).to_numpy() for c in ("node", "block", "piece", "low", "high"))
-        sets = [np.sort(np.frombuffer(b.as_buffer(), np.uint64)) for b in table.column("shingles")]
+        node, block, piece, low, high, copies = (table.column(c).to_numpy() for c in ("node", "block", "piece", "low", "high", "copies"))
+        sets = [None] * len(node)
+        for w in words(table.column("text"), GRAPHIC, LOWER):
+            doc, hashes = shingles(w, size)
+            at = np.searchsorted(doc, np.arange(len(w.offsets)))
+            for i in range(len(at) - 1):
+                sets[w.first + i] = hashes[at[i] : at[i + 1]]
         order = np.lexsort((high, low, block))
-        new = np.flatnonzero(np.concatenate(([True], (block[order][1:] != block[order][:-1]) | (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1]))))
-        a, b = [], []
-        for rows in np.split(order, new[1:]):
-            rows = rows.tolist()
-            if low[rows[0]] == high[rows[0]]:
-                left = right = rows
-            else:
-                left, right = [i for i in rows if piece[i] == low[i]], [i for i in rows if piece[i] == high[i]]
-            if left and right:
-                for i, j in tree_join(sets, left, right, percent):
-                    a.append(node[i])
-                    b.append(node[j])
-        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
-
-    links = tasks.join(whole.select("node", "shingles"), "node").groupBy("task").applyInArrow(join, "a long, b long")
-    found = components(links).withColumnRenamed("component", "least")
-    grouped = nodes.join(found, "node", "left").select("set", F.coalesce("least", "node").alias("least"))
-    least = numbers.filter(F.col("shingles").isNotNull()).join(grouped, "set").select("id", "n", "least").unionByName(numbers.filter(F.col("shingles").isNull()).select("id", "n", F.col("id").alias("least")))
-    return least.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("least").alias("component_id"))
+        a, b, partners = [], [], np.zeros(len(node), np.int64)
+        for rows in np.split(order, firsts(block[order], low[order], high[order])[1:]):
+            lo, hi = low[rows[0]], high[rows[0]]
+            k = np.arange(len(rows))
+            left, right = (k, k) if lo == hi else (k[piece[rows] == lo], k[piece[rows] == hi])
+            links, linked, _ = tree_join([sets[i] for i in rows], left.tolist(), right.tolist(), percent, copies[rows])
+            a += [node[rows[i]] for i, _ in links]
+            b += [node[rows[j]] for _, j in links]
+            partners[rows] += linked
+        some = np.flatnonzero(partners)
+        none = pa.nulls(len(some), pa.int64())
+        counts = pa.table({"a": none, "b": none, "set": table.column("set").take(some), "partners": partners[some]})
+        n = len(a)
+        return pa.concat_tables([pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "set": pa.nulls(n, pa.binary()), "partners": pa.nulls(n, pa.int64())}), counts.cast(pa.schema([("a", pa.int64()), ("b", pa.int64()), ("set", pa.binary()), ("partners", pa.int64())]))])
+
+    found = tasks.join(nodes.select("node", "set", "copies", "text"), "node").groupBy("task").applyInArrow(join, "a long, b long, set binary, partners long")
+    found = written(found, "shingle-links")
+    least = components(found.filter("set IS NULL").select("a", "b")).withColumnRenamed("component", "least")
+    partners = found.filter("set IS NOT NULL").groupBy("set").agg(F.sum("partners").alias("partners"))
+    known = nodes.select("set", "node", "copies").join(least, "node", "left").join(partners, "set", "left")
+    known = known.select("set", F.coalesce("least", "node").alias("least"), (F.col("copies") - 1 + F.coalesce("partners", F.lit(0))).alias("links"))
+    done = sets.filter("set IS NOT NULL").select("id", "n", "set").join(known, "set").select("id", "n", "least", "links")
+    done = done.unionByName(sets.filter("set IS NULL").select("id", "n", F.col("id").alias("least"), F.lit(0).cast("long").alias("links")))
+    return done.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("least").alias("component_id"), F.col("links").alias("n_links"))
 
 
 def keep_one(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """Of each group of near copies the row with the least doc_id (all rows, if several have it), with the columns of `docs`.
     Rows with a null doc_id stay."""
-    lead = near_groups(docs, size, percent).filter(F.col("component_id").eqNullSafe(F.col("doc_id"))).select(F.col("doc_id").alias("_lead")).distinct()
-    return docs.join(lead, F.col("doc_id").eqNullSafe(F.col("_lead")), "left_semi")
+    (gone,) = fresh(docs.columns, "later_copy")
+    later = near_groups(docs, size, percent).filter("component_id != doc_id").select(F.col("doc_id").alias(gone)).distinct()
+    return docs.join(later, named("doc_id").cast("long") == F.col(gone), "left_anti")
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

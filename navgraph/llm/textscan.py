@@ -8,7 +8,8 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
-#: Bytes of text per step; temporaries take about thirty times as much. A longer document is a step of its own.
+#: Bytes of text per step; temporaries take about thirty times as much. A longer document is a step of its own, of which as
+#: many bytes at a time are hashed; then a few bytes per byte of text are held.
 STEP_BYTES = 2 << 20
 
 SPACES = np.zeros(256, bool)
@@ -26,18 +27,26 @@ _BASE = 0x9E3779B97F4A7C15 | 1
 _GRAM = 0xD6E8FEB86659FD93 | 1
 _TABLE = np.random.default_rng(20240607).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _powers: dict[int, np.ndarray] = {}
+_LOW = 16
 
 
 def _power(base: int, n: int) -> np.ndarray:
     """base**0 .. base**(n-1), modulo 2**64."""
     have = _powers.get(base)
     if have is None or len(have) < n:
-        have = np.full(max(n, 1 << 16), base, np.uint64)
+        have = np.full(max(n, 1 << _LOW), base, np.uint64)
         have[0] = 1
         have = _powers[base] = np.multiply.accumulate(have)
     return have[:n]
 
 
+def _raised(base: int, exponents: np.ndarray) -> np.ndarray:
+    """base**e modulo 2**64 for each e, by two small tables."""
+    low = _power(base, 1 << _LOW)[exponents & ((1 << _LOW) - 1)]
+    far = int(exponents.max(initial=0)) >> _LOW
+    return low if not far else low * _power(pow(base, 1 << _LOW, 1 << 64), far + 1)[exponents >> _LOW]
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Spreads all bits over all bits (one to one)."""
     x = x ^ (x >> np.uint64(33))
@@ -48,11 +57,30 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+def _sums(value, size: int, places: np.ndarray, base: int) -> np.ndarray:
+    """At each place: the sum of value[i] * base**i over all i before it. value(a, b) gives values a .. b-1; places ascend."""
+    found, carry = np.empty(len(places), np.uint64), np.uint64(0)
+    for a in range(0, max(size, 1), STEP_BYTES):
+        b = min(size, a + STEP_BYTES)
+        run = np.zeros(b - a + 1, np.uint64)
+        np.cumsum(value(a, b) * _power(base, b - a), out=run[1:])
+        if a:
+            run = run * np.uint64(pow(base, a, 1 << 64)) + carry
+        i, j = np.searchsorted(places, a), np.searchsorted(places, b, "right")
+        found[i:j] = run[places[i:j] - a]
+        carry = run[-1]
+    return found
+
+
+def _hashed(before: np.ndarray, after: np.ndarray, starts: np.ndarray, ends: np.ndarray, base: int) -> np.ndarray:
+    return mix((after - before) * _raised(pow(base, -1, 1 << 64), starts) + (ends - starts).astype(np.uint64))
+
+
 def _spans(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, base: int) -> np.ndarray:
     """Polynomial hashes of values[start:end], which don't depend on the place."""
     sums = np.zeros(len(values) + 1, np.uint64)
-    np.cumsum(values * _power(base, len(values)), out=sums[1:])
-    return mix((sums[ends] - sums[starts]) * _power(pow(base, -1, 1 << 64), len(values) + 1)[starts] + (ends - starts).astype(np.uint64))
+    np.cumsum(values * _raised(base, np.arange(len(values))) if len(values) > 1 << 21 else values * _power(base, len(values)), out=sums[1:])
+    return _hashed(sums[starts], sums[ends], starts, ends, base)
 
 
 @dataclass
@@ -120,4 +148,6 @@ def words(column, letters: np.ndarray = GRAPHIC, case: np.ndarray = SAME) -> Ite
         cut[bounds] = True
         starts = np.flatnonzero(inside[1:] & (~inside[:-1] | cut))
         ends = np.flatnonzero(inside[:-1] & (~inside[1:] | cut))
-        yield Words(i, own, bounds, starts, ends, np.searchsorted(starts, bounds), _spans(table[own], starts, ends, _BASE))
+        value = lambda a, b, own=own: table[own[a:b]]
+        hashes = _hashed(_sums(value, len(own), starts, _BASE), _sums(value, len(own), ends, _BASE), starts, ends, _BASE) if len(own) > STEP_BYTES else _spans(table[own], starts, ends, _BASE)
+        yield Words(i, own, bounds, starts, ends, np.searchsorted(starts, bounds), hashes)
