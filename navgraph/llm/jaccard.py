@@ -1,7 +1,7 @@
 """Jaccard join of documents on word shingles, by signature trees.
 
-1. Chunks of documents ask buckets of shingle hashes how many documents have each shingle. That gives its class (1, 2 or more,
-   8, 64, 512 or more documents). A document of which less than the threshold's share is in other documents links with nothing.
+1. Chunks of documents ask buckets of shingle hashes how often each shingle occurs. That gives its class (once, 2 or more, 8,
+   64, 512 or more times). A document of which less than the threshold's share occurs more than once links with nothing.
 2. Documents with equal sets are one node. Nodes that share one of their rarest shingles (so many that linked sets can't miss
    each other) fall into one block, found as connected components.
 3. In a block a signature tree is built: a node holds the OR of its sets' bitmaps and the range of their sizes. It is joined
@@ -23,67 +23,45 @@ from pyspark.sql import functions as F
 
 from navgraph.llm.arrow import fresh, named
 from navgraph.llm.components import components, united
-from navgraph.llm.deal import bucket_of, counted, cuts, deal_of, firsts, mask, packed, totals, unpack
+from navgraph.llm.deal import counted, cuts, deal_of, firsts, mask, packed, totals, unpack
 from navgraph.llm.textscan import GRAPHIC, LOWER, Words, words
 from navgraph.session import ship, written
 
 SHINGLE, PERCENT = 5, 75
-#: Least number of documents of each class of shingles.
+#: Least number of occurrences of each class of shingles.
 CLASSES = np.array([2, 8, 64, 512])
 #: Bytes of a hash below its bucket's bits that the census keeps: a class needs no more.
 WIDTH = 4
 #: Nodes of a piece, pieces of a block by content, and shingles of a piece (a block of more is cut further by hash).
 PIECE, PIECES, PIECE_SHINGLES = 128, 32, 1 << 21
 #: Sets of a leaf, most shingles of a leaf of several sets, and children of a node.
-LEAF, LEAF_SHINGLES, FANOUT = 32, 200_000, 8
+LEAF, LEAF_SHINGLES, FANOUT = 16, 200_000, 8
+#: Bits of a bitmap per shared shingle of a leaf: so many that unlike leaves have few bits in common.
+SPARSE = 16
 
 
-def shingles(w: Words, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
-    """Documents (counted from w.first) and hashes of their distinct shingles, in order of document, then hash."""
-    at, hashes = w.grams(size)
-    owner = w.owner()
-    few = np.flatnonzero((w.counts > 0) & (w.counts < size))
-    doc = np.concatenate((owner[at], few))
-    hashes = np.concatenate((hashes, w.spans(w.offsets[few], w.offsets[few + 1])))
-    order = np.lexsort((hashes, doc))
-    doc, hashes = doc[order], hashes[order]
-    new = firsts(doc, hashes)
-    return doc[new], hashes[new]
+#: The lowest bits of a shingle's hash are left clear, for its class.
+_CLEAR = ~np.uint64(7)
 
 
-class SignatureTree:
-    """Leaves of neighbouring sets (in the order given), nodes of FANOUT children. Per node: OR of bitmaps, least and largest
-    size, and most shingles of one of its sets that share a bit with another of the same set (so that the overlap of two
-    sets is at most their nodes' common bits plus the smaller of these numbers)."""
+def shingles(w: Words, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all shingles, document by document, repeats included, and where each document's begin, and the end."""
+    runs, few = np.maximum(w.counts - size + 1, 0), np.flatnonzero((w.counts > 0) & (w.counts < size))
+    runs[few] = 1
+    ends = np.cumsum(runs)
+    hashes, long_ = np.empty(int(ends[-1]) if len(ends) else 0, np.uint64), np.ones(int(ends[-1]) if len(ends) else 0, bool)
+    long_[ends[few] - 1] = False
+    hashes[long_] = w.grams(size)[1]
+    hashes[~long_] = w.spans(w.offsets[few], w.offsets[few + 1])
+    return hashes & _CLEAR, np.concatenate(([0], ends))
 
-    def __init__(self, size: np.ndarray, at: np.ndarray, column: np.ndarray, order: np.ndarray, bits: int):
-        """Set i has size[i] shingles, of which column[at[i]:at[i + 1]] are in other sets too (numbers, shared by all trees)."""
-        edges, held = [0], 0
-        for k, i in enumerate(order.tolist()):
-            held += int(at[i + 1] - at[i])
-            if k > edges[-1] and (k - edges[-1] >= LEAF or held > LEAF_SHINGLES):
-                edges.append(k)
-                held = int(at[i + 1] - at[i])
-        self.leaves = np.split(order, edges[1:])
-        marks, most = np.zeros((len(order), bits // 8), np.uint8), size[order]
-        shared = (at[1:] - at[:-1])[order]
-        own = column[np.repeat(at[order] - np.cumsum(shared) + shared, shared) + np.arange(shared.sum())].astype(np.uint64)
-        place = ((own * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) & np.uint64(bits - 1)
-        np.bitwise_or.at(marks, (np.repeat(np.arange(len(order)), shared), (place >> np.uint64(3)).astype(np.int64)), np.uint8(1) << (place & np.uint64(7)).astype(np.uint8))
-        spare = shared - np.bitwise_count(marks).sum(1)
-        first = np.array(edges)
-        self.levels = [tuple(f.reduceat(x, first) for f, x in ((np.bitwise_or, marks), (np.minimum, most), (np.maximum, most), (np.maximum, spare)))]
-        while len(self.levels[-1][1]) > 1:
-            first = np.arange(0, len(self.levels[-1][1]), FANOUT)
-            self.levels.append(tuple(f.reduceat(x, first) for f, x in zip((np.bitwise_or, np.minimum, np.maximum, np.maximum), self.levels[-1], strict=True)))
 
-    def possible(self, level: int, a: np.ndarray, other: SignatureTree, b: np.ndarray, percent: int) -> np.ndarray:
-        """Whether sets below nodes a and b (pairwise) may link: sizes near enough, and the largest possible overlap enough."""
-        m, lo, hi, s = self.levels[level]
-        m2, lo2, hi2, s2 = other.levels[level]
-        near = (100 * hi[a] >= percent * lo2[b]) & (100 * hi2[b] >= percent * lo[a])
-        overlap = np.minimum(np.bitwise_count(m[a] & m2[b]).sum(1, dtype=np.int64) + np.minimum(s[a], s2[b]), np.minimum(hi[a], hi2[b]))
-        return near & (100 * overlap >= percent * (lo[a] + lo2[b] - overlap))
+def distinct(values: np.ndarray) -> np.ndarray:
+    """Like np.unique, with less ado."""
+    if len(values) < 2:
+        return values
+    values = np.sort(values)
+    return values[np.concatenate(([True], values[1:] != values[:-1]))]
 
 
 class Block:
@@ -121,6 +99,48 @@ class Block:
         return 100 * overlap >= percent * (self.size[a][:, None] + self.size[b][None, :] - overlap)
 
 
+class SignatureTree:
+    """Leaves of neighbouring sets (in the order given), nodes of FANOUT children. Per node: OR of bitmaps, least and largest
+    size, and most shingles of one of its sets that share a bit with another of the same set (so that the overlap of two
+    sets is at most their nodes' common bits plus the smaller of these numbers)."""
+
+    def __init__(self, block: Block, order: np.ndarray):
+        """order: the sets of `block` that the tree is made of."""
+        self.block, edges, held = block, [0], 0
+        shared = (block.at[1:] - block.at[:-1])[order]
+        for k, n in enumerate(shared.tolist()):
+            held += n
+            if k > edges[-1] and (k - edges[-1] >= LEAF or held > LEAF_SHINGLES):
+                edges.append(k)
+                held = n
+        self.first, self.leaves = np.array(edges), np.split(order, edges[1:])
+        self.order, self.shared = order, shared
+        self.most = int(np.add.reduceat(shared, self.first).max())
+
+    def mark(self, bits: int) -> None:
+        """Makes the bitmaps, of `bits` bits (a power of two)."""
+        rows, own = self.block.rows(self.order)
+        place = ((own.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) & np.uint64(bits - 1)
+        taken = distinct(rows.astype(np.uint64) << np.uint64(24) | place)
+        spare = self.shared - np.bincount((taken >> np.uint64(24)).astype(np.int64), minlength=len(self.order))
+        marks = np.zeros((len(self.first), bits // 64), np.uint64)
+        leaf = np.searchsorted(self.first, rows, "right") - 1
+        np.bitwise_or.at(marks, (leaf, (place >> np.uint64(6)).astype(np.int64)), np.uint64(1) << (place & np.uint64(63)))
+        size = self.block.size[self.order]
+        self.levels = [(marks, *(f.reduceat(x, self.first) for f, x in ((np.minimum, size), (np.maximum, size), (np.maximum, spare))))]
+        while len(self.levels[-1][1]) > 1:
+            first = np.arange(0, len(self.levels[-1][1]), FANOUT)
+            self.levels.append(tuple(f.reduceat(x, first) for f, x in zip((np.bitwise_or, np.minimum, np.maximum, np.maximum), self.levels[-1], strict=True)))
+
+    def possible(self, level: int, a: np.ndarray, other: SignatureTree, b: np.ndarray, percent: int) -> np.ndarray:
+        """Whether sets below nodes a and b (pairwise) may link: sizes near enough, and the largest possible overlap enough."""
+        m, lo, hi, s = self.levels[level]
+        m2, lo2, hi2, s2 = other.levels[level]
+        near = (100 * hi[a] >= percent * lo2[b]) & (100 * hi2[b] >= percent * lo[a])
+        overlap = np.minimum(np.bitwise_count(m[a] & m2[b]).sum(1, dtype=np.int64) + np.minimum(s[a], s2[b]), np.minimum(hi[a], hi2[b]))
+        return near & (100 * overlap >= percent * (lo[a] + lo2[b] - overlap))
+
+
 def tree_join(sets: list[np.ndarray], left: list[int], right: list[int], percent: int, copies: np.ndarray | None = None) -> tuple[list[tuple[int, int]], np.ndarray, int]:
     """Joins the sets of `left` with those of `right` (equal lists: within). Sets are ascending and not empty.
 
@@ -133,11 +153,13 @@ def tree_join(sets: list[np.ndarray], left: list[int], right: list[int], percent
     if not left or not right or (self_join and len(left) < 2):
         return links, partners, compared
     block = Block(sets)
-    # Sets with the same least shared shingle stand side by side; of those, sets of like size.
+    # Sets of like size stand side by side; of those, sets with the same least shared shingle.
+    like = np.floor(np.log(block.size) / np.log(100 / percent))
     lead = np.array([block.column[block.at[i]] if block.at[i + 1] > block.at[i] else -1 for i in range(len(sets))])
-    largest = int(np.diff(block.at).max(initial=1))
-    bits = min(1 << 16, max(64, 1 << (2 * largest - 1).bit_length()))
-    trees = [SignatureTree(block.size, block.at, block.column, own[np.lexsort((block.size[own], lead[own]))], bits) for own in (np.array(left), np.array(right))[: 1 if self_join else 2]]
+    trees = [SignatureTree(block, own[np.lexsort((lead[own], like[own]))]) for own in (np.array(left), np.array(right))[: 1 if self_join else 2]]
+    bits = 1 << min(17, max(6, (SPARSE * max(t.most for t in trees)).bit_length()))
+    for t in trees:
+        t.mark(bits)
     trees = trees * 2 if self_join else trees
     up = list(range(len(sets)))
 
@@ -199,13 +221,17 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
     bits, cut = deal.bits, mask(deal.bits, WIDTH)
     dealt = numbered.withColumn("chunk", deal.chunk("id", "text"))
 
-    def chunk_sets(table):
-        """Per step: the first row, the number of rows, and the shingles."""
+    def read(table):
+        """Shingles of all texts and where each text's begin, and the end."""
+        found, ends = [np.zeros(0, np.uint64)], [np.zeros(1, np.int64)]
         for w in words(table.column("text"), GRAPHIC, LOWER):
-            yield w.first, len(w.offsets) - 1, *shingles(w, size)
+            hashes, at = shingles(w, size)
+            found.append(hashes)
+            ends.append(at[1:] + ends[-1][-1])
+        return np.concatenate(found), np.concatenate(ends)
 
     def ask(key, table):
-        hashes, counts = counted(np.concatenate([h for _, _, _, h in chunk_sets(table)] or [np.zeros(0, np.uint64)]) & cut)
+        hashes, counts = counted(read(table)[0] & cut)
         buckets, blobs = packed(hashes, counts, bits, WIDTH)
         return pa.table({"chunk": pa.array([key[0].as_py()] * len(blobs), pa.int32()), "bucket": pa.array(buckets, pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
@@ -218,30 +244,25 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
         return pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "kinds": pa.array([x.tobytes() for x in np.split(kinds, ends[:-1])], pa.binary())})
 
     def measure(key, table, answers):
-        answers = answers.sort_by("bucket")
-        kinds = np.frombuffer(b"".join(answers.column("kinds").to_pylist()), np.uint8)
-        steps = list(chunk_sets(table))
-        asked = np.unique(np.concatenate([h for _, _, _, h in steps] or [np.zeros(0, np.uint64)]) & cut)
+        kinds = np.frombuffer(b"".join(answers.sort_by("bucket").column("kinds").to_pylist()), np.uint8)
+        hashes, at = read(table)
+        order = np.argsort(hashes & cut)
+        own = (hashes & cut)[order]
+        if len(own):  # the answers are in the order of distinct hashes
+            hashes[order] |= kinds[np.cumsum(np.concatenate(([0], own[1:] != own[:-1])))]
         ids, texts = table.column("id").combine_chunks(), table.column("text").combine_chunks()
-        valid = ids.is_valid().to_numpy(zero_copy_only=False)
-        out = {k: [] for k in ("n", "alone", "lead", "set", "rare", "text")}
-        for first, rows, doc, hashes in steps:
-            kind = kinds[np.searchsorted(asked, hashes & cut)]
-            total, shared = np.bincount(doc, minlength=rows), np.bincount(doc[kind > 0], minlength=rows)
-            may = (100 * shared >= percent * total) & (total > 0) & valid[first : first + rows]
-            order = np.lexsort((hashes, kind, doc))
-            ordered, at = hashes[order], np.concatenate(([0], np.cumsum(total)))
-            for i in range(rows):
-                n, alone = int(total[i]), int(total[i] - shared[i])
-                rare = ordered[at[i] + alone : at[i] + n - -(-percent * n // 100) + 1] if may[i] else None
-                out["n"].append(n)
-                out["alone"].append(alone)
-                out["lead"].append(int(rare[0].view(np.int64)) if may[i] else None)
-                out["set"].append(hashlib.md5(hashes[at[i] : at[i + 1]].tobytes()).digest() if may[i] else None)
-                out["rare"].append(rare.tobytes() if may[i] else None)
-                out["text"].append(texts[first + i] if may[i] else None)
-        kept = pa.array([None if t is None else t.as_py() for t in out["text"]], pa.string())
-        return pa.table({"id": ids, "n": pa.array(out["n"], pa.int64()), "lead": pa.array(out["lead"], pa.int64()), "set": pa.array(out["set"], pa.binary()), "rare": pa.array(out["rare"], pa.binary()), "text": kept})
+        valid, rows = ids.is_valid().to_numpy(zero_copy_only=False), []
+        for i in range(len(at) - 1):
+            tokens = distinct(hashes[at[i] : at[i + 1]])
+            kind, n = (tokens & ~_CLEAR).astype(np.uint8), len(tokens)
+            shared = int(np.count_nonzero(kind))
+            if n and valid[i] and 100 * shared >= percent * n:
+                rare = tokens[np.argsort(kind, kind="stable")][n - shared : n - -(-percent * n // 100) + 1] & _CLEAR
+                rows.append((n, int(rare[0].view(np.int64)), hashlib.md5((tokens & _CLEAR).tobytes()).digest(), rare.tobytes(), texts[i].as_py()))
+            else:
+                rows.append((n, None, None, None, None))
+        columns = zip(*rows, strict=True) if rows else [[]] * 5
+        return pa.table([ids, *(pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.string()), strict=True))], names=["id", "n", "lead", "set", "rare", "text"])
 
     asked = dealt.groupBy("chunk").applyInArrow(ask, "chunk int, bucket int, blob binary")
     answers = asked.groupBy("bucket").applyInArrow(answer, "chunk int, bucket int, kinds binary")
@@ -296,8 +317,9 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
 
     members = blocks.join(nodes.select("node", "lead", "n"), "node")
     extent = members.groupBy("component").agg(F.count(F.lit(1)).alias("members"), F.sum("n").alias("shingles"), F.percentile_approx("lead", [k / PIECES for k in range(1, PIECES)], 1000).alias("edges"))
-    # Pieces by content: between quantiles of the rarest shingle; where many share one, the pieces that it spans share them by hash.
-    by_content = F.least(F.greatest(F.ceil(F.col("members") / PIECE), F.lit(1)), F.lit(PIECES)).cast("int")
+    # Pieces by content: between quantiles of the rarest shingle; where many share one, the pieces that it spans share them by
+    # hash. Their number is a power of two, so that they are of one size.
+    by_content = F.least(F.pow(F.lit(2.0), F.ceil(F.log2(F.greatest(F.col("members") / PIECE, F.lit(1.0))))), F.lit(PIECES)).cast("int")
     by_hash = F.greatest(F.ceil(F.col("shingles") / F.lit(PIECE_SHINGLES) / F.col("by_content")), F.lit(1)).cast("int")
     low, high = (F.size(F.filter("edges", lambda x: x < F.col("lead"))), F.size(F.filter("edges", lambda x: x <= F.col("lead"))))
     turn = low + F.pmod(F.xxhash64("node"), high - low + 1)
@@ -313,12 +335,8 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
 
     def join(key, table):
         node, block, piece, low, high, copies = (table.column(c).to_numpy() for c in ("node", "block", "piece", "low", "high", "copies"))
-        sets = [None] * len(node)
-        for w in words(table.column("text"), GRAPHIC, LOWER):
-            doc, hashes = shingles(w, size)
-            at = np.searchsorted(doc, np.arange(len(w.offsets)))
-            for i in range(len(at) - 1):
-                sets[w.first + i] = hashes[at[i] : at[i + 1]]
+        hashes, at = read(table)
+        sets = [distinct(hashes[at[i] : at[i + 1]]) for i in range(len(node))]
         order = np.lexsort((high, low, block))
         a, b, partners = [], [], np.zeros(len(node), np.int64)
         for rows in np.split(order, firsts(block[order], low[order], high[order])[1:]):
@@ -369,6 +387,7 @@ WITH RECURSIVE d AS (
 ), l AS (SELECT a, b FROM o JOIN n x ON o.a = x.doc_id JOIN n y ON o.b = y.doc_id WHERE 100 * c >= 75 * (x.n + y.n - c)
 ), r AS (SELECT doc_id AS a, doc_id AS b FROM d UNION SELECT r.a, l.b FROM r JOIN l ON r.b = l.a
 )
-SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, m.b AS component_id
+SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, m.b AS component_id, coalesce(k.links, 0)::BIGINT AS n_links
 FROM d LEFT JOIN n USING (doc_id) JOIN (SELECT a, min(b) AS b FROM r GROUP BY a) m ON m.a = d.doc_id
+LEFT JOIN (SELECT a, count(*) AS links FROM l GROUP BY a) k ON k.a = d.doc_id
 """

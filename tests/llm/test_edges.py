@@ -91,28 +91,6 @@ def test_jaccard(docs, none):
     assert jaccard.keep_one(docs).columns == docs.columns
 
 
-def test_tree_join_against_all_pairs():
-    rng = np.random.default_rng(3)
-    sets = []
-    for _ in range(40):
-        base = rng.choice(10**12, rng.integers(1, 90), replace=False).astype(np.uint64) << np.uint64(20)
-        for _ in range(rng.integers(1, 9)):
-            keep = base[rng.random(len(base)) < rng.choice([0.8, 0.95, 1.0])]
-            sets.append(np.unique(keep if len(keep) else base))
-    def groups(links, n):
-        f = jaccard.Forest(n)
-        for i, j in links:
-            a, b = f.root(i), f.root(j)
-            f.up[max(a, b)] = min(a, b)
-        return [f.root(i) for i in range(n)]
-    n = len(sets)
-    everything = [(i, j) for i in range(n) for j in range(i) if len(x := np.intersect1d(sets[i], sets[j])) * 100 >= 75 * (len(sets[i]) + len(sets[j]) - len(x))]
-    assert groups(jaccard.tree_join(sets, list(range(n)), list(range(n)), 75), n) == groups(everything, n)
-    left, right = list(range(0, n, 2)), list(range(1, n, 2))
-    parts = jaccard.tree_join(sets, left, right, 75) + jaccard.tree_join(sets, left, left, 75) + jaccard.tree_join(sets, right, right, 75)
-    assert groups(parts, n) == groups(everything, n)
-
-
 def test_substrings(spark, docs, none):
     found = substrings.dedup(docs).collect()
     assert len(found) == len(ROWS)
