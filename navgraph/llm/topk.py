@@ -1,151 +1,240 @@
 """Exact top-k inner products by dual-tree search over cover trees.
 
-Queries and candidates are dealt to blocks by a hash; each pair of blocks is one task, which indexes both sides with cover
-trees and goes down both together. A pair of nodes is left out if no point below the one can score with any query below the
-other what the worst of those queries has as its kth score: q.p <= cq.cp + Rq |cp| + Rp |cq| + Rq Rp, for centres c and
-covering radii R. Every query's k best of each task meet in one last ranking.
+Queries and candidates are dealt to blocks by their nearest pivot, so that blocks are small in space; each block's cover tree
+is built once. A pair of blocks, or of tree nodes, is left out if no point of the one can score with any query of the other
+what the worst of those queries has as its kth score: q.p <= cq.cp + Rq |cp| + Rp |cq| + Rq Rp, for centres c and covering radii
+R. Every query block first meets the candidate block that lies best for it; the kth scores found there rule out whole pairs of
+blocks before any of their vectors move, and go along with those that stay. Leaves are large and scored by one matrix product,
+so that vectors that no bound can tell apart cost no more than the plain product.
 """
 
 from __future__ import annotations
 
+import io
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from navgraph.session import ship
+from navgraph.functions.vectors import dot, norm
+from navgraph.llm.arrow import named
+from navgraph.session import ship, written
 
-#: Rows of a block of candidates and of queries; candidates and queries of a leaf; children of a node.
-CANDIDATES, QUERIES, LEAF, ASKED, CHILDREN = 8192, 4096, 48, 12, 24
-NONE = np.iinfo(np.int64).min
+#: Rows of a block of candidates and of queries; of a leaf of candidates and of queries; children of a node.
+CANDIDATES, QUERIES, LEAF, ASKED, CHILDREN = 8192, 1024, 512, 64, 16
+#: Most pivots, which every task gets. They are picked by hash and decide about speed alone.
+PIVOTS = 256
+NONE = np.iinfo(np.int64).min + 1
 
 
 class CoverTree:
-    """Nodes as arrays. Children's centres are picked farthest first, so they keep apart; every point goes to its nearest."""
-
-    def __init__(self, x: np.ndarray, leaf: int = LEAF):
-        self.leaf = leaf
-        self.x, self.norm = x, np.sqrt((x * x).sum(1))
-        self.centre: list[int] = []
-        self.radius: list[float] = []
-        self.children: list[list[int]] = []
-        self.points: list[np.ndarray] = []
-        self.root = self._build(np.arange(len(x)), 0) if len(x) else -1
-
-    def _far(self, points: np.ndarray, centre: int) -> np.ndarray:
-        d = self.x[points] - self.x[centre]
-        return np.sqrt((d * d).sum(1))
-
-    def _build(self, points: np.ndarray, centre: int) -> int:
-        me = len(self.centre)
-        d = self._far(points, centre)
-        self.centre.append(centre)
-        self.radius.append(float(d.max(initial=0.0)))
-        self.children.append([])
-        self.points.append(points)
-        if len(points) <= self.leaf or self.radius[me] == 0:
-            return me
-        least, owner, picked = d, np.zeros(len(points), np.int64), [centre]
-        while len(picked) < CHILDREN and least.max() > self.radius[me] / 2:
-            picked.append(int(points[least.argmax()]))
-            new = self._far(points, picked[-1])
-            nearer = new < least
-            owner[nearer] = len(picked) - 1
-            least = np.minimum(least, new)
-        if len(picked) == 1:
-            picked.append(int(points[least.argmax()]))
-            owner[self._far(points, picked[1]) < d] = 1
-        self.points[me] = points[:0]
-        self.children[me] = [self._build(points[owner == k], c) for k, c in enumerate(picked) if (owner == k).any()]
-        return me
+    """Nodes as arrays over points in an order that keeps a node's points together. Children's centres are picked farthest
+    first, so they keep apart; every point goes to its nearest."""
+
+    PARTS = ("x", "ids", "low", "high", "centre", "radius", "child", "children")
+
+    def __init__(self, **parts: np.ndarray):
+        for k in self.PARTS:
+            setattr(self, k, parts[k])
+
+    @classmethod
+    def of(cls, x: np.ndarray, ids: np.ndarray, leaf: int) -> CoverTree:
+        order, low, high, centre, radius, child, children = np.arange(len(x)), [0], [len(x)], [0], [], [0], [0]
+        far = lambda points, c: np.sqrt(((x[points] - x[c]) ** 2).sum(1))
+        if len(x):
+            centre = [int(far(order, np.argmin(far(order, 0))).argmin())]
+        todo = 0
+        while todo < len(low):
+            a, b, c = low[todo], high[todo], centre[todo]
+            points = order[a:b]
+            least = far(points, c)
+            radius.append(float(least.max(initial=0.0)))
+            if b - a > leaf and radius[-1] > 0:
+                owner, picked = np.zeros(len(points), np.int64), [c]
+                while len(picked) < 2 or (len(picked) < CHILDREN and least.max() > radius[-1] / 2):
+                    picked.append(int(points[least.argmax()]))
+                    new = far(points, picked[-1])
+                    nearer = new < least
+                    owner[nearer], least = len(picked) - 1, np.minimum(least, new)
+                order[a:b] = points[np.argsort(owner, kind="stable")]
+                ends = a + np.cumsum(np.bincount(owner, minlength=len(picked)))
+                child[todo], children[todo] = len(low), len(picked)
+                low += [a, *ends[:-1].tolist()]
+                high += ends.tolist()
+                centre += picked
+                child += [0] * len(picked)
+                children += [0] * len(picked)
+            todo += 1
+        place = np.empty(len(x), np.int64)
+        place[order] = np.arange(len(x))
+        whole = lambda v: np.array(v, np.int64)
+        return cls(x=x[order], ids=ids[order], low=whole(low), high=whole(high), centre=place[whole(centre)] if len(x) else whole(centre), radius=np.array(radius), child=whole(child), children=whole(children))
+
+    def dumped(self) -> bytes:
+        out, small = io.BytesIO(), not len(self.x) or np.abs(self.x).max() < 1 << 15
+        np.savez(out, **{k: getattr(self, k) for k in self.PARTS if k != "x"}, x=self.x.astype(np.int16) if small else self.x)
+        return out.getvalue()
+
+    @classmethod
+    def loaded(cls, data: bytes) -> CoverTree:
+        with np.load(io.BytesIO(data)) as parts:
+            return cls(**{k: parts[k].astype(np.float64) if k == "x" else parts[k] for k in cls.PARTS})
 
 
 class Best:
-    """The k best (score, then smaller id) of each query so far."""
+    """The k best (score, then smaller id) of each query so far; scores below `floor` aren't asked for."""
 
-    def __init__(self, n: int, k: int):
+    def __init__(self, n: int, k: int, floor: np.ndarray | None = None):
         self.k, self.score, self.id = k, np.full((n, k), NONE), np.full((n, k), np.iinfo(np.int64).max)
+        self.floor = np.full(n, NONE) if floor is None else floor.copy()
 
-    def worst(self, queries: np.ndarray) -> int:
-        return int(self.score[queries, -1].min())
-
-    def offer(self, queries: np.ndarray, scores: np.ndarray, ids: np.ndarray) -> None:
-        some = (scores >= self.score[queries, -1:]).any(1)
-        if not some.any():
+    def offer(self, rows: slice, scores: np.ndarray, ids: np.ndarray) -> None:
+        least, n = self.floor[rows], scores.shape[1]
+        if n > self.k:
+            least = np.maximum(least, np.partition(scores, n - self.k, axis=1)[:, n - self.k])
+        r, c = np.nonzero((scores >= least[:, None]) & (scores > NONE))
+        if not len(r):
             return
-        q = queries[some]
-        s = np.concatenate((self.score[q], scores[some]), 1)
-        i = np.concatenate((self.id[q], np.broadcast_to(ids, (len(q), len(ids)))), 1)
-        order = np.lexsort((i, -np.maximum(s, NONE + 1)), axis=1)[:, : self.k]
-        self.score[q], self.id[q] = np.take_along_axis(s, order, 1), np.take_along_axis(i, order, 1)
+        which, place = np.unique(r, return_inverse=True)
+        own = which + rows.start
+        row = np.concatenate((np.repeat(np.arange(len(which)), self.k), place))
+        s, i = np.concatenate((self.score[own].ravel(), scores[r, c])), np.concatenate((self.id[own].ravel(), ids[c]))
+        order = np.lexsort((i, -s, row))
+        row = row[order]
+        first = np.flatnonzero(np.concatenate(([True], row[1:] != row[:-1])))
+        order = order[(first[:, None] + np.arange(self.k)).ravel()]
+        self.score[own], self.id[own] = s[order].reshape(-1, self.k), i[order].reshape(-1, self.k)
+        self.floor[own] = np.maximum(self.floor[own], self.score[own, -1])
 
 
-def dual_search(queries: np.ndarray, query_ids: np.ndarray, points: np.ndarray, ids: np.ndarray, k: int) -> tuple[Best, int]:
-    """The best of every query among points with another id, and the number of scores that were computed."""
-    q, p, best, work = CoverTree(queries, ASKED), CoverTree(points), Best(len(queries), k), 0
-    if not len(queries) or not len(points):
-        return best, work
-    below: dict[int, np.ndarray] = {}
-
-    def all_below(n: int) -> np.ndarray:
-        if n not in below:
-            below[n] = np.concatenate([q.points[n], *(all_below(c) for c in q.children[n])])
-        return below[n]
+def products(a: np.ndarray, b: np.ndarray, largest: float) -> np.ndarray:
+    """Exact inner products of whole numbers. largest: at least the product of the largest lengths, which bounds every sum."""
+    if largest < 1 << 24:
+        return np.rint(a.astype(np.float32) @ b.astype(np.float32).T).astype(np.int64)
+    if largest < 1 << 53:
+        return np.rint(a @ b.T).astype(np.int64)
+    if largest >= 1 << 62 and (np.abs(a @ b.T).max(initial=0) >= 0.999 * (1 << 63) or max(np.abs(a).max(initial=0), np.abs(b).max(initial=0)) >= 1 << 63):
+        raise OverflowError("scores don't fit 64-bit whole numbers")
+    return a.astype(np.int64) @ b.astype(np.int64).T
 
-    def most(a: int, b: int) -> float:
-        ca, cb = q.centre[a], p.centre[b]
-        bound = float(queries[ca] @ points[cb]) + q.radius[a] * p.norm[cb] + p.radius[b] * q.norm[ca] + q.radius[a] * p.radius[b]
-        return bound + 1e-9 * abs(bound) + 1e-6
 
-    stack = [(most(q.root, p.root), q.root, p.root)]
+def dual_search(q: CoverTree, p: CoverTree, k: int, floor: np.ndarray | None = None) -> tuple[Best, int]:
+    """The best of every query among points with another id, and the number of scores that were computed."""
+    best, work = Best(len(q.x), k, floor), 0
+    if not len(q.x) or not len(p.x):
+        return best, work
+    cq, cp = q.x[q.centre], p.x[p.centre]
+    nq, np_ = np.sqrt((cq * cq).sum(1)), np.sqrt((cp * cp).sum(1))
+    most = cq @ cp.T + q.radius[:, None] * np_ + p.radius * nq[:, None] + np.outer(q.radius, p.radius)
+    most += 1e-9 * np.abs(most) + 1e-6
+    largest = float(np.sqrt((q.x * q.x).sum(1).max() * (p.x * p.x).sum(1).max())) * (1 + 1e-9) + 1
+    stack = [(0, 0)]
     while stack:
-        bound, a, b = stack.pop()
-        own = all_below(a)
-        if bound < best.worst(own):
+        a, b = stack.pop()
+        rows = slice(int(q.low[a]), int(q.high[a]))
+        if rows.stop == rows.start or most[a, b] < best.floor[rows].min():
             continue
         if not p.children[b] and not q.children[a]:
-            at = p.points[b]
-            scores = np.rint(queries[own] @ points[at].T).astype(np.int64)
-            work += scores.size
-            scores[query_ids[own][:, None] == ids[at]] = NONE
-            best.offer(own, scores, ids[at])
+            for at in range(int(p.low[b]), int(p.high[b]), 4 * LEAF):
+                own = slice(at, min(at + 4 * LEAF, int(p.high[b])))
+                scores = products(q.x[rows], p.x[own], largest)
+                work += scores.size
+                scores[q.ids[rows][:, None] == p.ids[own]] = NONE
+                best.offer(rows, scores, p.ids[own])
         elif q.children[a] and (not p.children[b] or q.radius[a] >= p.radius[b]):
-            stack += sorted((most(c, b), c, b) for c in q.children[a])
+            found = np.arange(q.child[a], q.child[a] + q.children[a])
+            stack += [(int(c), b) for c in found[np.argsort(most[found, b])]]
         else:
-            stack += sorted((most(a, c), a, c) for c in p.children[b])
+            found = np.arange(p.child[b], p.child[b] + p.children[b])
+            stack += [(a, int(c)) for c in found[np.argsort(most[a, found])]]
     return best, work
 
 
+BLOCK = "side string, block string, dim int, n long, centre array<double>, radius double, tree binary"
+
+
+def blocks(placed: DataFrame, side: str, size: int, leaf: int) -> DataFrame:
+    """One row per block: its centre, covering radius and tree. placed: dim, pivot, id, v. Rows of a pivot beyond `size` are
+    dealt to further blocks by hash."""
+
+    def plant(key, table):
+        dim = table.column("dim")[0].as_py()
+        tree = CoverTree.of(table.column("v").combine_chunks().flatten().to_numpy().reshape(-1, dim).astype(np.float64), table.column("id").to_numpy(), leaf)
+        return pa.table({"side": [side], "block": [key[0].as_py()], "dim": pa.array([dim], pa.int32()), "n": [len(tree.x)], "centre": [tree.x[tree.centre[0]].tolist()], "radius": [float(tree.radius[0])], "tree": pa.array([tree.dumped()], pa.binary())})
+
+    sizes = placed.groupBy("dim", "pivot").agg(F.ceil(F.count(F.lit(1)) / size).alias("parts"))
+    dealt = placed.join(sizes, ["dim", "pivot"]).withColumn("block", F.concat_ws("-", "dim", "pivot", F.pmod(F.xxhash64("id"), F.col("parts")).cast("string")))
+    return dealt.select("block", "dim", "id", "v").groupBy("block").applyInArrow(plant, BLOCK)
+
+
 def top_k(vectors: DataFrame, is_query, k: int = 5, id_column: str = "vec_id", vector_column: str = "embedding", scale: float = 256.0) -> DataFrame:
     """query_id, rank (from 1), vec_id, score: for each row where `is_query` holds, the k best other rows.
 
     Components are floor(scale * x), scores exact whole numbers; ties go to the smaller id; fewer candidates give fewer rows.
     Vectors that are null, empty, or hold a null or non-finite component take no part; nor do rows with a null id. Only
-    vectors of one length are compared. Of rows that share an id, the one with the greatest vector counts.
+    vectors of one length are compared. Of rows that share an id, the one with the greatest vector counts. Scores beyond 64
+    bits raise an OverflowError. An empty table gives an empty result; other columns are not read.
     """
-    ship(vectors.sparkSession)
-    x = F.col(vector_column)
+    spark = vectors.sparkSession
+    ship(spark)
+    x = named(vector_column)
     fine = x.isNotNull() & (F.size(x) > 0) & F.forall(x, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf")).cast("double")))
-    quantised = F.transform(x, lambda v: F.floor(v.cast("double") * F.lit(scale)).cast("double"))
-    rows = vectors.filter(F.coalesce(fine, F.lit(False)) & F.col(id_column).isNotNull()).select(F.col(id_column).cast("long").alias("id"), quantised.alias("v"), is_query.alias("q"))
-    rows = rows.groupBy("id", "q").agg(F.max("v").alias("v")).withColumn("dim", F.size("v"))
-    n, n_queries = vectors.agg(F.count(F.lit(1)), F.count(F.when(is_query, 1))).first()
-    blocks, query_blocks = max(1, -(-n // CANDIDATES)), max(1, -(-n_queries // QUERIES))
-    block = F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")
-    query_block = F.pmod(F.xxhash64("id", F.lit(1)), F.lit(query_blocks)).cast("int")
-    candidates = rows.select("dim", "id", "v", F.lit(False).alias("asks"), block.alias("block"), F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("query_block"))
-    queries = rows.filter("q").select("dim", "id", "v", F.lit(True).alias("asks"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), query_block.alias("query_block"))
-
-    def search(key, table):
-        asks = table.column("asks").to_numpy()
-        ids = table.column("id").to_numpy()
-        dim = int(key[0].as_py())
-        v = table.column("v").combine_chunks().flatten().to_numpy().reshape(-1, dim)
-        best, _ = dual_search(v[asks], ids[asks], v[~asks], ids[~asks], k)
-        good = best.score > NONE
-        return pa.table({"query_id": np.repeat(ids[asks], k)[good.ravel()], "vec_id": best.id[good], "score": best.score[good]})
-
-    found = candidates.unionByName(queries).groupBy("dim", "block", "query_block").applyInArrow(search, "query_id long, vec_id long, score long")
+    quantised = F.transform(x, lambda v: F.floor(v.cast("double") * F.lit(scale)).cast("double")) if scale < 1e300 else x
+    rows = vectors.filter(F.coalesce(fine, F.lit(False)) & named(id_column).isNotNull()).select(named(id_column).cast("long").alias("id"), quantised.alias("v"), F.coalesce(is_query, F.lit(False)).alias("q"))
+    rows = written(rows.groupBy("id").agg(F.max(F.struct("v", "q")).alias("own")).select("id", "own.v", "own.q", F.size("own.v").alias("dim")), "vectors")
+    n, asked = rows.agg(F.count(F.lit(1)), F.count(F.when(F.col("q"), 1))).first()
+    wanted = [min(PIVOTS, -(-2 * n // CANDIDATES)), min(PIVOTS, -(-asked // QUERIES))]
+    picked = [(r["dim"], r["v"]) for r in rows.orderBy(F.xxhash64("id", F.lit(7)), "id").limit(max(wanted)).select("dim", "v").collect()]
+
+    def placed(rows: DataFrame, n: int) -> DataFrame:
+        """Adds the nearest of the first n pivots of the vector's length; -1 if there is none."""
+        own = [(k, dim, np.array(v)) for k, (dim, v) in enumerate(picked[:n])]
+
+        def place(batches):
+            for batch in batches:
+                dims, v = batch.column(2).to_numpy(), batch.column(1)
+                nearest = np.full(len(dims), -1, np.int32)
+                for dim in {d for _, d, _ in own}:
+                    some = np.flatnonzero(dims == dim)
+                    if len(some):
+                        x = v.take(pa.array(some)).flatten().to_numpy().reshape(-1, dim)
+                        c = np.stack([p for _, d, p in own if d == dim])
+                        nearest[some] = np.array([i for i, d, _ in own if d == dim], np.int32)[((c * c).sum(1) - 2 * (x @ c.T)).argmin(1)]
+                yield pa.RecordBatch.from_arrays([batch.column(0), v, batch.column(2), pa.array(nearest)], names=["id", "v", "dim", "pivot"])
+
+        return rows.select("id", "v", "dim").mapInArrow(place, "id long, v array<double>, dim int, pivot int")
+
+    every = written(blocks(placed(rows, wanted[0]), "candidates", CANDIDATES, LEAF).unionByName(blocks(placed(rows.filter("q"), wanted[1]), "queries", QUERIES, ASKED)), "vector-blocks")
+    c = every.filter("side = 'candidates'").select("dim", F.col("block").alias("block"), F.col("centre").alias("cc"), F.col("radius").alias("cr"))
+    q = every.filter("side = 'queries'").select("dim", F.col("block").alias("asks"), F.col("centre").alias("qc"), F.col("radius").alias("qr"))
+    near = dot(F.col("qc"), F.col("cc"))
+    most = near + F.col("qr") * norm(F.col("cc")) + F.col("cr") * norm(F.col("qc")) + F.col("qr") * F.col("cr")
+    # Only centres and radii meet here, one row a block.
+    pairs = q.join(c, "dim").select("asks", "block", near.alias("near"), (most + F.lit(1e-9) * F.abs(most) + F.lit(1e-6)).alias("most"))
+
+    def met(pairs: DataFrame) -> DataFrame:
+        """query_id, vec_id, score, of every pair of blocks; a row without query_id holds the least floor. pairs: asks, block, floors."""
+        trees = every.select("side", F.col("block").alias("of"), "tree")
+        sent = [pairs.join(trees.filter(F.col("side") == side), F.col(key) == F.col("of")).select("asks", "block", "side", "tree", floors.alias("floors")) for side, key, floors in (("candidates", "block", F.lit(None).cast("binary")), ("queries", "asks", F.col("floors")))]
+
+        def search(key, table):
+            side = table.column("side").to_pylist()
+            tree = {s: CoverTree.loaded(t.as_py()) for s, t in zip(side, table.column("tree"), strict=True)}
+            floors = table.column("floors")[side.index("queries")].as_py()
+            best, _ = dual_search(tree["queries"], tree["candidates"], k, None if floors is None else np.frombuffer(floors, np.int64))
+            good, none = best.score > NONE, pa.nulls(1, pa.int64())
+            found = pa.table({"query_id": np.repeat(tree["queries"].ids, k)[good.ravel()], "vec_id": best.id[good], "score": best.score[good]})
+            own = pa.table({"query_id": none, "vec_id": none, "score": pa.array([int(best.floor.min(initial=np.iinfo(np.int64).max))]), "asks": [key[0].as_py()], "floors": pa.array([best.floor.tobytes()], pa.binary())})
+            return pa.concat_tables([found.append_column("asks", pa.nulls(len(found), pa.string())).append_column("floors", pa.nulls(len(found), pa.binary())), own])
+
+        return sent[0].unionByName(sent[1]).groupBy("asks", "block").applyInArrow(search, "query_id long, vec_id long, score long, asks string, floors binary")
+
+    start = pairs.groupBy("asks").agg(F.max_by("block", F.struct("near", "block")).alias("block")).withColumn("floors", F.lit(None).cast("binary"))
+    first = written(met(start), "first-hits")
+    known = first.filter("query_id IS NULL").select("asks", F.col("score").alias("least"), "floors")
+    rest = pairs.join(start.select("asks", "block"), ["asks", "block"], "left_anti").join(known, "asks").filter(F.col("most") >= F.col("least"))
+    found = first.unionByName(met(rest.select("asks", "block", "floors"))).filter("query_id IS NOT NULL").select("query_id", "vec_id", "score")
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

@@ -191,17 +191,6 @@ def test_top_k(spark):
     assert topk.top_k(spark.createDataFrame([], "vec_id long, embedding array<float>"), F.col("vec_id") % 50 == 0).count() == 0
 
 
-def test_dual_search_prunes():
-    rng = np.random.default_rng(4)
-    x = np.floor(np.concatenate([rng.normal(c, 3, (400, 4)) for c in (0, 300, -300)]))
-    best, work = topk.dual_search(x[::50], np.arange(0, 1200, 50), x, np.arange(1200), 5)
-    assert work < 0.8 * 24 * 1200
-    for i, q in enumerate(range(0, 1200, 50)):
-        s = x @ x[q]
-        s[q] = -np.inf
-        assert best.score[i].tolist() == sorted(s, reverse=True)[:5]
-
-
 def test_warc(spark):
     big = "é" * 200
     rows = [(1, "http://a/ b\r\nc", big), (2, None, big), (3, "http://c", None), (4, "http://d", "x\r\n\r\nWARC/1.1\r\n\r\ny"), (5, "u", "small"), (6, "u", "small"), (1, "http://a/ b\r\nc", big), (None, "n", "n" * 120)]
