@@ -1,15 +1,17 @@
 """Language identification by a bidirectional gated recurrent network over bytes.
 
-The network reads each segment (a word with the blank before it, at most SEGMENT bytes) from both ends, labels every byte,
-and starts anew at the next segment; so a label doesn't depend on where a batch or a document begins, and equal segments of a
-batch are computed once. A document's probabilities are the softmax of the mean of its bytes' log-probabilities.
+A text is cut into runs of RUN bytes, whatever words or lines they hold. The network reads each run from both ends and labels
+every byte, so that a label rests on the bytes of the run before and after it, in other words as well. A document's
+probabilities are the softmax of the mean of its bytes' log-probabilities. Runs begin at a document's start, so a label doesn't
+depend on where a batch begins.
+
+Arrays have time first, then direction, then feature, and runs last: each step is a few operations over contiguous rows.
 """
 
 from __future__ import annotations
 
+import io
 import re
-from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -17,256 +19,273 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from navgraph.llm.arrow import add_columns
-from navgraph.llm.textscan import GRAPHIC, buffers, mix, words
+from navgraph.llm.textscan import buffers
 from navgraph.session import ship
 
-SEGMENT, HIDDEN, EMBED = 24, 16, 8
-#: Expected labelled documents per language, and segments per language, that the network learns from.
-TRAIN_DOCS, TRAIN_SEGMENTS = 300, 5_000
-EPOCHS, BATCH, RATE = 4, 256, 0.01
+RUN, HIDDEN, EMBED = 192, 24, 12
+#: Expected labelled documents per language, and runs of so many bytes per language, that the network learns from.
+TRAIN_DOCS, TRAIN_RUNS, TRAIN_BYTES = 300, 1500, 96
+EPOCHS, BATCH, RATE = 3, 192, 0.01
+#: Runs that are labelled together, and bytes of text that are cut into runs together.
+TOGETHER, STEP = 512, 1 << 20
 UNKNOWN = "und"
-CACHE = 400_000
-
-
-def _sigmoid(x: np.ndarray) -> np.ndarray:
-    return 0.5 * np.tanh(0.5 * x) + 0.5
-
-
-class Gru:
-    """One direction: step by step over time, gates update z, reset r, candidate c; padding keeps the state."""
-
-    def __init__(self, rng: np.random.Generator, inputs: int, hidden: int):
-        self.n = hidden
-        self.p = {"w": (rng.standard_normal((inputs, 3 * hidden)) / np.sqrt(inputs)).astype(np.float32), "u": (rng.standard_normal((hidden, 3 * hidden)) / np.sqrt(hidden)).astype(np.float32), "b": np.zeros(3 * hidden, np.float32)}
-
-    def forward(self, given: np.ndarray, mask: np.ndarray, keep: bool = False) -> np.ndarray:
-        """given: time x batch x 3 hidden, which is the input times w plus b. Returns time x batch x hidden."""
-        n, u = self.n, self.p["u"]
-        state = np.zeros((given.shape[1], n), np.float32)
-        out = np.empty((len(given), given.shape[1], n), np.float32)
-        self.kept = []
-        for t in range(len(given)):
-            before = state
-            gates = _sigmoid(given[t, :, : 2 * n] + before @ u[:, : 2 * n])
-            z, r = gates[:, :n], gates[:, n:]
-            c = np.tanh(given[t, :, 2 * n :] + (r * before) @ u[:, 2 * n :])
-            state = before + mask[t][:, None] * z * (c - before)
-            out[t] = state
-            if keep:
-                self.kept.append((before, z, r, c))
-        return out
-
-    def backward(self, mask: np.ndarray, grad_out: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Back through time: gradients of `given` and of u."""
-        n, u = self.n, self.p["u"]
-        grad_u = np.zeros_like(u)
-        grad_given = np.empty((*grad_out.shape[:2], 3 * n), np.float32)
-        grad = np.zeros(grad_out.shape[1:], np.float32)
-        for t in range(len(grad_out) - 1, -1, -1):
-            before, z, r, c = self.kept[t]
-            grad = grad + grad_out[t]
-            m = mask[t][:, None]
-            a_c = grad * m * z * (1 - c * c)
-            a_z = grad * m * (c - before) * z * (1 - z)
-            through = a_c @ u[:, 2 * n :].T
-            a_r = through * before * r * (1 - r)
-            a_zr = np.concatenate((a_z, a_r), 1)
-            grad_u[:, : 2 * n] += before.T @ a_zr
-            grad_u[:, 2 * n :] += (r * before).T @ a_c
-            grad = grad * (1 - m * z) + through * r + a_zr @ u[:, : 2 * n].T
-            grad_given[t] = np.concatenate((a_zr, a_c), 1)
-        return grad_given, grad_u
+NONE = 256
 
 
 class Network:
-    """Bytes to a distribution over `labels` at every position."""
+    """Bytes to a distribution over `labels` at every position.
 
-    def __init__(self, labels: list[str], seed: int = 7):
-        rng = np.random.default_rng(seed)
-        self.labels = labels
-        self.embed = (rng.standard_normal((257, EMBED)) * 0.5).astype(np.float32)
-        self.ways = [Gru(rng, EMBED, HIDDEN), Gru(rng, EMBED, HIDDEN)]
-        self.out = (rng.standard_normal((2 * HIDDEN, len(labels))) / np.sqrt(2 * HIDDEN)).astype(np.float32)
-        self.bias = np.zeros(len(labels), np.float32)
+    Gates are z, r = (1 + tanh(a)) / 2 with a from state, embedded byte and 1; the candidate is c = tanh(from byte and 1 +
+    r * (from state)); the state goes to state + z * (c - state). The second direction reads time backwards.
+    """
 
-    def _states(self, x: np.ndarray, mask: np.ndarray, keep: bool = False) -> np.ndarray:
-        """x: time x batch, 256 where there is no byte. The second direction reads time backwards."""
-        there, back = (w.forward(self.embed[y] @ w.p["w"] + w.p["b"], m, keep) for w, y, m in ((self.ways[0], x, mask), (self.ways[1], x[::-1], mask[::-1])))
-        return np.concatenate((there, back[::-1]), 2)
+    PARTS = ("embed", "gates", "given", "state", "out", "bias")
+
+    def __init__(self, labels: list[str], seed: int = 7, hidden: int = HIDDEN, embed: int = EMBED):
+        rng, n = np.random.default_rng(seed), hidden
+        drawn = lambda *shape: rng.standard_normal(shape).astype(np.float32)
+        self.labels, self.n, self.e = labels, n, embed
+        self.embed = drawn(257, embed) * np.float32(0.5)
+        self.gates = drawn(2, 2 * n, n + embed + 1) * np.float32(0.5 / np.sqrt(n))
+        self.given = drawn(2, n, embed + 1) / np.float32(np.sqrt(embed))
+        self.state = drawn(2, n, n) / np.float32(np.sqrt(n))
+        self.out = drawn(2, len(labels), n) / np.float32(np.sqrt(2 * n))
+        self.bias = np.zeros((len(labels), 1), np.float32)
+
+    def dumped(self) -> bytes:
+        out = io.BytesIO()
+        np.savez(out, labels=np.array([x.encode() for x in self.labels]), size=np.array([self.n, self.e]), **{k: getattr(self, k) for k in self.PARTS})
+        return out.getvalue()
+
+    @classmethod
+    def loaded(cls, data: bytes) -> Network:
+        with np.load(io.BytesIO(data)) as parts:
+            made = cls([x.decode() for x in parts["labels"].tolist()], 0, *parts["size"].tolist())
+            for k in cls.PARTS:
+                setattr(made, k, parts[k])
+        return made
+
+    def _states(self, x: np.ndarray, mask: np.ndarray | None, kept: list | None = None) -> np.ndarray:
+        """x: time x runs, NONE where there is no byte (there mask is 0, and the state stays). Returns (time + 1) x 2 x
+        (state, embedded byte, 1) x runs; states stand one place after the byte that was read last."""
+        time, runs = x.shape
+        n, e = self.n, self.e
+        all_ = np.empty((time + 1, 2, n + e + 1, runs), np.float32)
+        all_[0, :, :n], all_[:, :, n + e] = 0, 1
+        own = self.embed[x].transpose(0, 2, 1)
+        all_[:time, 0, n : n + e], all_[:time, 1, n : n + e] = own, own[::-1]
+        given = np.matmul(self.given, all_[:time, :, n:])
+        gates, from_state = np.empty((2, 2 * n, runs), np.float32), np.empty((2, n, runs), np.float32)
+        half = np.float32(0.5)
+        for t in range(time):
+            if kept is not None:
+                gates, from_state = np.empty_like(gates), np.empty_like(from_state)
+            before, c = all_[t, :, :n], given[t]
+            np.matmul(self.gates, all_[t], out=gates)
+            np.tanh(gates, out=gates)
+            gates += 1
+            gates *= half
+            np.matmul(self.state, before, out=from_state)
+            z, r = gates[:, :n], gates[:, n:]
+            step = r * from_state
+            c += step
+            np.tanh(c, out=c)
+            np.subtract(c, before, out=step)
+            step *= z
+            if mask is not None and not (mask[t].all() and mask[time - 1 - t].all()):
+                step *= np.stack((mask[t], mask[time - 1 - t]))[:, None]
+            np.add(before, step, out=all_[t + 1, :, :n])
+            if kept is not None:
+                kept.append((gates, from_state, c))
+        return all_
+
+    def _logits(self, states: np.ndarray) -> np.ndarray:
+        """time x labels x runs."""
+        n = self.n
+        return np.matmul(self.out[0], states[1:, 0, :n]) + np.matmul(self.out[1], states[:0:-1, 1, :n]) + self.bias
 
     def log_probabilities(self, x: np.ndarray) -> np.ndarray:
-        logits = self._states(x, (x < 256).astype(np.float32)) @ self.out + self.bias
-        logits -= logits.max(2, keepdims=True)
-        return logits - np.log(np.exp(logits).sum(2, keepdims=True))
+        """time x labels x runs, for x of time x runs."""
+        mask = (x < NONE).astype(np.float32)
+        logits = self._logits(self._states(x, None if mask.all() else mask))
+        logits -= logits.max(1, keepdims=True)
+        logits -= np.log(np.exp(logits).sum(1, keepdims=True))
+        return logits
+
+    def pooled(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of every run: sums of log-probabilities over its bytes, and bytes won, for each label (labels x runs)."""
+        found = self.log_probabilities(x)
+        won = found == found.max(1, keepdims=True)
+        if (x == NONE).any():
+            there = (x < NONE)[:, None]
+            found, won = found * there, won & there
+        return found.sum(0), won.sum(0)
 
     def fit(self, x: np.ndarray, y: np.ndarray, seed: int = 7) -> None:
-        """x: segments x SEGMENT, y: labels of segments. Adam on the cross-entropy of every position."""
+        """x: runs x time, y: labels of runs. Adam on the cross-entropy of every position."""
         rng = np.random.default_rng(seed)
-        params = [self.embed, self.out, self.bias, *(w.p[k] for w in self.ways for k in ("w", "u", "b"))]
+        params = [getattr(self, k) for k in self.PARTS]
         moment, square, step = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params], 0
         total = EPOCHS * max(1, len(x) // BATCH)
         for _ in range(EPOCHS):
             order = rng.permutation(len(x))
             for i in range(0, max(1, len(x) - BATCH + 1), BATCH):
                 take = order[i : i + BATCH]
-                length = int((x[take] < 256).sum(1).max())
+                length = int((x[take] < NONE).sum(1).max())
                 grads = self._gradients(np.ascontiguousarray(x[take, :length].T), y[take])
                 step += 1
-                rate = RATE * (1 - step / (total + 1)) * np.sqrt(1 - 0.999**step) / (1 - 0.9**step)
+                rate = np.float32(RATE * (1 - step / (total + 1)) * np.sqrt(1 - 0.999**step) / (1 - 0.9**step))
                 for p, m, s, g in zip(params, moment, square, grads, strict=True):
-                    m += 0.1 * (g - m)
-                    s += 0.001 * (g * g - s)
-                    p -= rate * m / (np.sqrt(s) + 1e-8)
+                    m += np.float32(0.1) * (g - m)
+                    s += np.float32(0.001) * (g * g - s)
+                    p -= rate * m / (np.sqrt(s) + np.float32(1e-8))
 
     def _gradients(self, x: np.ndarray, y: np.ndarray) -> list[np.ndarray]:
-        mask = (x < 256).astype(np.float32)
-        states = self._states(x, mask, keep=True)
-        logits = states @ self.out + self.bias
-        logits -= logits.max(2, keepdims=True)
-        p = np.exp(logits)
-        p /= p.sum(2, keepdims=True)
-        p[:, np.arange(len(y)), y] -= 1
-        p *= (mask / max(1, mask.sum()))[:, :, None]
-        grad_out = np.tensordot(states, p, ((0, 1), (0, 1)))
-        grad_states = p @ self.out.T
-        grad_embed, own = np.zeros_like(self.embed), []
-        for k, (w, xs, m) in enumerate(((self.ways[0], x, mask), (self.ways[1], x[::-1], mask[::-1]))):
-            g = grad_states[:, :, k * HIDDEN : (k + 1) * HIDDEN]
-            given, u = w.backward(m, g if k == 0 else g[::-1])
-            flat = given.reshape(-1, given.shape[2])
-            e = self.embed[xs].reshape(-1, EMBED)
-            own += [e.T @ flat, u, flat.sum(0)]
-            np.add.at(grad_embed, xs.ravel(), flat @ w.p["w"].T)
-        return [grad_embed, grad_out, p.sum((0, 1)), *own]
-
-
-@dataclass
-class Segments:
-    """Pieces of words: document (counted from `first`), key (equal pieces have equal keys), start and bytes taken of data."""
-
-    first: int
-    data: np.ndarray
-    doc: np.ndarray
-    keys: np.ndarray
-    starts: np.ndarray
-    sizes: np.ndarray
-    later: np.ndarray
-
-    def matrix(self, which: np.ndarray) -> np.ndarray:
-        """Bytes of pieces, rows of SEGMENT, 256 after the end; the first is a blank, or a hyphen inside a word."""
-        out = np.full((len(which), SEGMENT), 256, np.int16)
-        out[:, 0] = np.where(self.later[which], 0x2D, 0x20)
-        if len(which):
-            at = self.starts[which][:, None] + np.arange(SEGMENT - 1)
-            out[:, 1:] = np.where(np.arange(SEGMENT - 1) < self.sizes[which][:, None], self.data[np.minimum(at, len(self.data) - 1)], 256)
-        return out
-
-
-def segments(column) -> Iterator[Segments]:
-    """All word bytes of a text column; a word of more than SEGMENT - 1 bytes is several pieces."""
-    for w in words(column, GRAPHIC):
-        length = w.ends - w.starts
-        pieces = -(-length // (SEGMENT - 1))
-        which = np.repeat(np.arange(len(length)), pieces)
-        part = np.arange(len(which)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
-        start = w.starts[which] + part * (SEGMENT - 1)
-        size = np.minimum(w.ends[which] - start, SEGMENT - 1)
-        yield Segments(w.first, w.data, w.owner()[which], mix(w.hashes[which] + part.astype(np.uint64)), start, size, part > 0)
-
-
-def train(labelled: DataFrame, docs_each: int = TRAIN_DOCS, segments_each: int = TRAIN_SEGMENTS, seed: int = 7) -> Network | None:
+        """Backpropagation through time, of the parts in their order."""
+        (time, runs), n, e = x.shape, self.n, self.e
+        mask, kept = (x < NONE).astype(np.float32), []
+        states = self._states(x, mask, kept)
+        p = self._logits(states)
+        p = np.exp(p - p.max(1, keepdims=True))
+        p /= p.sum(1, keepdims=True)
+        p[:, y, np.arange(runs)] -= 1
+        p *= (mask / max(1, mask.sum()))[:, None]
+        ahead = (states[1:, 0, :n], states[:0:-1, 1, :n])
+        grad_out = np.stack([np.tensordot(p, s, ((0, 2), (0, 2))) for s in ahead])
+        from_out = [np.matmul(self.out[0].T, p), np.matmul(self.out[1].T, p)[::-1]]
+        grad_gates, grad_given, grad_state = np.zeros_like(self.gates), np.zeros_like(self.given), np.zeros_like(self.state)
+        grad_bytes, grad = np.zeros((time, e, runs), np.float32), np.zeros((2, n, runs), np.float32)
+        turn = lambda m: m.transpose(0, 2, 1)
+        for t in range(time - 1, -1, -1):
+            gates, from_state, c = kept[t]
+            z, r, before = gates[:, :n], gates[:, n:], states[t, :, :n]
+            grad = grad + np.stack((from_out[0][t], from_out[1][t]))
+            m = np.stack((mask[t], mask[time - 1 - t]))[:, None]
+            moved = grad * m
+            a_c = moved * z * (1 - c * c)
+            through = a_c * r
+            a = np.concatenate((moved * (c - before) * 2 * z * (1 - z), a_c * from_state * 2 * r * (1 - r)), 1)
+            grad_gates += a @ turn(states[t])
+            grad_given += a_c @ turn(states[t, :, n:])
+            grad_state += through @ turn(before)
+            below = turn(self.gates) @ a
+            from_given = turn(self.given) @ a_c
+            grad = grad * (1 - m * z) + turn(self.state) @ through + below[:, :n]
+            own = below[:, n : n + e] + from_given[:, :e]
+            grad_bytes[t] += own[0]
+            grad_bytes[time - 1 - t] += own[1]
+        grad_embed = np.zeros_like(self.embed)
+        np.add.at(grad_embed, x.ravel(), grad_bytes.transpose(0, 2, 1).reshape(-1, e))
+        return [grad_embed, grad_gates, grad_given, grad_state, grad_out, p.sum((0, 2))[:, None]]
+
+
+def runs_of(offsets: np.ndarray, size: int = RUN) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Document, start and length of the runs of texts that begin and end at `offsets`."""
+    length = np.diff(offsets)
+    pieces = -(-length // size)
+    doc = np.repeat(np.arange(len(length)), pieces)
+    part = np.arange(len(doc)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+    start = offsets[doc] + part * size
+    return doc, start, np.minimum(offsets[doc + 1] - start, size)
+
+
+def matrix(data: np.ndarray, start: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """The bytes of runs, one row each, NONE after the end."""
+    places = np.arange(int(length.max(initial=0)))
+    found = data[np.minimum(start[:, None] + places, len(data) - 1)].astype(np.int16) if len(data) else np.zeros((len(start), 0), np.int16)
+    found[places >= length[:, None]] = NONE
+    return found
+
+
+def train(labelled: DataFrame, docs_each: int = TRAIN_DOCS, runs_each: int = TRAIN_RUNS, seed: int = 7) -> Network | None:
     """A network from rows of text and lang (nulls are left out); None if there are none.
 
-    Of each language about `docs_each` documents, chosen by a hash of their text, come to the driver; of their segments at
-    most `segments_each` are learned from. That bound doesn't depend on the size of the table.
+    Of each language about `docs_each` documents, chosen by a hash of their text, are cut into runs, and at most `runs_each` of
+    these, by a hash of theirs, are learned from, by one task. These bounds don't depend on the size of the table.
     """
+    spark = labelled.sparkSession
+    ship(spark)
     known = labelled.select("text", "lang").filter(F.col("lang").isNotNull() & (F.length("text") > 0))
     counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not counts:
         return None
     part = F.pmod(F.xxhash64("text", F.lit(seed)), F.lit(1 << 30)) / F.lit(float(1 << 30))
     chosen = F.coalesce(*(F.when(F.col("lang") == F.lit(k), part < F.lit(docs_each / n)) for k, n in counts.items()), F.lit(False))
-    rows = known.filter(chosen).limit(2 * docs_each * len(counts)).collect()
-    labels, rng = sorted(counts), np.random.default_rng(seed)
-    xs, ys = [], []
-    for k, label in enumerate(labels):
-        texts = sorted(r["text"] for r in rows if r["lang"] == label)
-        found = list(segments(pa.array(texts, pa.string()))) if texts else []
-        first = np.cumsum([0, *(len(x.doc) for x in found)])
-        taken = np.sort(rng.permutation(first[-1])[:segments_each])
-        for x, start, end in zip(found, first[:-1], first[1:], strict=True):
-            own = taken[(taken >= start) & (taken < end)] - start
-            xs.append(x.matrix(own))
-            ys.append(np.full(len(own), k))
-    network = Network(labels, seed)
-    if xs:
-        network.fit(np.concatenate(xs), np.concatenate(ys), seed)
-    return network
-
-
-_LETTER = re.compile(r"[^\W\d_]")
+    labels = sorted(counts)
+
+    def cut(batches):
+        for batch in batches:
+            data, offsets = buffers(batch.column(0))
+            doc, start, length = runs_of(offsets, TRAIN_BYTES)
+            for i in range(0, len(doc), 10_000):
+                own = slice(i, i + 10_000)
+                yield pa.RecordBatch.from_arrays([batch.column(1).take(pa.array(doc[own])), pa.array([data[s : s + n].tobytes() for s, n in zip(start[own], length[own], strict=True)], pa.binary())], names=["lang", "run"])
+
+    from pyspark.sql import Window
+
+    turn = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("run", F.lit(seed)), "run"))
+    runs = known.filter(chosen).mapInArrow(cut, "lang string, run binary").withColumn("turn", turn).filter(F.col("turn") <= runs_each)
+
+    def learn(key, table):
+        table = table.sort_by([("lang", "ascending"), ("turn", "ascending")])
+        rows = table.column("run").to_pylist()
+        length = np.array([len(r) for r in rows])
+        x = matrix(np.frombuffer(b"".join(rows), np.uint8), np.cumsum(length) - length, length)
+        network = Network(labels, seed)
+        network.fit(x, np.searchsorted(np.array(labels), np.array(table.column("lang").to_pylist())), seed)
+        return pa.table({"network": pa.array([network.dumped()], pa.binary())})
+
+    made = runs.withColumn("all", F.lit(0)).select("all", "lang", "run", "turn").groupBy("all").applyInArrow(learn, "network binary").collect()
+    return Network.loaded(bytes(made[0]["network"])) if made else Network(labels, seed)
+
+
+_ASCII = re.compile(rb"[A-Za-z]")
+
+
+def has_letter(text: bytes) -> bool:
+    """Whether a text has a letter (Unicode categories L*)."""
+    return bool(_ASCII.search(text)) or (not text.isascii() and any(c.isalpha() for c in text.decode("utf-8", "replace")))
 
 
 def identify(docs: DataFrame, network: Network | None) -> DataFrame:
     """Adds lang_pred, score (its pooled probability) and parts (bytes labelled with each language) to `docs`, which needs text.
 
-    A null text or one without any letter is "und" with score 0, as is every text where nothing was learned.
+    A null text or one without any letter is "und" with score 0, as is every text where nothing was learned. Other columns
+    stay; those of the three names are replaced. An empty table gives an empty result.
     """
     ship(docs.sparkSession)
-    sent = docs.sparkSession.sparkContext.broadcast(network)
+    sent = docs.sparkSession.sparkContext.broadcast(network.dumped() if network else None)
 
     def make():
-        net = sent.value
-        #: What the network said of pieces seen before in this task, by ascending key; emptied when it holds CACHE pieces.
-        cache = [np.zeros(0, np.uint64), np.zeros((0, len(net.labels) if net else 0), np.float32), np.zeros((0, len(net.labels) if net else 0), np.int16)]
-
-        def labelled(x: Segments) -> tuple[np.ndarray, np.ndarray]:
-            """Of every piece: sums of log-probabilities, and bytes won, for each label."""
-            keys, where, back = np.unique(x.keys, return_index=True, return_inverse=True)
-            if len(cache[0]) > CACHE:
-                cache[:] = [c[:0] for c in cache]
-            new = np.ones(len(keys), bool)
-            if len(cache[0]):
-                new = cache[0][np.minimum(np.searchsorted(cache[0], keys), len(cache[0]) - 1)] != keys
-            rows = x.matrix(where[new])
-            sums, wins = np.empty((len(rows), len(net.labels)), np.float32), np.empty((len(rows), len(net.labels)), np.int16)
-            length = (rows < 256).sum(1)
-            order = np.argsort(length, kind="stable")
-            for i in range(0, len(rows), 2048):
-                take = order[i : i + 2048]
-                y = np.ascontiguousarray(rows[take, : length[take[-1]]].T)
-                lp, there = net.log_probabilities(y), (y < 256)[:, :, None]
-                sums[take] = (lp * there).sum(0)
-                wins[take] = ((lp == lp.max(2, keepdims=True)) & there).sum(0)
-            all_keys = np.concatenate((cache[0], keys[new]))
-            order = np.argsort(all_keys)
-            cache[:] = [all_keys[order], np.concatenate((cache[1], sums))[order], np.concatenate((cache[2], wins))[order]]
-            at = np.searchsorted(cache[0], keys)[back]
-            return cache[1][at], cache[2][at]
+        net = Network.loaded(sent.value) if sent.value else None
 
         def work(batch):
             column = batch.column(batch.schema.get_field_index("text"))
             n, k = batch.num_rows, len(net.labels) if net else 0
             if not k:
                 return {"lang_pred": [UNKNOWN] * n, "score": [0.0] * n, "parts": [[]] * n}
-            total, votes, size = np.zeros((n, k)), np.zeros((n, k), np.int64), np.zeros(n, np.int64)
-            for x in segments(column):
-                sums, wins = labelled(x)
-                doc = x.doc + x.first
-                for j in range(k):
-                    total[:, j] += np.bincount(doc, sums[:, j], n)
-                    votes[:, j] += np.bincount(doc, wins[:, j], n).astype(np.int64)
-                size += np.bincount(doc, x.sizes + 1, n).astype(np.int64)
-            mean = total / np.maximum(size, 1)[:, None]
-            mean = np.exp(mean - mean.max(1, keepdims=True))
-            mean /= mean.sum(1, keepdims=True)
-            best = mean.argmax(1)
+            total, votes = np.zeros((k, n)), np.zeros((k, n), np.int64)
             data, offsets = buffers(column)
-            known = [bool(_LETTER.search(data[offsets[i] : offsets[i + 1]].tobytes().decode("utf-8", "replace"))) for i in range(n)]
+            doc, start, length = runs_of(offsets)
+            size = np.diff(offsets)
+            per = max(TOGETHER, STEP // RUN)
+            for i in range(0, len(doc), per):
+                own = i + np.argsort(-length[i : i + per], kind="stable")
+                for j in range(0, len(own), TOGETHER):
+                    some = own[j : j + TOGETHER]
+                    sums, wins = net.pooled(np.ascontiguousarray(matrix(data, start[some], length[some]).T))
+                    for label in range(k):
+                        total[label] += np.bincount(doc[some], sums[label], n)
+                        votes[label] += np.bincount(doc[some], wins[label], n).astype(np.int64)
+            mean = total / np.maximum(size, 1)
+            mean = np.exp(mean - mean.max(0))
+            mean /= mean.sum(0)
+            best = mean.argmax(0)
+            known = [has_letter(data[offsets[i] : offsets[i + 1]].tobytes()) for i in range(n)]
             return {
                 "lang_pred": [net.labels[b] if ok else UNKNOWN for b, ok in zip(best, known, strict=True)],
-                "score": [float(m[b]) if ok else 0.0 for m, b, ok in zip(mean, best, known, strict=True)],
-                "parts": [[{"lang": net.labels[j], "n_bytes": int(v[j])} for j in np.flatnonzero(v)] for v in votes],
+                "score": [float(mean[b, i]) if ok else 0.0 for i, (b, ok) in enumerate(zip(best, known, strict=True))],
+                "parts": [[{"lang": net.labels[j], "n_bytes": int(votes[j, i])} for j in np.flatnonzero(votes[:, i])] for i in range(n)],
             }
 
         return work
