@@ -144,22 +144,6 @@ def test_toxicity(spark, docs, none):
     assert toxicity.score(none, nothing).count() == 0 and all(0 <= r.score <= 1 for r in toxicity.score(docs, nothing).collect())
 
 
-def test_block_max_search_is_exact():
-    rng = np.random.default_rng(2)
-    doc, term, _ = toxicity.counted(rng.integers(0, 500, 4000), rng.integers(0, 60, 4000))
-    weight = rng.random(len(doc))
-    index = toxicity.BlockMaxIndex(doc, term, weight, 500, 60)
-    dense = np.zeros((500, 60))
-    dense[doc, term] = weight
-    for _ in range(40):
-        t = np.unique(rng.integers(0, 60, rng.integers(1, 6)))
-        q = rng.random(len(t))
-        s = dense[:, t] @ q
-        best = [i for i in np.lexsort((np.arange(500), -s))[:10] if s[i] > 0]
-        ids, scores = index.search(t, q, 10)
-        assert ids.tolist() == best and scores == pytest.approx(s[best])
-
-
 def test_top_k(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(i, [float(i % 7) / 8, 0.5, -0.25]) for i in range(200)] + [(300, None), (350, []), (400, [1.0, nan, 0.0]), (450, [inf, 0.0, 0.0]), (500, [None, 1.0, 1.0]), (550, [0.1, 0.2]), (0, [0.0, 0.5, -0.25])]
