@@ -10,7 +10,7 @@ import pyarrow as pa
 
 #: Bytes of text per step; temporaries take about thirty times as much. A longer document is a step of its own, of which as
 #: many bytes at a time are hashed; then a few bytes per byte of text are held.
-STEP_BYTES = 2 << 20
+STEP_BYTES = 1 << 19
 
 SPACES = np.zeros(256, bool)
 SPACES[[0x20, *range(0x09, 0x0E)]] = True
@@ -47,6 +47,11 @@ def _raised(base: int, exponents: np.ndarray) -> np.ndarray:
     return low if not far else low * _power(pow(base, 1 << _LOW, 1 << 64), far + 1)[exponents >> _LOW]
 
 
+def powers(base: int, n: int) -> np.ndarray:
+    """base**0 .. base**(n-1), from a table that is kept unless it were a long one."""
+    return _power(base, n) if n <= 1 << 21 else _raised(base, np.arange(n))
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Spreads all bits over all bits (one to one)."""
     x = x ^ (x >> np.uint64(33))
@@ -79,7 +84,7 @@ def _hashed(before: np.ndarray, after: np.ndarray, starts: np.ndarray, ends: np.
 def _spans(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, base: int) -> np.ndarray:
     """Polynomial hashes of values[start:end], which don't depend on the place."""
     sums = np.zeros(len(values) + 1, np.uint64)
-    np.cumsum(values * _raised(base, np.arange(len(values))) if len(values) > 1 << 21 else values * _power(base, len(values)), out=sums[1:])
+    np.cumsum(values * powers(base, len(values)), out=sums[1:])
     return _hashed(sums[starts], sums[ends], starts, ends, base)
 
 

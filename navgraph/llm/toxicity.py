@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from navgraph.llm.arrow import add_columns
 from navgraph.llm.langid import held_out
-from navgraph.llm.textscan import _BASE, _TABLE, LOWER, Words, _spans, mix, words
+from navgraph.llm.textscan import _BASE, _TABLE, LOWER, Words, _hashed, mix, powers, words
 from navgraph.session import ship, written
 
 LETTERS = np.zeros(256, bool)
@@ -30,22 +30,25 @@ STEMS = (4, 6)
 EXAMPLES = 4000
 #: Examples that have a term of the vocabulary, at least; share of all documents that have it, at most (and so many documents in any case).
 FEWEST, MOST_SHARE, MOST_ANYWAY = 2, 0.05, 20
-NEIGHBOURS, BLOCK, SHRINK, THRESHOLD = 25, 64, 0.05, 0.3
+NEIGHBOURS, BLOCK, SHRINK, THRESHOLD = 25, 256, 0.05, 0.3
 #: Blocks that are scored first, and slices in which counts of the vocabulary come together.
-PROMISING, SLICES = 4, 64
+PROMISING, SLICES = 2, 64
+#: Queries that are searched together.
+TOGETHER = 32
 
 
 def terms(w: Words) -> tuple[np.ndarray, np.ndarray]:
     """Document (counted from w.first) and hash of every word, and of every beginning of a longer word."""
     doc = w.owner()
-    values = _TABLE[LOWER][w.data]
+    sums = np.zeros(len(w.data) + 1, np.uint64)
+    np.cumsum(_TABLE[LOWER][w.data] * powers(_BASE, len(w.data)), out=sums[1:])
     hashes, docs = [w.hashes], [doc]
     characters = np.append(np.flatnonzero((w.data & 0xC0) != 0x80), [len(w.data)] * max(STEMS) + [len(w.data)])
     at = np.searchsorted(characters, w.starts)
     for k, n in enumerate(STEMS):
         end = characters[np.minimum(at + n, len(characters) - 1)]
         long_ = end < w.ends
-        hashes.append(mix(_spans(values, w.starts[long_], end[long_], _BASE) + np.uint64(k + 1)))
+        hashes.append(mix(_hashed(sums[w.starts[long_]], sums[end[long_]], w.starts[long_], end[long_], _BASE) + np.uint64(k + 1)))
         docs.append(doc[long_])
     return np.concatenate(docs), np.concatenate(hashes)
 
@@ -58,6 +61,13 @@ def counted(doc: np.ndarray, value: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return doc[first], value[first], np.diff(np.append(first, len(doc)))
 
 
+def counted_terms(doc: np.ndarray, term: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The same for numbers of terms, sorted as one number."""
+    key = np.sort(doc.astype(np.int64) << 32 | term)
+    first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))) if len(key) else np.zeros(0, np.int64)
+    return key[first] >> 32, key[first] & 0xFFFFFFFF, np.diff(np.append(first, len(key)))
+
+
 class Vocabulary:
     def __init__(self, hashes: np.ndarray):
         self.hashes = np.sort(hashes)
@@ -87,46 +97,53 @@ class BlockMaxIndex:
 
     def __init__(self, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, n_docs: int, n_terms: int):
         order = np.lexsort((doc, term))
-        self.doc, self.weight, self.n_docs = doc[order], weight[order], n_docs
+        self.doc, self.weight, self.n_docs = doc[order].astype(np.int32), weight[order].astype(np.float32), n_docs
         term = term[order]
         self.n_blocks = -(-n_docs // BLOCK)
         block = self.doc // BLOCK
         new = np.concatenate(([True], (block[1:] != block[:-1]) | (term[1:] != term[:-1]))) if len(block) else np.zeros(0, bool)
-        self.start = np.flatnonzero(new)
-        self.end = np.append(self.start[1:], len(self.doc))[: len(self.start)]
+        self.start = np.flatnonzero(new).astype(np.int32)
+        self.end = np.append(self.start[1:], len(self.doc))[: len(self.start)].astype(np.int32)
         self.block = block[self.start]
         self.most = np.maximum.reduceat(self.weight, self.start) if len(self.start) else self.weight
-        self.block_at = np.searchsorted(self.start, np.searchsorted(term, np.arange(n_terms + 1)))
+        self.block_at = np.searchsorted(self.start, np.searchsorted(term, np.arange(n_terms + 1))).astype(np.int32)
 
-    def search(self, term: np.ndarray, weight: np.ndarray, k: int, leave: int = -1) -> tuple[np.ndarray, np.ndarray, int]:
-        """The k examples of the largest inner products over 0 (ties: the smaller number), without example `leave`, and how
-        many blocks were scored."""
+    def search(self, row: np.ndarray, term: np.ndarray, weight: np.ndarray, rows: int, k: int, leave: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+        """For each of `rows` queries, given by row, term and weight: the k examples of the largest inner products over 0 (ties:
+        the smaller number), without example leave[row]. Returns rows, examples and products, by row, then from the best on, and
+        how many blocks were scored."""
         run, which = spread(self.block_at[term], self.block_at[term + 1])
-        own, w = self.block[run], weight[which]
-        reach = np.bincount(own, w * self.most[run], self.n_blocks)
-        scores = np.zeros(self.n_docs)
+        own, w = row[which], weight[which].astype(np.float32)
+        cell = own * self.n_blocks + self.block[run]
+        reach = np.bincount(cell, w * self.most[run], rows * self.n_blocks).reshape(rows, self.n_blocks)
+        scores, least = np.zeros(rows * self.n_docs), np.zeros((rows, 1))
 
         def add(blocks: np.ndarray) -> None:
-            take = np.zeros(self.n_blocks, bool)
-            take[blocks] = True
-            some = take[own]
+            some = np.flatnonzero(blocks.ravel()[cell])
             at, of = spread(self.start[run[some]], self.end[run[some]])
-            np.add(scores, np.bincount(self.doc[at], w[some][of] * self.weight[at], self.n_docs), out=scores)
-            if leave >= 0:
-                scores[leave] = 0
-
-        order = np.argsort(-reach, kind="stable")
-        first = order[:PROMISING]
-        add(first[reach[first] > 0])
-        worst = np.partition(scores, -k)[-k] if len(scores) > k else 0.0
-        rest = order[PROMISING:]
-        rest = rest[(reach[rest] > 0) & (reach[rest] >= worst - 1e-9)]
-        if len(rest):
+            of = some[of]
+            scores[:] += np.bincount(own[of] * self.n_docs + self.doc[at], w[of] * self.weight[at], rows * self.n_docs)
+            table = scores.reshape(rows, self.n_docs)
+            if leave is not None:
+                table[np.arange(rows), leave] = 0
+            if self.n_docs > k:
+                least[:, 0] = np.partition(table, self.n_docs - k, axis=1)[:, self.n_docs - k]
+
+        first = np.zeros((rows, self.n_blocks), bool)
+        best = np.argpartition(-reach, min(PROMISING, self.n_blocks - 1), axis=1)[:, :PROMISING] if self.n_blocks else np.zeros((rows, 0), np.int64)
+        np.put_along_axis(first, best, True, 1)
+        first &= reach > 0
+        add(first)
+        rest = ~first & (reach > 0) & (reach >= least * (1 - 1e-5))
+        if rest.any():
             add(rest)
-            worst = np.partition(scores, -k)[-k] if len(scores) > k else 0.0
-        ids = np.flatnonzero((scores > 0) & (scores >= worst))
-        ids = ids[np.lexsort((ids, -scores[ids]))[:k]]
-        return ids, scores[ids], int((reach[first] > 0).sum()) + len(rest)
+        table = scores.reshape(rows, self.n_docs)
+        r, ids = np.nonzero((table > 0) & (table >= least))
+        order = np.lexsort((ids, -table[r, ids], r))
+        r, ids = r[order], ids[order]
+        place = np.arange(len(r)) - np.searchsorted(r, r)
+        r, ids = r[place < k], ids[place < k]
+        return r, ids, table[r, ids], int(first.sum() + rest.sum())
 
 
 class Neighbours:
@@ -150,28 +167,35 @@ class Neighbours:
         self.prior = float((self.toxic.sum() + 0.5) / (len(toxic) + 5)) if len(toxic) else 0.0
         self.line = (1.0, 0.0)
         if len(doc):
-            votes, truth = [], []
-            cut = np.append(np.flatnonzero(np.concatenate(([True], doc[1:] != doc[:-1]))), len(doc))
-            for a, b in zip(cut[:-1], cut[1:], strict=True):
-                me = int(place[doc[a]])
-                ids, scores, _ = self.index.search(term[a:b], weight[a:b], NEIGHBOURS, me)
-                votes.append(self.vote(ids, scores))
-                truth.append(self.toxic[me])
-            self.line = fitted(np.array(votes), np.array(truth))
+            own = np.unique(doc)
+            votes = np.concatenate([v for v, _ in self.votes(np.searchsorted(own, doc), term, weight, len(own), place[own])])
+            self.line = fitted(votes, self.toxic[place[own]])
+
+    @staticmethod
+    def loaded(data: bytes) -> Neighbours:
+        return pickle.loads(data)  # noqa: S301 made by learn()
 
     def weigh(self, doc: np.ndarray, term: np.ndarray, tf: np.ndarray, n: int) -> np.ndarray:
         """Count times idf, of unit length per document."""
         weight = tf * self.idf[term]
         return weight / np.sqrt(np.bincount(doc, weight * weight, n))[doc] if len(doc) else weight
 
-    def vote(self, ids: np.ndarray, scores: np.ndarray) -> float:
-        w = np.minimum(scores, 1.0)
-        return float((w @ self.toxic[ids] + SHRINK * self.prior) / (w.sum() + SHRINK))
-
-    def calibrated(self, vote: float) -> float:
+    def votes(self, row: np.ndarray, term: np.ndarray, weight: np.ndarray, rows: int, leave: np.ndarray | None = None):
+        """Of each query the share of toxic votes, weighted by closeness, and its nearest examples (numbers and cosines), some queries at a time.
+        row ascends."""
+        edges = np.searchsorted(row, np.arange(0, rows + TOGETHER, TOGETHER))
+        for k, (a, b) in enumerate(zip(edges, edges[1:], strict=False)):
+            n = min(TOGETHER, rows - k * TOGETHER)
+            r, ids, scores, _ = self.index.search(row[a:b] - k * TOGETHER, term[a:b], weight[a:b], n, NEIGHBOURS, None if leave is None else leave[k * TOGETHER : k * TOGETHER + n])
+            w = np.minimum(scores, 1.0)
+            share = (np.bincount(r, w * self.toxic[ids], n) + SHRINK * self.prior) / (np.bincount(r, w, n) + SHRINK)
+            at = np.searchsorted(r, np.arange(n + 1))
+            yield share, [(ids[x:y], scores[x:y]) for x, y in zip(at[:-1], at[1:], strict=True)]
+
+    def calibrated(self, votes: np.ndarray) -> np.ndarray:
         a, b = self.line
-        v = min(max(vote, 1e-4), 1 - 1e-4)
-        return float(1 / (1 + np.exp(-(a * np.log(v / (1 - v)) + b))))
+        v = np.clip(votes, 1e-4, 1 - 1e-4)
+        return 1 / (1 + np.exp(-(a * np.log(v / (1 - v)) + b)))
 
 
 def fitted(votes: np.ndarray, truth: np.ndarray) -> tuple[float, float]:
@@ -192,11 +216,11 @@ def idf_of(df: np.ndarray, total: int) -> np.ndarray:
     return np.where(df <= max(MOST_SHARE * total, MOST_ANYWAY), np.log((1 + total) / np.maximum(df, 1)), 0.0)
 
 
-def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> Neighbours:
+def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> bytes:
     """docs: doc_id, text (all of them, for idf). labels: doc_id, toxic (only those to learn from; null ones are left out, of
     several for one doc_id the largest counts). At most `most` labelled documents are used, chosen by a hash; repeated texts
     among them count once, with the label of the least doc_id. Vocabulary and index are made by one task each, from these
-    examples alone; the driver gets the index.
+    examples alone; the driver gets the index as bytes (for score(), or Neighbours.loaded()).
     """
     spark = docs.sparkSession
     ship(spark)
@@ -233,7 +257,7 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> Neighbour
         for batch in batches:
             n += batch.num_rows
             for w in words(batch.column(0), LETTERS, LOWER):
-                df += np.bincount(counted(*have.find(*terms(w)))[1], minlength=len(df))
+                df += np.bincount(counted_terms(*have.find(*terms(w)))[1], minlength=len(df))
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(SLICES + 1), pa.int32()), pa.array([*(df[a:b].tobytes() for a, b in zip(edges, edges[1:], strict=False)), np.array([n]).tobytes()], pa.binary())], names=["slice", "counts"])
 
     def add(key, table):
@@ -258,37 +282,36 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = EXAMPLES) -> Neighbour
 
     made = examples.groupBy("all").applyInArrow(index, "model binary").collect()
     none = np.zeros(0, np.int64)
-    return pickle.loads(bytes(made[0]["model"])) if made else Neighbours(Vocabulary(np.zeros(0, np.uint64)), np.zeros(0), none, none, none, none, none)  # noqa: S301 made by this package just before
+    return bytes(made[0]["model"]) if made else pickle.dumps(Neighbours(Vocabulary(np.zeros(0, np.uint64)), np.zeros(0), none, none, none, none, none))
 
 
-def score(docs: DataFrame, model: Neighbours) -> DataFrame:
+def score(docs: DataFrame, model: bytes) -> DataFrame:
     """Adds score (0 to 1), predicted (1 from THRESHOLD up) and evidence (nearest examples) to `docs`, which needs text.
 
     A text without any term of the vocabulary, an empty or a null one has no neighbour; its score is the share of toxic
     examples. Other columns stay, those of the three names are replaced. An empty table gives an empty result.
     """
+    # A model's size is bounded by EXAMPLES documents' terms.
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def make():
-        model, known = sent.value, {}
-
-        def ask(term: np.ndarray, tf: np.ndarray):
-            if (key := (term.tobytes(), tf.tobytes())) not in known:
-                if len(known) > 50_000:
-                    known.clear()
-                weight = model.weigh(np.zeros(len(term), np.int64), term, tf, 1)
-                ids, scores, _ = model.index.search(term, weight, NEIGHBOURS)
-                known[key] = model.calibrated(model.vote(ids, scores)), [{"doc_id": int(model.ids[i]), "similarity": float(s), "toxic": int(model.toxic[i])} for i, s in zip(ids[:3], scores[:3], strict=True)]
-            return known[key]
+        model = Neighbours.loaded(sent.value)
 
         def work(batch):
             n = batch.num_rows
-            scores, evidence = np.full(n, model.prior), [[] for _ in range(n)]
+            scores, evidence = np.full(n, model.prior), [[]] * n
             for w in words(batch.column(batch.schema.get_field_index("text")), LETTERS, LOWER):
-                doc, term, tf = counted(*model.vocabulary.find(*terms(w)))
-                cut = np.append(np.flatnonzero(np.concatenate(([True], doc[1:] != doc[:-1]))), len(doc)) if len(doc) else [0]
-                for a, b in zip(cut[:-1], cut[1:], strict=True):
-                    scores[w.first + doc[a]], evidence[w.first + doc[a]] = ask(term[a:b], tf[a:b])
+                doc, term, tf = counted_terms(*model.vocabulary.find(*terms(w)))
+                if not len(doc):
+                    continue
+                own, row = np.unique(doc, return_inverse=True)
+                at = 0
+                for votes, near in model.votes(row, term, model.weigh(row, term, tf, len(own)), len(own)):
+                    some = w.first + own[at : at + len(votes)]
+                    scores[some] = np.where([len(x) > 0 for x, _ in near], model.calibrated(votes), model.prior)
+                    for i, (ids, cosines) in zip(some.tolist(), near, strict=True):
+                        evidence[i] = [{"doc_id": d, "similarity": s, "toxic": t} for d, s, t in zip(model.ids[ids[:3]].tolist(), cosines[:3].tolist(), model.toxic[ids[:3]].astype(int).tolist(), strict=True)]
+                    at += len(votes)
             return {"score": pa.array(scores), "predicted": pa.array((scores >= THRESHOLD).astype(np.int32)), "evidence": evidence}
 
         return work
