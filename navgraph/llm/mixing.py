@@ -11,8 +11,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from navgraph.llm.arrow import fresh, named
 from navgraph.session import written
 
+#: Rows of a table of sources that are sent to all tasks at most; a larger one is joined by shuffling.
+SENT = 100_000
+
 #: Hex digits of the hash per histogram level, and levels; the rest of the hash is the last level.
 DIGITS, LEVELS = 3, 3
 WEIGHTS = (3, 1, 2)
@@ -24,7 +28,7 @@ def words_in(text: Column) -> Column:
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, most: float = 2.0) -> DataFrame:
-    """Adds weight and target to one row per source with source, source_size.
+    """Adds weight and target to one row per source with source, source_size. These rows, not documents, go through one task.
 
     Sources by code point (null last) weigh `weights`, repeating. They share `share` times all words in proportion; a
     target stops at `most` times its source's size and what it can't use goes to the others. Sharing anew until none is
@@ -47,6 +51,11 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float =
     return run.withColumn("common", level).select("source", "source_size", "weight", F.least(F.col("limit"), F.coalesce(F.col("common") * F.col("weight"), F.col("limit"))).alias("target"))
 
 
+def sent(sources: DataFrame) -> DataFrame:
+    """A written table of one row per source, marked for broadcasting if it is small."""
+    return F.broadcast(sources) if sources.count() <= SENT else sources
+
+
 def thresholds(sized: DataFrame, goals: DataFrame) -> DataFrame:
     """Per source: copies, and the hash `edge` with the share `part` of the words at it; below it all is taken once more.
 
@@ -58,10 +67,11 @@ def thresholds(sized: DataFrame, goals: DataFrame) -> DataFrame:
         "target",
         F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long").alias("copies"),
     ).withColumn("left", F.col("target") - F.col("copies") * F.col("source_size")).withColumn("prefix", F.lit(""))
+    left = written(left, "mix-level")
     for level in range(LEVELS + 1):
         digits = DIGITS * (level + 1) if level < LEVELS else 32
         here = F.substring("place", 1, digits)
-        inside = sized.join(F.broadcast(left), F.col("source").eqNullSafe(F.col("of")) & F.col("place").startswith(F.col("prefix")), "inner")
+        inside = sized.join(sent(left), F.col("source").eqNullSafe(F.col("of")) & F.col("place").startswith(F.col("prefix")), "inner")
         bucket = inside.groupBy("of", here.alias("bucket")).agg(F.sum("size").alias("words"), F.first("left").alias("left"))
         line = Window.partitionBy("of").orderBy("bucket")
         edge = (
@@ -69,7 +79,7 @@ def thresholds(sized: DataFrame, goals: DataFrame) -> DataFrame:
             .filter((F.col("before") <= F.col("left")) & (F.col("left") < F.col("before") + F.col("words")))
             .select(F.col("of").alias("edge_of"), F.col("bucket"), F.col("words"), (F.col("left") - F.col("before")).alias("rest"))
         )
-        left = left.join(F.broadcast(edge), F.col("of").eqNullSafe(F.col("edge_of")), "left").select(
+        left = left.join(edge, F.col("of").eqNullSafe(F.col("edge_of")), "left").select(
             "of", "source_size", "target", "copies",
             F.coalesce("rest", F.lit(0.0)).alias("left"),
             F.coalesce("bucket", F.lit("")).alias("prefix"),
@@ -89,17 +99,18 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5,
     At most `most` times a document's words are taken, and each source's total is short of its target by less than a word for
     every row at its edge.
     """
-    own = [c for c in docs.columns if c not in ("size", "source_size", "target", "taken")]
-    place = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
-    sized = written(docs.select("source", words_in(F.col("text")).alias("size"), place.alias("place")), "mix-sizes")
+    own = [named(c) for c in docs.columns if c.lower() not in ("size", "source_size", "target", "taken")]
+    at, of, copies, edge, part = fresh([*docs.columns, "size", "source_size", "target", "taken"], "place", "of", "copies", "edge", "part")
+    place = F.md5(F.coalesce(named("doc_id").cast("string"), F.lit("null")))
+    sized = written(docs.select(named("source").alias("source"), words_in(named("text")).alias("size"), place.alias("place")), "mix-sizes")
     goals = written(targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most), "mix-targets")
     plan = thresholds(sized, goals)
-    size, edge = words_in(F.col("text")), F.col("edge")
-    taken = F.col("size") * F.col("copies") + F.when(edge == "", F.lit(0)).when(F.col("place") < edge, F.col("size")).when(F.col("place") == edge, F.floor(F.col("size") * F.col("part") + F.lit(1e-9))).otherwise(F.lit(0))
+    plan = sent(plan).select(F.col("of").alias(of), "source_size", "target", F.col("copies").alias(copies), F.col("edge").alias(edge), F.col("part").alias(part))
+    once_more = F.when(F.col(edge) == "", F.lit(0)).when(F.col(at) < F.col(edge), F.col("size")).when(F.col(at) == F.col(edge), F.floor(F.col("size") * F.col(part) + F.lit(1e-9))).otherwise(F.lit(0))
     return (
-        docs.select(*own, size.alias("size"), place.alias("place"))
-        .join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("of")), "inner")
-        .select(*own, "size", "source_size", "target", taken.cast("long").alias("taken"))
+        docs.select(*own, words_in(named("text")).alias("size"), place.alias(at))
+        .join(plan, named("source").eqNullSafe(F.col(of)), "inner")
+        .select(*own, "size", "source_size", "target", (F.col("size") * F.col(copies) + once_more).cast("long").alias("taken"))
     )
 
 

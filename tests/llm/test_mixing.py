@@ -55,3 +55,19 @@ def test_repeated_rows_nulls_and_long_texts(spark):
     assert len(found) == len(rows)
     assert len({r.taken for r in found if r.doc_id == 7}) == 1
     assert mixing.mix(documents(spark, [])).count() == 0
+
+
+def test_columns_with_the_names_used_inside(spark):
+    rows = [(k, "a b c d", "s" if k % 3 else "t") for k in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    names = ["place", "of", "copies", "edge", "part", "left", "bucket", "prefix", "n", "weight", "Place", "a.b", "size", "words"]
+    more = docs.selectExpr("*", *(f"'x' AS `{n}`" for n in names if n != "Place"))
+    plain, clash = ({r.doc_id: r.taken for r in mixing.mix(d).collect()} for d in (docs, more))
+    assert plain == clash and set(mixing.mix(more).columns) == {"doc_id", "text", "source", *names, "source_size", "target", "taken"} - {"Place"}
+
+
+def test_a_table_of_sources_beyond_the_bound_is_shuffled(spark, monkeypatch):
+    docs = documents(spark, [(k, "a b c d", f"s{k % 7}", None, None, None) for k in range(60)])
+    sent = {r.doc_id: r.taken for r in mixing.mix(docs).collect()}
+    monkeypatch.setattr(mixing, "SENT", 3)
+    assert sent == {r.doc_id: r.taken for r in mixing.mix(docs).collect()}
