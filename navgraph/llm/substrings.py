@@ -1,13 +1,17 @@
 """Removing repeated passages, with automata of recurring phrases.
 
-Two equal windows of WINDOW words choose the same anchor, the least hash among their runs of GRAM words. A first reading of all
-documents counts anchors; those that recur set bits of a filter of fixed size. A second reading sends the windows whose anchor
-may recur to the anchor's shard. There, recurring windows are confirmed, compiled into an Aho-Corasick automaton over word
-numbers, and all passages of the shard are run through it; every occurrence but the first is for removal. The filter only
-saves work: whatever it lets through is judged exactly (words are told apart by 32-bit hashes, windows by 64 more bits).
-
-An occurrence that isn't the first among those its map task holds is for removal whatever other tasks hold, so only local
-firsts travel; a passage that a third of all documents share costs its shard one row per flush of a task.
+Two equal windows of WINDOW words choose the same anchor, the least hash among their phrases of GRAM words.
+
+1. Chunks of documents ask buckets of anchors which of theirs recur.
+2. A chunk sends each of its windows with a recurring anchor once, with its first place, to the bucket of the anchor (of the
+   window itself, where very many windows share an anchor). The bucket confirms those that recur and says whether a window's
+   first place of all is in this chunk.
+3. The chunk compiles an Aho-Corasick automaton of the anchor phrases of its confirmed windows, streams all its documents
+   through it, and looks at every window around every phrase that is found: a confirmed one is for removal unless it stands
+   at its first place.
+
+Windows are told apart by 64 bits of hash within one anchor of 45 to 58 bits. Nothing is broadcast; a passage that a third of
+all documents share is sent once by each chunk.
 """
 
 from __future__ import annotations
@@ -16,26 +20,29 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, IntegerType, LongType, StringType, StructField, StructType
 
-from navgraph.llm.census import BUCKETS, CENSUS, Bitmap, Gather, assembled, bucket_of, merged
+from navgraph.llm.arrow import named
+from navgraph.llm.deal import bucket_of, counted, deal_of, firsts, mask, packed, totals, unpack
 from navgraph.llm.textscan import GRAPHIC, Words, mix, words
 from navgraph.session import ship
 
 WINDOW, GRAM = 20, 8
-BITS, WAYS = 1 << 27, 2
-#: Candidate windows that a map task holds before it sends them; most patterns of one automaton.
-HELD, PATTERNS = 1_500_000, 150_000
+#: Bytes of an anchor below its bucket's bits; places of an anchor from which on its windows are dealt by their own hashes.
+WIDTH, HOT = 5, 10_000
+#: Most word numbers that fit one character each.
+CHARACTERS = 1_000_000
 _PLACE = 20
 
 
-def anchors(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Places of all windows, the anchor of each (its leading 50 bits, as the census keeps them), and whether the anchor lies
-    elsewhere than the window's before."""
+def anchors(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Places of all windows, the anchor of each, the anchor's place, and whether it is another than the window's before."""
     at, _ = w.grams(WINDOW)
     if not len(at):
-        return at, np.zeros(0, np.uint64), np.zeros(0, bool)
+        return at, np.zeros(0, np.uint64), at, np.zeros(0, bool)
     place, hashes = w.grams(GRAM)
     low = np.full(len(w.hashes), np.iinfo(np.uint64).max, np.uint64)
     low[place] = (hashes >> np.uint64(_PLACE) << np.uint64(_PLACE)) | (place.astype(np.uint64) & np.uint64((1 << _PLACE) - 1))
@@ -47,136 +54,142 @@ def anchors(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         low = np.minimum(low[: len(low) - (wide - have)], low[wide - have :])
     key = low[at]
     new = np.concatenate(([True], (key[1:] != key[:-1]) | (at[1:] != at[:-1] + 1)))
-    return at, mix(key >> np.uint64(_PLACE)) & np.uint64(0xFFFFFFFFFFFFC000), new
-
-
-def recurring(docs: DataFrame) -> np.ndarray:
-    """The filter of anchors that occur more than once in all documents."""
-
-    def count(batches):
-        held = Gather((True,))
-        for batch in batches:
-            for w in words(batch.column(0), GRAPHIC):
-                _, values, new = anchors(w)
-                held.add(0, values[new])
-                if held.full():
-                    yield held.flush()
-        yield held.flush()
-
-    def bits(key, table):
-        b = key[0].as_py()
-        h, c = merged(table.column("blob").to_pylist(), b, short=True)
-        return pa.table({"bucket": pa.array([b], pa.int32()), "segment": pa.array([Bitmap(BITS, WAYS).make([(h[c > 1], 0)]) if (c > 1).any() else None], pa.binary())})
-
-    rows = docs.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(bits, "bucket int, segment binary")
-    return assembled(rows, BITS)
-
-
-def ranges(rows: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, list[bytes]]:
-    """Rows with removed windows, and for each the first words of those windows."""
-    if not len(rows):
-        return rows, []
-    order = np.lexsort((starts, rows))
-    rows, starts = rows[order], starts[order].astype(np.int32)
-    first = np.flatnonzero(np.concatenate(([True], rows[1:] != rows[:-1])))
-    ends = np.append(first[1:], len(rows))
-    return rows[first], [starts[a:b].tobytes() for a, b in zip(first, ends, strict=True)]
-
-
-class Held:
-    """Candidate windows of a map task: hash, document, row, start, anchor, and where its words are."""
-
-    def __init__(self):
-        self.windows: list[tuple[np.ndarray, ...]] = []
-        self.words: list[np.ndarray] = []
-        self.n_words = self.n = 0
-
-    def add(self, w: Words, at: np.ndarray, values: np.ndarray, new: np.ndarray, ids: np.ndarray, rows: np.ndarray) -> None:
-        near = np.zeros(len(w.hashes) + 1, np.int64)
-        np.add.at(near, at, 1)
-        np.add.at(near, np.minimum(at + WINDOW, len(w.hashes)), -1)
-        used = np.cumsum(near[:-1]) > 0
-        shift = np.cumsum(used) - used + self.n_words
-        own = np.repeat(np.arange(len(w.offsets) - 1), w.counts)[at]
-        self.windows.append((w.spans(at, at + WINDOW), ids[w.first + own], rows[w.first + own], at - w.offsets[own], values, shift[at]))
-        self.words.append((w.hashes[used] >> np.uint64(32)).astype(np.uint32))
-        self.n_words += int(used.sum())
-        self.n += len(at)
-
-    def send(self):
-        hashes, ids, rows, starts, values, at = (np.concatenate(x) for x in zip(*self.windows, strict=True))
-        text = np.concatenate(self.words)
-        self.__init__()
-        order = np.lexsort((starts, ids, hashes))
-        hashes, ids, rows, starts, values, at = (x[order] for x in (hashes, ids, rows, starts, values, at))
-        first = np.concatenate(([True], hashes[1:] != hashes[:-1]))
-        lead = np.flatnonzero(first)[np.cumsum(first) - 1]
-        stays = (ids == ids[lead]) & (starts == starts[lead])
-        gone, blobs = ranges(rows[~stays], starts[~stays])
-        yield [int(x) for x in gone % BUCKETS], gone.tolist(), blobs, [None] * len(gone)
-        keep = np.flatnonzero(stays)
-        keep = keep[np.lexsort((at[keep], values[keep]))]
-        ids, rows, starts, values, at = (x[keep] for x in (ids, rows, starts, values, at))
-        new = np.concatenate(([True], (values[1:] != values[:-1]) | (at[1:] != at[:-1] + 1) | (starts[1:] != starts[:-1] + 1) | (rows[1:] != rows[:-1])))
+    inner = ((key & np.uint64((1 << _PLACE) - 1)).astype(np.int64) - at) & ((1 << _PLACE) - 1)
+    return at, mix(key >> np.uint64(_PLACE)), at + inner, new
+
+
+class Phrases:
+    """An Aho-Corasick automaton over words, for phrases given as rows of word hashes. A word is one character; two, if there are too many
+    words for that. Words that no phrase has are all alike."""
+
+    def __init__(self, phrases: np.ndarray, characters: int = CHARACTERS):
+        import ahocorasick
+
+        self.known, number = np.unique(phrases, return_inverse=True)
+        self.size, self.wide = phrases.shape[1], 2 if len(self.known) > characters else 1
+        self.made = ahocorasick.Automaton()
+        lines, step = self._text(number.ravel() + 2), self.size * self.wide
+        for i in range(len(phrases)):
+            self.made.add_word(lines[i * step : (i + 1) * step], i)
+        self.made.make_automaton()
+
+    def _text(self, numbers: np.ndarray) -> str:
+        """Two characters for a word are of different ranges, so that none is found across two words. Surrogates stay unused."""
+        if self.wide == 2:
+            numbers = np.stack((0x10000 + (numbers >> 15), 1 + (numbers & 0x7FFF)), 1).ravel()
+        numbers = numbers.astype(np.uint32)
+        return np.where(numbers < 0xD800, numbers, numbers + np.uint32(0x800 if self.wide == 1 else 0)).tobytes().decode("utf-32-le")
+
+    def find(self, w: Words) -> np.ndarray:
+        """First words of all phrases in the documents of w; none reaches over a document's end."""
+        at = np.minimum(np.searchsorted(self.known, w.hashes), len(self.known) - 1)
+        number = np.where(self.known[at] == w.hashes, at + 2, 0)
+        n = len(w.offsets) - 1
+        spread = np.ones(len(number) + n, np.int64)  # 1 stands between documents, 0 for any other word
+        spread[np.arange(len(number)) + w.owner()] = number
+        ends = np.fromiter((end for end, _ in self.made.iter(self._text(spread))), np.int64) // self.wide
+        back = np.repeat(np.arange(n), w.counts + 1)
+        return ends - back[ends] - self.size + 1
+
+
+class Passages:
+    """Windows of a chunk whose anchors recur, each once, at its first place in the chunk. Documents stand in the order of id and text, so
+    that every reading gives the same."""
+
+    def __init__(self, ids: np.ndarray, texts: pa.Array, kinds, cut: np.uint64):
+        """kinds: of masked anchors (an array), 0 where one doesn't recur, 2 where it is hot."""
+        self.ids, self.steps, parts = ids, [], []
+        for w in words(texts, GRAPHIC):
+            at, values, place, new = anchors(w)
+            self.steps.append(w)
+            values = values & cut
+            kind = kinds(values[new])[np.cumsum(new) - 1] if len(at) else np.zeros(0, np.uint8)
+            may = kind > 0
+            at, own = at[may], np.repeat(np.arange(len(w.offsets) - 1), w.counts)[at[may]]
+            step = np.full(len(at), len(self.steps) - 1)
+            parts.append((w.spans(at, at + WINDOW), values[may], kind[may], ids[w.first + own], at - w.offsets[own], w.first + own, place[may], step))
+        joined = [np.concatenate(x) for x in zip(*parts, strict=True)] if parts else [np.zeros(0, np.int64)] * 8
+        order = np.argsort(joined[0], kind="stable")
+        first = firsts(joined[0][order])
+        several = np.diff(np.append(first, len(order))) > 1
+        keep = order[first]
+        back = np.argsort(keep)
+        self.hash, self.anchor, self.kind, self.id, self.start, self.row, self.place, self.step = (x[keep[back]] for x in joined)
+        self.several = several[back]
+
+    def route(self, bits: int) -> tuple[np.ndarray, np.ndarray]:
+        """Windows by bucket, and the bucket of each."""
+        bucket = np.where(self.kind == 2, bucket_of(mix(self.hash), bits), bucket_of(self.anchor, bits))
+        order = np.argsort(bucket, kind="stable")
+        return order, bucket[order]
+
+    def sent(self, bits: int) -> tuple[list[int], list[bytes]]:
+        """One value per bucket: runs of windows that follow each other, with anchor, document, start and length; and the windows."""
+        order, bucket = self.route(bits)
+        anchor, row, start = self.anchor[order], self.row[order], self.start[order]
+        new = np.ones(len(order), bool)
+        new[1:] = (bucket[1:] != bucket[:-1]) | (anchor[1:] != anchor[:-1]) | (row[1:] != row[:-1]) | (start[1:] != start[:-1] + 1)
         begin = np.flatnonzero(new)
-        size = np.diff(np.append(begin, len(at))) + WINDOW - 1
-        b = bucket_of(values[begin])
-        edge = np.searchsorted(b, np.arange(BUCKETS + 1))
-        out: tuple[list, list, list, list] = ([], [], [], [])
-        for k in np.flatnonzero(np.diff(edge)):
-            own = slice(edge[k], edge[k + 1])
-            n, s = size[own], begin[own]
-            body = text[np.repeat(at[s] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum())]
-            out[0].append(int(k))
-            out[1].append(None)
-            out[2].append(None)
-            out[3].append(np.array([len(n)], np.int64).tobytes() + ids[s].astype(np.int64).tobytes() + rows[s].tobytes() + starts[s].astype(np.int32).tobytes() + n.astype(np.int32).tobytes() + body.tobytes())
-        yield out
-
-
-def occurrences(ids: np.ndarray, rows: np.ndarray, starts: np.ndarray, size: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Row and start of each window of a shard's passages that isn't the first with its words."""
-    import ahocorasick
-
-    from navgraph.llm.textscan import _GRAM, _spans
-
-    begin = np.concatenate(([0], np.cumsum(size)[:-1]))
-    n = size - WINDOW + 1
-    passage = np.repeat(np.arange(len(size)), n)
-    inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-    at = begin[passage] + inner
-    hashes = _spans(mix(text.astype(np.uint64)), at, at + WINDOW, _GRAM)
-    order = np.lexsort((starts[passage] + inner, ids[passage], hashes))
-    h, d, s = hashes[order], ids[passage][order], (starts[passage] + inner)[order]
-    new = np.concatenate(([True], h[1:] != h[:-1]))
-    other = np.concatenate(([True], new[1:] | (d[1:] != d[:-1]) | (s[1:] != s[:-1])))
-    group = np.cumsum(new) - 1
-    confirmed = np.flatnonzero(np.bincount(group, other) > 1)
-    patterns = at[order][np.flatnonzero(new)[confirmed]]
-    gone_row, gone_start = [], []
-    # Word numbers as characters: 0 stands between passages, the surrogates stay unused by skipping above them.
-    numbers = np.unique(text, return_inverse=True)[1].astype(np.uint32) + 1
-    numbers[numbers >= 0xD800] += 0x800
-    spread = np.zeros(len(text) + len(size), np.uint32)
-    spread[np.arange(len(text)) + np.repeat(np.arange(len(size)), size)] = numbers
-    line = spread.tobytes().decode("utf-32-le")
-    back = np.repeat(np.arange(len(size)), size + 1)
-    for k in range(0, len(patterns), PATTERNS):
-        made = ahocorasick.Automaton()
-        for i, p in enumerate(patterns[k : k + PATTERNS] + np.searchsorted(begin, patterns[k : k + PATTERNS], "right") - 1):
-            made.add_word(line[p : p + WINDOW], i)
-        made.make_automaton()
-        found = np.array(list(made.iter(line)), np.int64).reshape(-1, 2)
-        which = back[found[:, 0]]
-        start = starts[which] + found[:, 0] - WINDOW + 1 - which - begin[which]
-        order = np.lexsort((start, ids[which], found[:, 1]))
-        f, w, s = found[order, 1], which[order], start[order]
-        head = np.flatnonzero(np.concatenate(([True], f[1:] != f[:-1])))
-        lead = np.repeat(head, np.diff(np.append(head, len(f))))
-        gone = (ids[w] != ids[w[lead]]) | (s != s[lead])
-        gone_row.append(rows[w[gone]])
-        gone_start.append(s[gone])
-    return (np.concatenate(gone_row), np.concatenate(gone_start)) if gone_row else (np.zeros(0, np.int64), np.zeros(0, np.int64))
+        size, owner = np.diff(np.append(begin, len(order))), bucket[begin]
+        edge = np.append(firsts(owner), len(begin))
+        out: tuple[list[int], list[bytes]] = ([], [])
+        for a, b in zip(edge[:-1], edge[1:], strict=True):
+            i = order[begin[a] : begin[b] if b < len(begin) else len(order)]
+            s = order[begin[a:b]]
+            out[0].append(int(owner[a]))
+            out[1].append(b"".join((np.array([b - a, len(i)], np.int64).tobytes(), self.anchor[s].tobytes(), self.id[s].astype(np.int64).tobytes(), self.start[s].astype(np.int32).tobytes(), size[a:b].astype(np.int32).tobytes(), self.several[i].tobytes(), self.hash[i].tobytes())))
+        return out
+
+    def removed(self, codes: np.ndarray, bits: int):
+        """For every step: its words, and which of them go. codes: the buckets' answers, in the order of sending."""
+        code = np.zeros(len(self.hash), np.uint8)
+        code[self.route(bits)[0]] = codes
+        sure = np.flatnonzero(code)
+        if not len(sure):
+            yield from ((w, np.zeros(len(w.hashes), bool)) for w in self.steps)
+            return
+        some = sure[firsts(*(x[sure] for x in (self.step, self.place)))]
+        phrases = np.concatenate([w.hashes[self.place[some[self.step[some] == k]][:, None] + np.arange(GRAM)] for k, w in enumerate(self.steps)])
+        found = Phrases(np.unique(phrases, axis=0))
+        sure = sure[np.argsort(self.hash[sure])]
+        hashes = self.hash[sure]
+        for w in self.steps:
+            near, n = np.zeros(len(w.hashes) + 1, np.int64), len(w.hashes)
+            at = found.find(w)
+            np.add.at(near, np.maximum(at - (WINDOW - GRAM), 0), 1)
+            np.add.at(near, at + 1, -1)
+            start = np.flatnonzero(np.cumsum(near[:-1]) > 0)
+            own = np.repeat(np.arange(len(w.offsets) - 1), w.counts)[start]
+            inside = start + WINDOW <= w.offsets[own + 1]
+            start, own = start[inside], own[inside]
+            h = w.spans(start, start + WINDOW)
+            place = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
+            which = sure[place]
+            gone = (hashes[place] == h) & ((code[which] == 2) | (self.id[which] != self.ids[w.first + own]) | (self.start[which] != start - w.offsets[own]))
+            cover = np.zeros(n + 1, np.int64)
+            np.add.at(cover, start[gone], 1)
+            np.add.at(cover, start[gone] + WINDOW, -1)
+            yield w, np.cumsum(cover[:-1]) > 0
+
+
+def judged(blobs: list[bytes]) -> list[bytes]:
+    """For every window of every blob: 0 if it is the only one of its words, 1 if this is its first place, else 2."""
+    parts = []
+    for k, blob in enumerate(blobs):
+        runs, n = (int(x) for x in np.frombuffer(blob, np.int64, 2))
+        at = 16 + 24 * runs
+        size = np.frombuffer(blob, np.int32, runs, 16 + 20 * runs)
+        inner = np.arange(n) - np.repeat(np.cumsum(size) - size, size)
+        parts.append((np.frombuffer(blob, np.uint64, n, at + n), np.repeat(np.frombuffer(blob, np.uint64, runs, 16), size), np.repeat(np.frombuffer(blob, np.int64, runs, 16 + 8 * runs), size), np.repeat(np.frombuffer(blob, np.int32, runs, 16 + 16 * runs), size) + inner, np.frombuffer(blob, bool, n, at)))
+    hashes, anchor, ids, start, several = (np.concatenate(x) for x in zip(*parts, strict=True))
+    order = np.lexsort((start, ids, anchor, hashes))
+    first = firsts(hashes[order], anchor[order])
+    size = np.diff(np.append(first, len(order)))
+    recurs = np.repeat((size > 1) | np.logical_or.reduceat(several[order], first), size)
+    head = np.repeat(order[first], size)
+    code = np.empty(len(order), np.uint8)
+    code[order] = np.where(recurs, np.where((ids[order] == ids[head]) & (start[order] == start[head]), 1, 2), 0)
+    return [x.tobytes() for x in np.split(code, np.cumsum([len(p[0]) for p in parts])[:-1])]
 
 
 def dedup(docs: DataFrame, with_text: bool = True) -> DataFrame:
@@ -184,83 +197,83 @@ def dedup(docs: DataFrame, with_text: bool = True) -> DataFrame:
 
     A word goes if it lies in a window of WINDOW words of its document whose words also start earlier: in a smaller doc_id, or
     before it in the same one. Windows are judged on the input. Needs doc_id (whole numbers; null comes before all) and
-    text (null has no words). Rows that share a doc_id and a text are the same document and share their fate (rows are told apart by a hash of both). Texts of
-    fewer than WINDOW words stay whole.
+    text (null has no words). Rows that share a doc_id are one document to each other: neither makes the other's windows at
+    the same start go. Texts of fewer than WINDOW words stay whole. Other columns stay, those of the four names are replaced.
+    An empty table gives an empty result.
     """
     spark = docs.sparkSession
     ship(spark)
-    names = {"n_words", "n_removed", "kept_sha256", "kept"}
-    keep = [c for c in docs.columns if c not in names]
-    numbered = docs.select(*keep, F.xxhash64("doc_id", "text").alias("_row"))
-    sent = spark.sparkContext.broadcast(recurring(docs))
-    rows_schema = pa.schema([("bucket", pa.int32()), ("row", pa.int64()), ("starts", pa.binary()), ("passages", pa.binary())])
-
-    def collect(batches):
-        asked, held = Bitmap(BITS, WAYS, sent.value), Held()
-
-        def send():
-            for parts in held.send():
-                if parts[0]:
-                    yield pa.RecordBatch.from_arrays([pa.array(p, f.type) for p, f in zip(parts, rows_schema, strict=True)], schema=rows_schema)
-
-        for batch in batches:
-            ids, rows = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            for w in words(batch.column(2), GRAPHIC):
-                at, values, new = anchors(w)
-                may = asked.has(values[new], 0)[np.cumsum(new) - 1] if len(at) else np.zeros(0, bool)
-                if may.any():
-                    held.add(w, at[may], values[may], new, ids, rows)
-                if held.n >= HELD:
-                    yield from send()
-        if held.n:
-            yield from send()
+    new = [StructField("n_words", LongType()), StructField("n_removed", LongType()), StructField("kept_sha256", StringType()), StructField("kept", StringType())][: 4 if with_text else 3]
+    keep = [f for f in docs.schema.fields if f.name.lower() not in {"n_words", "n_removed", "kept_sha256", "kept"}]
+    # Names of the table don't take part in what follows: they may clash, and grouped functions take none with dots.
+    at_id, at_chunk, at_text, inner = "id", "chunk", "body", [StructField(f"own{k}", f.dataType) for k, f in enumerate(keep)]
+    deal = deal_of(docs)
+    bits, cut = deal.bits, mask(deal.bits, WIDTH)
+    dealt = docs.select(*(named(f.name).alias(i.name) for f, i in zip(keep, inner, strict=True)), F.coalesce(named("doc_id").cast("long"), F.lit(-(1 << 63))).alias(at_id), named("text").alias(at_text)).withColumn(at_chunk, deal.chunk(at_id, at_text))
+
+    def ordered(table):
+        return table.take(pc.sort_indices(table, [(at_id, "ascending"), (at_text, "ascending")]))
+
+    def ask(key, table):
+        found = []
+        for w in words(table.column(at_text), GRAPHIC):
+            _, values, _, new_ = anchors(w)
+            found.append(values[new_] & cut)
+        buckets, blobs = packed(*counted(np.concatenate(found) if found else np.zeros(0, np.uint64)), bits, WIDTH)
+        return pa.table({"chunk": pa.array([key[0].as_py()] * len(blobs), pa.int32()), "bucket": pa.array(buckets, pa.int32()), "blob": pa.array(blobs, pa.binary())})
+
+    def answer(key, table):
+        parts = [unpack(x, key[0].as_py(), bits, WIDTH) for x in table.column("blob").to_pylist()]
+        _, n, place = totals(parts)
+        kinds = ((n > 1).astype(np.uint8) + (n >= HOT))[place]
+        return pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "blob": pa.array([x.tobytes() for x in np.split(kinds, np.cumsum([len(h) for h, _ in parts])[:-1])], pa.binary())})
+
+    def passages(table, answers) -> Passages:
+        """Of an ordered table; answers: rows of kind 0 hold the kinds of anchors by bucket."""
+        texts = table.column(at_text).combine_chunks()
+        asked = [anchors(w) for w in words(texts, GRAPHIC)]
+        known, _ = counted(np.concatenate([values[new_] & cut for _, values, _, new_ in asked]) if asked else np.zeros(0, np.uint64))
+        own = np.frombuffer(b"".join(answers.sort_by("bucket").column("blob").to_pylist()), np.uint8)
+        return Passages(table.column(at_id).to_numpy(), texts, lambda values: own[np.searchsorted(known, values)], cut)
+
+    def send(key, table, answers):
+        buckets, blobs = passages(ordered(table), answers).sent(bits)
+        return pa.table({"chunk": pa.array([key[0].as_py()] * len(blobs), pa.int32()), "bucket": pa.array(buckets, pa.int32()), "blob": pa.array(blobs, pa.binary())})
 
     def judge(key, table):
-        row, starts, passages = (table.column(c).to_pylist() for c in ("row", "starts", "passages"))
-        out_rows, out = [r for r in row if r is not None], [s for s in starts if s is not None]
-        parts = [[] for _ in range(5)]
-        for blob in passages:
-            if blob is None:
-                continue
-            n = int(np.frombuffer(blob, np.int64, 1)[0])
-            own = [np.frombuffer(blob, np.int64, n, 8), np.frombuffer(blob, np.int64, n, 8 + 8 * n), np.frombuffer(blob, np.int32, n, 8 + 16 * n), np.frombuffer(blob, np.int32, n, 8 + 20 * n), np.frombuffer(blob, np.uint32, -1, 8 + 24 * n)]
-            for p, x in zip(parts, own, strict=True):
-                p.append(x)
-        if parts[0]:
-            ids, rows, begin, size, text = (np.concatenate(p) for p in parts)
-            found = ranges(*occurrences(ids, rows, begin.astype(np.int64), size.astype(np.int64), text))
-            out_rows, out = out_rows + found[0].tolist(), out + found[1]
-        return pa.table({"row": pa.array(out_rows, pa.int64()), "starts": pa.array(out, pa.binary())})
-
-    candidates = numbered.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("id"), "_row", "text").mapInArrow(collect, "bucket int, row long, starts binary, passages binary")
-    removed = candidates.groupBy("bucket").applyInArrow(judge, "row long, starts binary").groupBy("row").agg(F.collect_list("starts").alias("starts"))
-    joined = numbered.join(removed, F.col("_row") == F.col("row"), "left")
-
-    from navgraph.llm.arrow import add_columns
-
-    def make():
-        def work(batch):
-            texts, starts = batch.column(batch.schema.get_field_index("text")), batch.column(batch.schema.get_field_index("starts"))
-            n_words, n_removed, sha, kept = [], [], [], []
-            for text, own in zip(texts, starts, strict=True):
+        return pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "blob": pa.array(judged(table.column("blob").to_pylist()), pa.binary())})
+
+    schema = StructType([*inner, *new])
+
+    def remove(key, table, answers):
+        from pyspark.sql.pandas.types import to_arrow_schema
+
+        table = ordered(table)
+        first, second = (answers.filter(pc.equal(answers.column("turn"), k)).select(["bucket", "blob"]) for k in (0, 1))
+        codes = np.frombuffer(b"".join(second.sort_by("bucket").column("blob").to_pylist()), np.uint8)
+        n_words, n_removed, sha, kept = [], [], [], []
+        texts = table.column(at_text).combine_chunks()
+        for w, gone in passages(table, first).removed(codes, bits):
+            for i in range(len(w.offsets) - 1):
+                text, own = texts[w.first + i], gone[w.offsets[i] : w.offsets[i + 1]]
                 parts = text.as_buffer().to_pybytes().split() if text.is_valid else []
                 n_words.append(len(parts))
-                if own.is_valid:
-                    cover = np.zeros(len(parts) + 1, np.int64)
-                    at = np.concatenate([np.frombuffer(x, np.int32) for x in own.as_py()])
-                    np.add.at(cover, at, 1)
-                    np.add.at(cover, at + WINDOW, -1)
-                    parts = [parts[i] for i in np.flatnonzero(np.cumsum(cover[:-1]) == 0)]
+                if own.any():
+                    parts = [parts[k] for k in np.flatnonzero(~own)]
                 n_removed.append(n_words[-1] - len(parts))
                 whole = b" ".join(parts)
                 sha.append(hashlib.sha256(whole).hexdigest())
                 kept.append(whole.decode("utf-8", "replace") if with_text else None)
-            return {"n_words": n_words, "n_removed": n_removed, "kept_sha256": sha, "kept": kept}
-
-        return work
-
-    found = add_columns(joined, "n_words long, n_removed long, kept_sha256 string, kept string", make)
-    return found.select(*keep, "n_words", "n_removed", "kept_sha256", *(["kept"] if with_text else []))
+        made = [pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(sha, pa.string()), pa.array(kept, pa.string())][: len(new)]
+        types = to_arrow_schema(StructType(new))
+        return pa.table([*(table.column(f.name) for f in inner), *(m.cast(t.type) for m, t in zip(made, types, strict=True))], names=[f.name for f in schema])
+
+    row = StructType([StructField("chunk", IntegerType()), StructField("bucket", IntegerType()), StructField("blob", BinaryType())])
+    kinds = dealt.groupBy(at_chunk).applyInArrow(ask, row).groupBy("bucket").applyInArrow(answer, row)
+    codes = dealt.groupBy(at_chunk).cogroup(kinds.groupBy("chunk")).applyInArrow(send, row).groupBy("bucket").applyInArrow(judge, row)
+    both = kinds.withColumn("turn", F.lit(0)).unionByName(codes.withColumn("turn", F.lit(1)))
+    found = dealt.groupBy(at_chunk).cogroup(both.groupBy("chunk")).applyInArrow(remove, schema)
+    return found.select(*(F.col(i.name).alias(f.name) for f, i in zip(keep, inner, strict=True)), *(f.name for f in new))
 
 
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -97,18 +97,6 @@ def test_substrings(spark, docs, none):
     by = {r.doc_id: r for r in found}
     assert by[6].n_removed == by[6].n_words and by[5].n_removed < by[5].n_words and by[0].kept == ""
     assert substrings.dedup(none).count() == 0
-    rng = np.random.default_rng(5)
-    texts = [" ".join(rng.choice(["a", "b"], rng.integers(0, 120), p=[0.9, 0.1])) for _ in range(60)]
-    seen, expected = set(), []
-    for t in texts:
-        w, gone = t.split(), set()
-        for i in range(len(w) - 19):
-            if (k := tuple(w[i : i + 20])) in seen:
-                gone |= set(range(i, i + 20))
-            seen.add(k)
-        expected.append(" ".join(x for i, x in enumerate(w) if i not in gone))
-    got = {r.doc_id: r.kept for r in substrings.dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(5)).collect()}
-    assert [got[i] for i in range(60)] == expected
 
 
 def test_language(docs, none):
