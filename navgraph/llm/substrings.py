@@ -32,9 +32,9 @@ from navgraph.session import ship
 
 WINDOW, GRAM = 20, 8
 #: Bytes of an anchor below its bucket's bits; places of an anchor from which on its windows are dealt by their own hashes.
-WIDTH, HOT = 5, 10_000
-#: Most word numbers that fit one character each.
-CHARACTERS = 1_000_000
+WIDTH, HOT = 5, 1000
+#: Characters of a digit of a word's number in an automaton.
+BASE = 64
 _PLACE = 20
 
 
@@ -59,37 +59,52 @@ def anchors(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
 
 
 class Phrases:
-    """An Aho-Corasick automaton over words, for phrases given as rows of word hashes. A word is one character; two, if there are too many
-    words for that. Words that no phrase has are all alike."""
+    """An Aho-Corasick automaton over words, for distinct phrases given as rows of word hashes. A word that some phrase has is a number of
+    as many digits as are needed, each place with characters of its own, so that no node has many edges (they are searched one by one)
+    and nothing is found across words. Of a text, runs of such words that are long enough for a phrase go through it."""
 
-    def __init__(self, phrases: np.ndarray, characters: int = CHARACTERS):
+    def __init__(self, phrases: np.ndarray):
         import ahocorasick
 
         self.known, number = np.unique(phrases, return_inverse=True)
-        self.size, self.wide = phrases.shape[1], 2 if len(self.known) > characters else 1
+        self.size, self.digits = phrases.shape[1], 1
+        while BASE**self.digits < len(self.known):
+            self.digits += 1
+        self.may = np.zeros(1 << 20, bool)
+        self.may[(self.known & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
         self.made = ahocorasick.Automaton()
-        lines, step = self._text(number.ravel() + 2), self.size * self.wide
+        lines, step = self._text(number.ravel()), self.size * self.digits
         for i in range(len(phrases)):
             self.made.add_word(lines[i * step : (i + 1) * step], i)
         self.made.make_automaton()
 
     def _text(self, numbers: np.ndarray) -> str:
-        """Two characters for a word are of different ranges, so that none is found across two words. Surrogates stay unused."""
-        if self.wide == 2:
-            numbers = np.stack((0x10000 + (numbers >> 15), 1 + (numbers & 0x7FFF)), 1).ravel()
-        numbers = numbers.astype(np.uint32)
-        return np.where(numbers < 0xD800, numbers, numbers + np.uint32(0x800 if self.wide == 1 else 0)).tobytes().decode("utf-32-le")
+        """-1 stands between runs."""
+        place = np.arange(self.digits)
+        digits = numbers[:, None] // BASE ** (self.digits - 1 - place) % BASE + BASE * place + 1
+        return np.where(numbers[:, None] < 0, 0xE000, digits).astype(np.uint32).tobytes().decode("utf-32-le")
 
     def find(self, w: Words) -> np.ndarray:
         """First words of all phrases in the documents of w; none reaches over a document's end."""
-        at = np.minimum(np.searchsorted(self.known, w.hashes), len(self.known) - 1)
-        number = np.where(self.known[at] == w.hashes, at + 2, 0)
-        n = len(w.offsets) - 1
-        spread = np.ones(len(number) + n, np.int64)  # 1 stands between documents, 0 for any other word
-        spread[np.arange(len(number)) + w.owner()] = number
-        ends = np.fromiter((end for end, _ in self.made.iter(self._text(spread))), np.int64) // self.wide
-        back = np.repeat(np.arange(n), w.counts + 1)
-        return ends - back[ends] - self.size + 1
+        number = np.full(len(w.hashes), -1)
+        may = np.flatnonzero(self.may[(w.hashes & np.uint64((1 << 20) - 1)).astype(np.int64)])
+        at = np.minimum(np.searchsorted(self.known, w.hashes[may]), len(self.known) - 1)
+        same = self.known[at] == w.hashes[may]
+        number[may[same]] = at[same]
+        there = np.zeros(len(number) + 2, bool)
+        there[1:-1] = number >= 0
+        edge = np.zeros(len(number) + 1, bool)
+        edge[w.offsets] = True
+        begin, end = np.flatnonzero(there[1:] & (~there[:-1] | edge)), np.flatnonzero(there[:-1] & (~there[1:] | edge))
+        long_ = end - begin >= self.size
+        begin, n = begin[long_], (end - begin)[long_] + 1  # and the place after each run
+        if not len(begin):
+            return begin
+        back = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n - begin, n)
+        own = number[np.minimum(back, len(number) - 1)]
+        own[np.cumsum(n) - 1] = -1
+        ends = np.fromiter((e for e, _ in self.made.iter(self._text(own))), np.int64) // self.digits
+        return back[ends] - self.size + 1
 
 
 class Passages:
@@ -149,8 +164,10 @@ class Passages:
             yield from ((w, np.zeros(len(w.hashes), bool)) for w in self.steps)
             return
         some = sure[firsts(*(x[sure] for x in (self.step, self.place)))]
-        phrases = np.concatenate([w.hashes[self.place[some[self.step[some] == k]][:, None] + np.arange(GRAM)] for k, w in enumerate(self.steps)])
-        found = Phrases(np.unique(phrases, axis=0))
+        places = [self.place[some[self.step[some] == k]] for k in range(len(self.steps))]
+        phrases = np.concatenate([w.hashes[at[:, None] + np.arange(GRAM)] for w, at in zip(self.steps, places, strict=True)])
+        _, one = np.unique(np.concatenate([w.spans(at, at + GRAM) for w, at in zip(self.steps, places, strict=True)]), return_index=True)
+        found = Phrases(phrases[one])
         sure = sure[np.argsort(self.hash[sure])]
         hashes = self.hash[sure]
         for w in self.steps:

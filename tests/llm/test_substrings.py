@@ -55,7 +55,7 @@ def test_against_a_plain_reading(spark, monkeypatch, hot):
     assert {k: sorted(v) for k, v in found.items()} == plain(rows())
 
 
-def test_more_words_than_characters():
+def test_more_words_than_characters_there_are():
     """1.2 million distinct words in recurring passages of one chunk."""
     n = 1_200_000
     text = " ".join(f"{i:x}" for i in range(n))
@@ -67,12 +67,16 @@ def test_more_words_than_characters():
     assert gone == [0, n, 0]
 
 
-def test_two_characters_a_word():
+def test_phrases_of_words_of_several_digits(monkeypatch):
     rng = np.random.default_rng(1)
     line = rng.integers(0, 50, 3000)
     texts = pa.array([" ".join(f"w{x}" for x in line[:2000]), "w1", " ".join(f"w{x}" for x in line[2000:])])
     (w,) = words(texts, GRAPHIC)
     phrases = np.unique(w.hashes[rng.integers(0, 1900, 40)[:, None] + np.arange(3)], axis=0)
-    one, two = (substrings.Phrases(phrases, c) for c in (1000, 5))
+    one = substrings.Phrases(phrases)
+    monkeypatch.setattr(substrings, "BASE", 4)
+    three = substrings.Phrases(phrases)
     expected = [i for i in range(len(w.hashes) - 2) if (phrases == w.hashes[i : i + 3]).all(1).any() and len(set(w.owner()[i : i + 3])) == 1]
-    assert (one.wide, two.wide) == (1, 2) and one.find(w).tolist() == two.find(w).tolist() == expected
+    assert one.digits == 1 and three.digits == 3 and three.find(w).tolist() == expected
+    monkeypatch.undo()
+    assert one.find(w).tolist() == expected
