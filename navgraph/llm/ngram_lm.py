@@ -5,8 +5,9 @@ count is read back by asking level after level until one is absent. The filter h
 documents, those seen once as well. It has one segment per hash bucket, as large as the bucket's pairs need, so it grows with
 the corpus; no process holds more than one segment. The counts of words are exact, and so is the base score.
 
-Documents are dealt into chunks. A chunk asks each bucket for its distinct words and pairs, the buckets answer with counts and
-levels in the order of asking, and the chunk's documents meet the answers: an n-gram goes over the network once per chunk.
+Documents are dealt into chunks. A chunk tells each bucket its distinct words and pairs with their numbers in training
+documents; the bucket, which hears all chunks, adds up, makes its segment and answers with counts and levels in the order of asking, and
+the chunk's documents meet the answers: an n-gram goes over the network once per chunk.
 
 The model: p(w | v) = a * c(vw) / c(v) + (1 - a) * p1(w), with counts rounded to levels, p1 the base's formula on them and a by
 size of c(v), fitted by expectation maximisation over all training tokens with each token's own count taken out. A token's
@@ -22,15 +23,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navgraph.llm.census import CENSUS, FLUSH, Gather, cuts, merged, pack, unpack
+from navgraph.llm.arrow import fresh, named
+from navgraph.llm.deal import deal_of, firsts, mask, packed, totals, unpack
 from navgraph.llm.langid import held_out
 from navgraph.llm.textscan import GRAPHIC, LOWER, Words, mix, steps, words
 from navgraph.session import ship, written
 
 #: WAYS bits an entry; FIRST_WAYS for the levels of counts 1 and 2, as most pairs that are asked for were seen never or once.
 STEP, WAYS, FIRST_WAYS = math.sqrt(2), 3, 8
-#: Share of set bits of the filter, classes of c(v), bytes of text in a chunk.
-LOAD, CLASSES, CHUNK_BYTES = 0.35, 12, 2 << 20
+#: Share of set bits of the filter, and classes of c(v).
+LOAD, CLASSES = 0.35, 12
+#: Bytes of a hash that are sent: of a word all, of a pair so many below its bucket's bits.
+WORD, PAIR = 8, 5
 ADD = 0.1
 END, BEGIN = np.uint64(0x3C5A9D1E7F208B46), np.uint64(0x71E2C8A4D63B05F9)
 LEVELS = 128
@@ -67,8 +71,7 @@ def tokens(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def pair(before: np.ndarray, own: np.ndarray) -> np.ndarray:
-    """Hashes of pairs: the leading 50 bits, as the census keeps them."""
-    return mix(before * np.uint64(0xA0761D6478BD642F) + own) & np.uint64(0xFFFFFFFFFFFFC000)
+    return mix(before * np.uint64(0xA0761D6478BD642F) + own)
 
 
 class Segment:
@@ -115,10 +118,10 @@ class Segment:
 
 
 class Model:
-    """`census` has exact word counts and the filter by bucket; the rest are its totals and the fitted weights."""
+    """Totals of the training documents, and what follows from levels."""
 
-    def __init__(self, census: DataFrame, total: int, distinct: int, documents: int):
-        self.census, self.total, self.distinct, self.documents = census, total, distinct, documents
+    def __init__(self, total: int, distinct: int, documents: int):
+        self.total, self.distinct, self.documents = total, distinct, documents
 
     def parts(self, before: np.ndarray, own: np.ndarray, both: np.ndarray, less: float = 0.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """From levels: p1 of a token, its share among the followers of the one before, and the class of that one. less: taken off."""
@@ -157,98 +160,83 @@ def small(batches, at: int):
             yield batch.slice(i, j - i)
 
 
-def learn(training: DataFrame) -> Model:
-    """Counts all words and pairs of `training` (text) and builds the filter."""
-    ship(training.sparkSession)
-
-    def count(batches):
-        held = Gather((False, True), FLUSH // 2)
-        for batch in batches:
-            for w in words(batch.column(0), GRAPHIC, LOWER):
-                own, before, _ = tokens(w)
-                held.add(0, own)
-                held.add(1, pair(before, own))
-                if held.full():
-                    yield held.flush()
-        yield held.flush()
-
-    def add_up(key, table):
-        b = key[0].as_py()
-        of = {k: [] for k in (0, 1)}
-        for k, blob in zip(table.column("kind").to_pylist(), table.column("blob").to_pylist(), strict=True):
-            of[k].append(blob)
-        h1, c1 = merged(of[0], b)
-        h2, c2 = merged(of[1], b, short=True)
-        made = Segment.of(h2, level(c2)).data.tobytes()
-        end = int(c1[h1 == END].sum())
-        return pa.table({"bucket": pa.array([b], pa.int32()), "words": [h1.tobytes()], "word_counts": [c1.astype(np.int64).tobytes()], "segment": [made], "n_tokens": [int(c1.sum())], "n_words": [len(h1)], "n_documents": [end]})
-
-    census = training.select("text").mapInArrow(count, CENSUS).groupBy("bucket").applyInArrow(add_up, "bucket int, words binary, word_counts binary, segment binary, n_tokens long, n_words long, n_documents long")
-    census = written(census, "lm-census")
-    total, distinct, documents = (int(x or 0) for x in census.agg(*(F.sum(c) for c in ("n_tokens", "n_words", "n_documents"))).first())
-    return Model(census.select("bucket", "words", "word_counts", "segment"), total, distinct, documents)
+def numbered(hashes: np.ndarray, learned: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct hashes, ascending, and how often each is learned."""
+    order = np.argsort(hashes)
+    own = hashes[order]
+    first = firsts(own)
+    return own[first], np.add.reduceat(learned[order].astype(np.int64), first) if len(first) else np.zeros(0, np.int64)
 
 
 def score(docs: DataFrame, train: str = "train") -> DataFrame:
     """Adds n_tokens, n_known, train_tokens, base_score and score to `docs`, which needs text and a boolean column `train`
-    that says which rows are learned from. All columns stay (those of the five names are replaced), all rows are scored;
-    they must be of types that Spark can hash.
+    that says which rows are learned from (null: not). All columns stay (those of the five names are replaced), all rows are
+    scored; they must be of types that Spark can hash.
 
     Null texts count as empty: one token, the end. With nothing to learn from, every token has the probability 1 / (V + 1)
-    for an empty V. Rows are told apart by a hash of all their columns; repeated rows share theirs, and their sums are divided by their
-    number.
+    for an empty V. Rows are told apart by 128 bits of hash of all their columns; repeated rows share theirs, and their sums
+    are divided by their number. An empty table gives an empty result.
     """
+    spark = docs.sparkSession
+    ship(spark)
     names = ("n_tokens", "n_known", "train_tokens", "base_score", "score")
-    keep = [c for c in docs.columns if c not in names]
-    model = learn(docs.filter(F.col(train)))
-    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    numbered = docs.select(*keep, F.xxhash64(*keep).alias("_row"))
-    dealt = numbered.select("text", "_row", F.coalesce(train, F.lit(False)).alias("learned"), F.pmod(F.xxhash64("_row"), F.lit(math.ceil(size / CHUNK_BYTES) + 1)).cast("int").alias("chunk"))
-    total, distinct, documents = model.total, model.distinct, model.documents
-    log_all = math.log10(total + ADD * (distinct + 1))
+    keep = [named(c) for c in docs.columns if c.lower() not in names]
+    one, two = fresh([*docs.columns, *names], "row_hash", "row_salted")
+    marked = docs.select(*keep, F.xxhash64(*keep).alias(one), F.xxhash64(F.lit(1), *keep).alias(two))
+    deal = deal_of(docs)
+    bits, cut = deal.bits, mask(deal.bits, PAIR)
+    dealt = marked.select(named("text").alias("text"), F.col(one).alias("one"), F.col(two).alias("two"), F.coalesce(named(train), F.lit(False)).alias("learned")).withColumn("chunk", deal.chunk("one"))
+
+    def read(table):
+        """Of every step: tokens, their pairs, document and whether it is learned from; and the number of documents."""
+        learned = table.column("learned").to_numpy()
+        for w in words(table.column("text"), GRAPHIC, LOWER):
+            own, before, doc = tokens(w)
+            yield own, pair(before, own) & cut, doc, learned[w.first + doc], len(w.offsets) - 1
 
     def ask(key, table):
-        found = [(own, pair(before, own)) for w in words(table.column("text"), GRAPHIC, LOWER) for own, before, _ in [tokens(w)]]
-        h = [np.unique(np.concatenate(x)) for x in zip(*found, strict=True)]
-        at = [cuts(x) for x in h]
-        buckets = np.flatnonzero(np.diff(at[0]) + np.diff(at[1]))
-        sent = [[pack(x[a[b] : a[b + 1]], np.ones(a[b + 1] - a[b], np.int64), short) for b in buckets] for x, a, short in zip(h, at, (False, True), strict=True)]
-        return pa.table({"bucket": pa.array(buckets, pa.int32()), "chunk": pa.array([key[0].as_py()] * len(buckets), pa.int32()), "words": pa.array(sent[0], pa.binary()), "pairs": pa.array(sent[1], pa.binary())})
-
-    def answer(key, asked, census):
-        b = key[0].as_py()
-        h, c, segment = np.zeros(0, np.uint64), np.zeros(0, np.int64), Segment.of(np.zeros(0, np.uint64), np.zeros(0, np.int64))
-        for x, y, z in zip(*(census.column(k).to_pylist() for k in ("words", "word_counts", "segment")), strict=True):
-            h, c, segment = np.frombuffer(x, np.uint64), np.frombuffer(y, np.int64), Segment(np.frombuffer(z, np.uint8))
-        h, c = np.append(h, ~np.uint64(0)), np.append(c, 0)
-        x = [unpack(blob, b)[0] for blob in asked.column("words").to_pylist()]
-        y = [unpack(blob, b, short=True)[0] for blob in asked.column("pairs").to_pylist()]
-        ends = [np.cumsum([len(k) for k in z])[:-1] for z in (x, y)]
-        x, y = (np.concatenate([np.zeros(0, np.uint64), *z]) for z in (x, y))
-        place = np.searchsorted(h[:-1], x)
-        y, at = np.unique(y, return_inverse=True)
-        counts = [k.tobytes() for k in np.split(np.where(h[place] == x, c[place], 0), ends[0])] if len(asked) else []
-        levels = [k.tobytes() for k in np.split(segment.read(y)[at], ends[1])] if len(asked) else []
-        return pa.table({"chunk": asked.column("chunk"), "bucket": pa.array([b] * len(counts), pa.int32()), "counts": pa.array(counts, pa.binary()), "levels": pa.array(levels, pa.binary())})
+        found = list(read(table))
+        learned = np.concatenate([f[3] for f in found])
+        sent = [dict(zip(*packed(*numbered(np.concatenate([f[k] for f in found]), learned), bits, width), strict=True)) for k, width in ((0, WORD), (1, PAIR))]
+        buckets = sorted({*sent[0], *sent[1]})
+        return pa.table({"bucket": pa.array(buckets, pa.int32()), "chunk": pa.array([key[0].as_py()] * len(buckets), pa.int32()), "words": pa.array([sent[0].get(b) for b in buckets], pa.binary()), "pairs": pa.array([sent[1].get(b) for b in buckets], pa.binary())})
+
+    def answer(key, table):
+        b, none = key[0].as_py(), np.zeros(2, np.uint32).tobytes()
+        x, y = ([unpack(blob or none, b, bits, width) for blob in table.column(c).to_pylist()] for c, width in (("words", WORD), ("pairs", PAIR)))
+        _, c, place = totals(x)
+        counts = np.split(c[place], np.cumsum([len(h) for h, _ in x])[:-1])
+        h, n, place = totals(y)
+        segment = Segment.of(h[n > 0], level(n[n > 0]))
+        levels = np.split(segment.read(h)[place], np.cumsum([len(k) for k, _ in y])[:-1])
+        # One more row, to chunk -1: the number of distinct words learned in this bucket.
+        return pa.table({"chunk": pa.array([*table.column("chunk").to_pylist(), -1], pa.int32()), "bucket": pa.array([b] * (len(x) + 1), pa.int32()), "counts": pa.array([*(k.astype(np.int64).tobytes() for k in counts), np.array([(c > 0).sum()], np.int64).tobytes()], pa.binary()), "levels": pa.array([*(k.tobytes() for k in levels), b""], pa.binary())})
 
     def measure(key, table, answers):
         answers = answers.sort_by("bucket")
         counts = np.frombuffer(b"".join(answers.column("counts").to_pylist()), np.int64)
         levels = np.frombuffer(b"".join(answers.column("levels").to_pylist()), np.uint8)
-        found = [(tokens(w), len(w.offsets) - 1) for w in words(table.column("text"), GRAPHIC, LOWER)]
-        uni = [np.unique(np.concatenate(x)) for x in zip(*((own, pair(before, own)) for (own, before, _), _ in found), strict=True)]
-        n, known, base, blobs = [], [], [], ([], [])
-        for (own, before, doc), k in found:
-            c = counts[np.searchsorted(uni[0], own)]
-            both = levels[np.searchsorted(uni[1], pair(before, own))]
+        out: dict[str, list] = {k: [] for k in ("n_tokens", "n_known", "base", "own", "both")}
+        if not len(table):  # chunk -1
+            null = pa.nulls(1, pa.int64())
+            return pa.table({"one": null, "two": null, "learned": pa.nulls(1, pa.bool_()), "n_tokens": null, "n_known": pa.array([int(counts.sum())]), "base": pa.nulls(1, pa.float64()), "own": pa.nulls(1, pa.binary()), "both": pa.nulls(1, pa.binary())})
+        found = list(read(table))
+        for k, answered in ((0, counts), (1, levels)):
+            hashes = np.concatenate([f[k] for f in found])
+            order = np.argsort(hashes)
+            own = hashes[order]
+            of = np.empty(len(hashes), answered.dtype)
+            of[order] = answered[np.cumsum(np.concatenate(([0], own[1:] != own[:-1])))]
+            found = [(*f, o) for f, o in zip(found, np.split(of, np.cumsum([len(f[0]) for f in found])[:-1]), strict=True)]
+        for own, _, doc, _, n, c, both in found:
             of_own = np.where(own == END, ENDS, np.where(c > 0, level(c), 0)).astype(np.uint8)
-            ends = np.cumsum(np.bincount(doc, minlength=k))
-            n.append(np.diff(ends, prepend=0))
-            known.append(np.bincount(doc, c > 0, k).astype(np.int64))
-            base.append(np.bincount(doc, np.log10(c + ADD), k))
-            for held, x in zip(blobs, (of_own.tobytes(), both.tobytes()), strict=True):
-                held += [x[i:j] for i, j in zip(np.append(0, ends[:-1]), ends, strict=True)]
-        return pa.table({"row": table.column("_row"), "learned": table.column("learned"), "n_tokens": np.concatenate(n), "n_known": np.concatenate(known), "base": np.concatenate(base), "own": pa.array(blobs[0], pa.binary()), "both": pa.array(blobs[1], pa.binary())})
+            ends = np.cumsum(np.bincount(doc, minlength=n))
+            out["n_tokens"].append(np.diff(ends, prepend=0))
+            out["n_known"].append(np.bincount(doc, c > 0, n).astype(np.int64))
+            out["base"].append(np.bincount(doc, np.log10(c + ADD), n))
+            for name, x in (("own", of_own.tobytes()), ("both", both.tobytes())):
+                out[name] += [x[i:j] for i, j in zip(np.append(0, ends[:-1]), ends, strict=True)]
+        return pa.table({"one": table.column("one"), "two": table.column("two"), "learned": table.column("learned"), **{k: np.concatenate(out[k]) for k in ("n_tokens", "n_known", "base")}, "own": pa.array(out["own"], pa.binary()), "both": pa.array(out["both"], pa.binary())})
 
     def tally(batches):
         for batch in small(batches, 0):
@@ -256,28 +244,32 @@ def score(docs: DataFrame, train: str = "train") -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(n)], names=["cell", "n"])
 
     asked = dealt.groupBy("chunk").applyInArrow(ask, "bucket int, chunk int, words binary, pairs binary")
-    answers = asked.groupBy("bucket").cogroup(model.census.groupBy("bucket")).applyInArrow(answer, "chunk int, bucket int, counts binary, levels binary")
-    measured = dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(measure, "row long, learned boolean, n_tokens long, n_known long, base double, own binary, both binary")
+    answers = asked.groupBy("bucket").applyInArrow(answer, "chunk int, bucket int, counts binary, levels binary")
+    measured = dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(measure, "one long, two long, learned boolean, n_tokens long, n_known long, base double, own binary, both binary")
     measured = written(measured, "lm-levels")
+    own = F.col("one").isNotNull()
+    known = measured.agg(F.sum(F.when(F.col("learned"), F.col("n_tokens"))), F.sum(F.when(~own, F.col("n_known"))), F.count(F.when(F.col("learned"), 1))).first()
+    total, distinct, documents = (int(x or 0) for x in known)
+    model = Model(total, distinct, documents)
     cells = measured.filter("learned").select("n_tokens", "own", "both").mapInArrow(tally, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     weights = model.fit(cells.column("cell").to_numpy(), cells.column("n").to_numpy())
-    parts = Model(None, total, distinct, documents).parts
+    log_all, parts = math.log10(total + ADD * (distinct + 1)), model.parts
 
     def log10(batches):
-        for batch in small(batches, 1):
-            n = batch.column(1).to_numpy()
-            cells = cell(n, *batch.columns[4:])
+        for batch in small(batches, 2):
+            n = batch.column(2).to_numpy()
+            cells = cell(n, *batch.columns[5:])
             p1, p2, kind = parts(cells >> 16, cells >> 8 & 255, cells & 255)
             a = weights[kind]
             sums = np.bincount(np.repeat(np.arange(len(n)), n), np.log10(a * p2 + (1 - a) * p1), len(n))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(sums, pa.float64())], names=["row", "n_tokens", "n_known", "base", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(sums, pa.float64())], names=["one", "two", "n_tokens", "n_known", "base", "score"])
 
     sums = (
-        measured.select("row", "n_tokens", "n_known", "base", "own", "both").mapInArrow(log10, "row long, n_tokens long, n_known long, base double, score double")
-        .groupBy("row").agg(*(F.avg(x).alias(x) for x in ("n_tokens", "n_known", "base", "score")))
+        measured.filter(own).select("one", "two", "n_tokens", "n_known", "base", "own", "both").mapInArrow(log10, "one long, two long, n_tokens long, n_known long, base double, score double")
+        .groupBy(F.col("one").alias(f"{one}_"), F.col("two").alias(f"{two}_")).agg(*(F.avg(x).alias(x) for x in ("n_tokens", "n_known", "base", "score")))
     )
-    sums = sums.select("row", F.col("n_tokens").cast("long").alias("n_tokens"), F.col("n_known").cast("long").alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") - F.col("n_tokens") * F.lit(log_all)).alias("base_score"), "score")
-    return numbered.join(sums, F.col("_row") == F.col("row")).select(*keep, *names)
+    sums = sums.select(f"{one}_", f"{two}_", F.col("n_tokens").cast("long").alias("n_tokens"), F.col("n_known").cast("long").alias("n_known"), F.lit(total).cast("long").alias("train_tokens"), (F.col("base") - F.col("n_tokens") * F.lit(log_all)).alias("base_score"), "score")
+    return marked.join(sums, (F.col(one) == F.col(f"{one}_")) & (F.col(two) == F.col(f"{two}_"))).select(*keep, *names)
 
 
 def op5_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
