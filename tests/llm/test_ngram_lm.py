@@ -48,7 +48,7 @@ def test_scores_against_exact_counts(spark):
         assert r.n_known == sum(uni[w] > 0 for w in own[i]) and r.train_tokens == model.total
         assert r.base_score == pytest.approx(sum(math.log10((uni[w] + 0.1) / (model.total + 0.1 * (len(uni) + 1))) for w in own[i]), abs=1e-6)
     # A false level raises a pair's share by half or so; a pair never seen that seems to be costs more, once in thousands.
-    assert min(raised) > -0.3 and np.mean(raised) < 0.2 and np.quantile(raised, 0.95) < 1
+    assert min(raised) > -0.3 and np.mean(raised) < 0.6 and np.quantile(raised, 0.95) < 2
 
 
 def test_documents_that_occur_twice(spark):
