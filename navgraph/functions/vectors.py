@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 import math
-from functools import reduce
-
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
@@ -104,6 +102,11 @@ def nearest(candidates: Column, cap: int) -> Column:
     return F.transform(F.slice(F.array_sort(candidates), 1, cap), lambda c: c["id"])
 
 
+def centroid(column: str, dim: int) -> Column:
+    """Aggregate: the mean of vectors of `dim` elements, element by element, with partial sums before the exchange."""
+    return F.array(*(F.avg(F.get(F.col(column), F.lit(k)).cast("double")) for k in range(dim)))
+
+
 def register(spark: SparkSession) -> None:
     """SQL functions that Catalyst inlines: vec_dot, vec_l2, vec_cosine."""
     body = {
@@ -113,7 +116,3 @@ def register(spark: SparkSession) -> None:
     }
     for name, expression in body.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN {expression}")
-
-
-def one_of(columns: list[Column]) -> Column:
-    return reduce(lambda a, b: a | b, columns)

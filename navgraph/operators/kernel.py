@@ -12,8 +12,10 @@ import math
 from collections import Counter, deque
 
 import numpy as np
+import pyarrow as pa
 
 from navgraph.operators.repair import STRATEGIES, Strategy
+from navgraph.schema import INDEX, arrow_schema
 
 
 def level_of(label: int, m: int) -> int:
@@ -22,14 +24,18 @@ def level_of(label: int, m: int) -> int:
 
 
 class GraphKernel:
-    def __init__(self, dim: int, m: int = 16, m0: int | None = None, ef_construction: int = 200, metric: str = "l2", order: str = "fifo"):
+    def __init__(self, dim: int, m: int = 16, m0: int | None = None, ef_construction: int = 200, metric: str = "l2", order: str = "fifo", extend: bool = False, fill: bool = False, drop_marked: bool = False):
+        """order: which marked slot is reused first. extend: an insertion's candidates include their neighbours. fill: places left by
+        the pruning go to the nearest of those it dropped. drop_marked: marked slots are no candidates of a repair."""
         self.dim, self.m, self.m0, self.ef, self.metric, self.order = dim, m, m0 or 2 * m, ef_construction, metric, order
+        self.extend, self.fill, self.drop_marked = extend, fill, drop_marked
         self.vec = np.zeros((0, dim))
         self.label: list[int] = []
         self.version: list[int] = []
         self.level: list[int] = []
         self.nbrs: list[list[list[int]]] = []  # slot, layer
-        self.marked: dict[int, int] = {}  # slot and the order of its deletion
+        self.marked: dict[int, int] = {}  # slot and the number of its deletion, in that order
+        self.marked_slot: dict[int, int] = {}  # label and its slot that was marked last
         self.slot_of: dict[int, int] = {}
         self.entry, self.reuses, self.sequence = -1, 0, 0
         self.count: Counter = Counter()
@@ -54,18 +60,35 @@ class GraphKernel:
         return np.einsum("ij,ij->i", d, d)
 
     def prune(self, centre: np.ndarray, candidates: list[int], cap: int, alpha: float = 1.0, kind: str = "prune") -> list[int]:
-        if not candidates:
+        """From the nearest candidate on, those to which no kept one is, alpha times, nearer than the centre.
+
+        Every kept candidate rules out others in one step; counted are the distances that a reading one by one evaluates.
+        """
+        if not len(candidates):
             return []
-        d = self.distances(centre, candidates, kind)
-        order = np.lexsort((candidates, d))
-        factor, kept = alpha * alpha if self.metric != "ip" else 1.0, []
-        for i in order:
+        own = np.asarray(candidates)
+        d = self.distances(centre, own, kind)
+        order = np.lexsort((own, d))
+        own, d = own[order], d[order]
+        x, factor = self.vec[own], alpha * alpha if self.metric != "ip" else 1.0
+        open_, kept, at = np.ones(len(own), bool), [], 0
+        while True:
+            kept.append(at)
             if len(kept) == cap:
                 break
-            c = candidates[i]
-            if not kept or not (factor * self.distances(self.vec[c], kept, kind) < d[i]).any():
-                kept.append(c)
-        return kept
+            diff = x[at + 1 :] - x[at]
+            apart = -(x[at + 1 :] @ x[at]) if self.metric == "ip" else np.einsum("ij,ij->i", diff, diff)
+            open_[at + 1 :] &= ~(factor * apart < d[at + 1 :])
+            left = open_[at + 1 :].argmax() if at + 1 < len(own) else 0
+            if at + 1 == len(own) or not open_[at + 1 + left]:
+                break
+            at += 1 + int(left)
+        end = kept[-1] if len(kept) == cap else len(own) - 1
+        self.count[kind] += sum(end - k for k in kept)
+        chosen = own[kept].tolist()
+        if self.fill and len(chosen) < cap:
+            chosen += [c for c in own.tolist() if c not in set(chosen)][: cap - len(chosen)]
+        return chosen
 
     # ---- search
     def search_layer(self, q: np.ndarray, entries: list[int], ef: int, layer: int) -> list[tuple[float, int]]:
@@ -138,6 +161,8 @@ class GraphKernel:
         for layer in range(min(top, self.level[self.entry]), -1, -1):
             found = [s for _, s in self.search_layer(q, at, self.ef, layer)]
             others = [s for s in found if s != slot]
+            if self.extend:
+                others = sorted({*others, *(n for s in others for n in self.nbrs[s][layer] if n != slot)})
             self.link(slot, self.prune(q, others, self.m), layer)
             at = found or at
 
@@ -165,21 +190,22 @@ class GraphKernel:
         if slot is None:
             return False
         self.marked[slot] = self.sequence
+        self.marked_slot[label] = slot
         self.sequence += 1
         return True
 
     def unmark(self, label: int) -> bool:
-        slot = next((s for s in self.marked if self.label[s] == label), None)
-        if slot is None or label in self.slot_of:
+        """Brings back a marked point, unless its slot was reused or its label is live again."""
+        slot = self.marked_slot.get(label)
+        if slot is None or slot not in self.marked or self.label[slot] != label or label in self.slot_of:
             return False
-        del self.marked[slot]
+        del self.marked[slot], self.marked_slot[label]
         self.slot_of[label] = slot
         return True
 
     def next_free(self) -> int | None:
-        if not self.marked:
-            return None
-        return (min if self.order == "fifo" else max)(self.marked, key=lambda s: (self.marked[s], s))
+        """The slot that was marked first (fifo) or last (lifo)."""
+        return next(iter(self.marked) if self.order == "fifo" else reversed(self.marked), None)
 
     def repair_slot(self, d: int, v, strategy: Strategy, place: bool = True) -> dict[int, dict[int, list[int]]]:
         """New lists by layer and target. The slot's vector becomes `v` first: in candidate sets it is the new point. All
@@ -197,7 +223,7 @@ class GraphKernel:
             new = {}
             for u in chosen:
                 pool = (two if strategy.pool == "twohop" else set(lists(u)) | set(one)) | {d}
-                pool = sorted(pool - {u})
+                pool = sorted(s for s in pool if s != u and (s == d or not self.drop_marked or s not in self.marked))
                 self.count["candidates"] += len(pool)
                 new[u] = self.prune(self.vec[u], pool, self.cap(layer), strategy.alpha)
             out[layer] = new
@@ -209,6 +235,8 @@ class GraphKernel:
     def update_slot(self, d: int, v, label: int, version: int = 0) -> None:
         """The new point takes the slot, its level and its place in the layers; the entry point stays who it is."""
         self.marked.pop(d, None)
+        if self.marked_slot.get(self.label[d]) == d:
+            del self.marked_slot[self.label[d]]
         self.vec[d] = self.prepared(v)
         self.label[d], self.version[d] = label, version
         self.slot_of[label] = d
@@ -230,8 +258,8 @@ class GraphKernel:
         return self.replace_update(label, v, strategy, version)
 
     def compact(self, strategy: Strategy | str = "mutual_gamma") -> int:
-        """Drops marked slots from all lists after repairing their mutual neighbours without a newcomer; returns how many.
-        The entry point's slot stays while it is marked."""
+        """Drops marked slots and numbers the others anew, after repairing their mutual neighbours without a newcomer; returns
+        how many. The entry point's slot stays while it is marked."""
         strategy = STRATEGIES[strategy] if isinstance(strategy, str) else strategy
         gone = [s for s in self.marked if s != self.entry]
         for d in gone:
@@ -241,8 +269,15 @@ class GraphKernel:
                     pool = sorted((set(self.nbrs[u][layer]) | set(one)) - {u, d})
                     self.nbrs[u][layer] = self.prune(self.vec[u], pool, self.cap(layer), strategy.alpha)
         dead = set(gone)
-        for s, layers in enumerate(self.nbrs):
-            self.nbrs[s] = [[] if s in dead else [n for n in own if n not in dead] for own in layers]
+        keep = [s for s in range(len(self.label)) if s not in dead]
+        new = {s: i for i, s in enumerate(keep)}
+        self.nbrs = [[[new[n] for n in own if n in new] for own in self.nbrs[s]] for s in keep]
+        self.vec = self.vec[keep]
+        self.label, self.version, self.level = ([x[s] for s in keep] for x in (self.label, self.version, self.level))
+        self.marked = {new[s]: q for s, q in self.marked.items() if s in new}
+        self.marked_slot = {self.label[s]: s for s in self.marked}
+        self.slot_of = {x: new[s] for x, s in self.slot_of.items()}
+        self.entry = new.get(self.entry, -1)
         return len(gone)
 
     # ---- measures
@@ -281,25 +316,42 @@ class GraphKernel:
             bad["level"] += len(layers) != self.level[s] + 1
         return dict(bad)
 
-    # ---- rows of the index table
-    def rows(self, role: str, shard: int) -> list[dict]:
-        stats = {"entry": 1.0, "reuses": float(self.reuses), "m": float(self.m), "m0": float(self.m0), "ef": float(self.ef), "sequence": float(self.sequence), "metric": float(("l2", "ip", "cosine").index(self.metric)), **{f"work_{k}": float(v) for k, v in self.count.items()}}
-        return [
-            {"role": role, "shard": shard, "slot": s, "label": self.label[s], "vec": self.vec[s].astype(np.float32).tolist(), "version": self.version[s], "level": self.level[s], "deleted_seq": self.marked.get(s), "entry": s == self.entry, "nbrs": self.nbrs[s], "stats": list(stats.items()) if s == self.entry else None}
-            for s in range(len(self.label))
-        ]
+    # ---- the index table
+    def table(self, role: str, shard: int, shards: int = 1) -> pa.Table:
+        """One row per slot, from flat arrays."""
+        n = len(self.label)
+        stats = {"entry": 1.0, "reuses": float(self.reuses), "m": float(self.m), "m0": float(self.m0), "ef": float(self.ef), "sequence": float(self.sequence), "metric": float(("l2", "ip", "cosine").index(self.metric)), "lifo": float(self.order == "lifo"), "shards": float(shards), **{f"work_{k}": float(v) for k, v in self.count.items()}}
+        inner = np.fromiter((len(own) for layers in self.nbrs for own in layers), np.int64)
+        outer = np.fromiter((len(layers) for layers in self.nbrs), np.int64, n)
+        offsets = lambda sizes: pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32))
+        flat = np.fromiter((x for layers in self.nbrs for own in layers for x in own), np.int64, int(inner.sum()))
+        schema = arrow_schema(INDEX)
+        columns = {
+            "role": pa.array([role] * n, pa.string()), "shard": pa.array(np.full(n, shard, np.int32)), "slot": pa.array(np.arange(n)), "label": pa.array(self.label, pa.int64()), "vec": pa.ListArray.from_arrays(offsets(np.full(n, self.dim)), pa.array(self.vec[:n].astype(np.float32).ravel())),
+            "version": pa.array(self.version, pa.int64()), "level": pa.array(self.level, pa.int32()), "deleted_seq": pa.array([self.marked.get(s) for s in range(n)], pa.int64()), "entry": pa.array([s == self.entry for s in range(n)], pa.bool_()),
+            "nbrs": pa.ListArray.from_arrays(offsets(outer), pa.ListArray.from_arrays(offsets(inner), pa.array(flat))), "stats": pa.array([list(stats.items()) if s == self.entry else None for s in range(n)], schema.field("stats").type),
+        }
+        return pa.table([columns[f.name].cast(f.type) for f in schema], schema=schema)
 
     @classmethod
-    def from_rows(cls, rows: list[dict]) -> GraphKernel:
-        rows = sorted(rows, key=lambda r: r["slot"])
-        head = next(r for r in rows if r["entry"])
-        stats = dict(head["stats"])
-        g = cls(len(head["vec"]), int(stats["m"]), int(stats["m0"]), int(stats["ef"]), ("l2", "ip", "cosine")[int(stats["metric"])])
-        g.vec = np.array([r["vec"] for r in rows], float)
-        g.label, g.version, g.level = [r["label"] for r in rows], [r["version"] for r in rows], [r["level"] for r in rows]
-        g.nbrs = [[list(own) for own in r["nbrs"]] for r in rows]
-        g.marked = {s: r["deleted_seq"] for s, r in enumerate(rows) if r["deleted_seq"] is not None}
-        g.slot_of = {r["label"]: s for s, r in enumerate(rows) if r["deleted_seq"] is None}
-        g.entry, g.reuses, g.sequence = rows.index(head), int(stats["reuses"]), int(stats["sequence"])
+    def from_table(cls, table: pa.Table) -> GraphKernel:
+        table = table.sort_by("slot").combine_chunks()
+        column = lambda c: table.column(c).combine_chunks() if isinstance(table.column(c), pa.ChunkedArray) else table.column(c)
+        entry = int(np.flatnonzero(column("entry").to_numpy(zero_copy_only=False))[0])
+        stats = dict(column("stats")[entry].as_py())
+        vec = column("vec")
+        x = vec.flatten().to_numpy().astype(np.float64).reshape(len(vec), -1)
+        g = cls(x.shape[1], int(stats["m"]), int(stats["m0"]), int(stats["ef"]), ("l2", "ip", "cosine")[int(stats["metric"])], "lifo" if stats.get("lifo") else "fifo")
+        g.vec = x
+        g.label, g.version, g.level = (column(c).to_pylist() for c in ("label", "version", "level"))
+        outer = column("nbrs")
+        inner = outer.flatten()
+        flat, cut, at = inner.flatten().to_numpy().tolist(), np.concatenate(([0], np.cumsum(inner.value_lengths().to_numpy()))).tolist(), np.concatenate(([0], np.cumsum(outer.value_lengths().to_numpy()))).tolist()
+        g.nbrs = [[flat[cut[k] : cut[k + 1]] for k in range(a, b)] for a, b in zip(at[:-1], at[1:], strict=True)]
+        seq = column("deleted_seq").to_pylist()
+        g.marked = dict(sorted(((s, q) for s, q in enumerate(seq) if q is not None), key=lambda x: x[1]))
+        g.marked_slot = {g.label[s]: s for s in g.marked}
+        g.slot_of = {label: s for s, (label, q) in enumerate(zip(g.label, seq, strict=True)) if q is None}
+        g.entry, g.reuses, g.sequence = entry, int(stats["reuses"]), int(stats["sequence"])
         g.count = Counter({k[5:]: int(v) for k, v in stats.items() if k.startswith("work_")})
         return g

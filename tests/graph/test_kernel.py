@@ -98,11 +98,58 @@ def test_rows_round_trip_and_compaction():
     g, x = graph(120)
     for i in range(10):
         g.mark_deleted(i)
-    h = GraphKernel.from_rows(g.rows("main", 0))
+    h = GraphKernel.from_table(g.table("main", 0))
     assert h.nbrs == g.nbrs and h.marked == g.marked and h.entry == g.entry and h.slot_of == g.slot_of
-    h.compact()
-    dead = set(h.marked) - {h.entry}
-    assert not any(n in dead for layers in h.nbrs for own in layers for n in own) and not any(h.health().values())
+    gone = h.compact()
+    assert len(h.label) == 120 - gone and not any(h.health().values()) and set(h.slot_of) == set(range(10, 120))
+    assert all(h.label[s] == label and (h.vec[s] == np.float32(x[label])).all() for label, s in h.slot_of.items())
+
+
+def test_which_slot_is_reused():
+    for order, slots in (("fifo", [3, 5, 4]), ("lifo", [4, 5, 3])):
+        g, x = graph(40)
+        g.order = order
+        for i in (3, 5, 4):
+            g.mark_deleted(i)
+        assert [g.replace_update(100 + i, x[i], "mutual_gamma") for i in range(3)] == slots and g.next_free() is None
+
+
+def one_by_one(g, centre, candidates, cap, alpha):
+    d = {c: float(((g.vec[c] - centre) ** 2).sum()) for c in candidates}
+    kept, asked = [], len(candidates)
+    for c in sorted(candidates, key=lambda c: (d[c], c)):
+        if len(kept) == cap:
+            break
+        asked += len(kept)
+        if not any(alpha * alpha * float(((g.vec[c] - g.vec[a]) ** 2).sum()) < d[c] for a in kept):
+            kept.append(c)
+    return kept, asked
+
+
+def test_pruning_against_a_reading_one_by_one():
+    g, x = graph(200)
+    g.vec[50:60] = g.vec[50]
+    rng = np.random.default_rng(8)
+    for alpha in (1.0, 1.1, 1.2):
+        for _ in range(60):
+            own = rng.choice(200, rng.integers(1, 60), replace=False).tolist()
+            centre, before = x[int(rng.integers(0, 200))], g.count["prune"]
+            assert (g.prune(centre, own, 8, alpha), g.count["prune"] - before) == one_by_one(g, centre, own, 8, alpha)
+    g.fill = True
+    assert len(g.prune(x[0], list(range(1, 40)), 12)) == 12
+
+
+def test_options_of_selection():
+    g, x = graph(150)
+    h = GraphKernel(16, 6, 12, 40, extend=True, fill=True)
+    for i in range(150):
+        h.insert(i, x[i])
+    assert not any(h.health().values()) and len(h.unreachable_search()) <= len(g.unreachable_search()) + 2
+    h.drop_marked = True
+    for i in range(30):
+        h.mark_deleted(i)
+    new = h.repair_slot(0, x[0], STRATEGIES["mutual_gamma"])
+    assert not any(n in h.marked and n != 0 for layer in new.values() for own in layer.values() for n in own)
 
 
 def test_shape_of_the_claims():

@@ -9,9 +9,9 @@ def test_functions_and_source(spark, tmp_path):
     points = spark.createDataFrame([(i, v.tolist(), 0) for i, v in enumerate(x)], "label long, vec array<float>, version long")
     index.save(index.build(points, index.GraphParams(4, 8, 40), 2), str(tmp_path), 1)
     sql.register(spark)
-    points.createOrReplaceTempView("asked")
-    got = spark.sql(f"SELECT a.label, s.label AS found, s.dist FROM asked a, LATERAL ann_search(a.label, a.vec, '{tmp_path}', 1, 1, 60) s").collect()
-    assert sum(r.label == r.found and r.dist < 1e-5 for r in got) >= 55
+    points.selectExpr("label AS query_id", "vec").createOrReplaceTempView("asked")
+    got = sql.ann_search_all(spark, "asked", str(tmp_path), 1, 3, 60).collect()
+    assert len(got) == 180 and sum(r.query_id == r.label and r.dist < 1e-5 and r["rank"] == 1 for r in got) >= 55
     i = spark.read.format("navgraph").option("epoch", 1).load(str(tmp_path))
     saved = index.load(spark, str(tmp_path), 1)
     assert sorted((r.shard, r.slot, r.label, r.nbrs) for r in i.collect()) == sorted((r.shard, r.slot, r.label, r.nbrs) for r in saved.collect())
