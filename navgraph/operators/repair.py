@@ -39,8 +39,9 @@ def two_hop(edges: DataFrame, batch: DataFrame) -> DataFrame:
     return one.unionByName(two).distinct()
 
 
-def targets(edges: DataFrame, batch: DataFrame, kind: str, keep_batch: bool = False) -> DataFrame:
-    """(d, u): which lists are rewritten for which slot. Those in the batch are left out; placement writes their lists."""
+def targets(edges: DataFrame, batch: DataFrame, kind: str, keep_batch: bool = False, two: DataFrame | None = None) -> DataFrame:
+    """(d, u): which lists are rewritten for which slot. Those in the batch are left out; placement writes their lists. two: what
+    two_hop() gives, if it is there already."""
     e = edges.select("src", "dst")
     slots = batch.select("slot")
     back = e.join(F.broadcast(slots), F.col("dst") == F.col("slot")).select(F.col("dst").alias("d"), F.col("src").alias("u"))
@@ -49,16 +50,16 @@ def targets(edges: DataFrame, batch: DataFrame, kind: str, keep_batch: bool = Fa
     if kind != "out":
         found = found.join(back, ["d", "u"], "left_semi")
     if kind == "mutual+twohop":
-        far = two_hop(e, batch).withColumnRenamed("node", "u").filter("d != u").join(back, ["d", "u"], "left_semi")
+        far = (two_hop(e, batch) if two is None else two).withColumnRenamed("node", "u").filter("d != u").join(back, ["d", "u"], "left_semi")
         found = found.unionByName(far).distinct()
     return found if keep_batch else found.join(F.broadcast(slots), found["u"] == F.col("slot"), "left_anti")
 
 
-def pools(edges: DataFrame, batch: DataFrame, strategy: Strategy) -> DataFrame:
+def pools(edges: DataFrame, batch: DataFrame, strategy: Strategy, two: DataFrame | None = None) -> DataFrame:
     """(u, cand): candidates of every target, over all slots it is a target of; without itself."""
-    e, t = edges.select("src", "dst"), targets(edges, batch, strategy.targets)
+    e, t = edges.select("src", "dst"), targets(edges, batch, strategy.targets, two=two)
     if strategy.pool == "twohop":
-        near = t.join(two_hop(e, batch), "d").select("u", F.col("node").alias("cand"))
+        near = t.join(two_hop(e, batch) if two is None else two, "d").select("u", F.col("node").alias("cand"))
     else:
         own = t.select("u").distinct().join(e, F.col("u") == F.col("src")).select("u", F.col("dst").alias("cand"))
         near = own.unionByName(t.join(e, F.col("d") == F.col("src")).select("u", F.col("dst").alias("cand")))

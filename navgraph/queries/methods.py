@@ -18,7 +18,9 @@ QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
 E = "e AS (SELECT vec_id AS label, embedding::DOUBLE[] AS v, label AS tag FROM embeddings)"
-BASE, CAP, BATCH, SEED = 450, 8, 20, 42
+CAP, SEED = 8, 42
+#: The base is the first nine tenths of the points by label; a twenty-fifth of all points is replaced by the first of the rest.
+BASE = "label IN (SELECT label FROM e ORDER BY label LIMIT (SELECT count(*) * 9 // 10 FROM e))"
 
 
 def query(name: str, sql: str | None = None):
@@ -101,7 +103,12 @@ def g0_unreachable_bfs(spark, sf):
     return reach.unreachable_bfs(p.select("label"), exact.edges(exact.knn_graph(p, 4)), 0)
 
 
-QUERIES["backup_members_g0"], SQL["backup_members_g0"] = g0_unreachable_bfs, SQL["g0_unreachable_bfs"]
+@query("backup_members_g0", _found_sql(4) + " SELECT 'backup' AS role, label, len(v)::INT AS dim FROM e EXCEPT SELECT 'backup', label, len(v)::INT FROM e JOIN f USING (label)")
+def backup_members_g0(spark, sf):
+    """What a backup has to hold: all points less those that are found, with their vectors' length."""
+    p = sources.embeddings(spark, sf)
+    found = reach.found_bfs(exact.edges(exact.knn_graph(p, 4)), 0)
+    return p.select(F.lit("backup").alias("role"), "label", F.size("vec").alias("dim")).join(found, "label", "left_anti")
 
 
 @query("unreachable_share", _found_sql(4) + " SELECT round(count(*) FILTER (WHERE label NOT IN (SELECT label FROM f)) / count(*)::DOUBLE, 6) AS share FROM e")
@@ -148,12 +155,12 @@ st AS (
 pruned AS (SELECT u, arg_max(kept, n) AS nbrs FROM st GROUP BY u)"""
 
 
-_PRUNE_C = "c AS (SELECT u, cand, d, v FROM (SELECT a.label AS u, b.label AS cand, list_distance(a.v, b.v) AS d, b.v, row_number() OVER (PARTITION BY a.label ORDER BY list_distance(a.v, b.v), b.label) AS r FROM e a JOIN e b ON a.label <> b.label WHERE a.label % 10 = 0) WHERE r <= 20)"
+_PRUNE_C = "c AS (SELECT u, cand, d, v FROM (SELECT a.label AS u, b.label AS cand, list_distance(a.v, b.v) AS d, b.v, row_number() OVER (PARTITION BY a.label ORDER BY list_distance(a.v, b.v), b.label) AS r FROM e a JOIN e b ON a.label <> b.label ) WHERE r <= 20)"
 
 
 def _prune(spark, sf, alpha=1.0, simple=False):
     p = sources.embeddings(spark, sf)
-    found = exact.knn(p, p.filter("label % 10 = 0").select(F.col("label").alias("query_id"), "vec"), 20, exclude_self=True)
+    found = exact.knn(p, p.select(F.col("label").alias("query_id"), "vec"), 20, exclude_self=True)
     c = found.join(p.select("label", F.col("vec").cast("array<double>").alias("v")), "label").groupBy(F.col("query_id").alias("u")).agg(F.collect_list(F.struct("dist", F.col("label").alias("id"), F.col("v").alias("vec"))).alias("c"))
     return c.select("u", (V.nearest(F.col("c"), 6) if simple else V.rng_prune(F.col("c"), 6, alpha)).alias("nbrs"))
 
@@ -204,25 +211,27 @@ def live_set_after_marks(spark, sf):
     return p.select("label").join(random_batches(spark, sf).filter("iter = 0"), "label", "left_anti")
 
 
-_BATCH = f"dl AS (SELECT label AS slot, row_number() OVER (ORDER BY md5('{SEED}:0:' || label), label) AS n FROM e WHERE label < {BASE}), bt AS (SELECT dl.slot, i.label FROM dl JOIN (SELECT label, row_number() OVER (ORDER BY label) AS n FROM e WHERE label >= {BASE}) i ON dl.n = i.n WHERE dl.n <= {BATCH})"
+_BATCH = f"dl AS (SELECT label AS slot, row_number() OVER (ORDER BY md5('{SEED}:0:' || label), label) AS n FROM b0), bt AS (SELECT dl.slot, i.label FROM dl JOIN (SELECT label, row_number() OVER (ORDER BY label) AS n FROM e WHERE label NOT IN (SELECT label FROM b0)) i ON dl.n = i.n WHERE dl.n <= (SELECT greatest(1, count(*) // 25) FROM e))"
 
 
-@query("slot_reuse_pairs", f"WITH {E}, {_BATCH} SELECT slot, label FROM bt")
+@query("slot_reuse_pairs", f"WITH {E}, b0 AS (SELECT * FROM e WHERE {BASE}), {_BATCH} SELECT slot, label FROM bt")
 def slot_reuse_pairs(spark, sf):
-    return batch(sources.embeddings(spark, sf))
+    return split(sources.embeddings(spark, sf))[2]
 
 
-def batch(p: DataFrame) -> DataFrame:
-    order = Window.orderBy("draw", "label")
-    d = p.filter(F.col("label") < BASE).withColumn("draw", V.draw(F.col("label"), SEED, 0)).select(F.col("label").alias("slot"), F.row_number().over(order).alias("seq")).filter(F.col("seq") <= BATCH)
-    return workloads.slot_pairs(d, p.filter(F.col("label") >= BASE).select("label", F.col("label").alias("seq")))
+def split(p: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The base, the points to come, and which of them takes whose slot."""
+    placed, n = workloads.numbered(p, "label")
+    old, incoming = placed.filter(F.col("i") < n * 9 // 10).drop("i"), placed.filter(F.col("i") >= n * 9 // 10).drop("i")
+    drawn, _ = workloads.numbered(old.select(F.col("label").alias("slot"), V.draw(F.col("label"), SEED, 0).alias("draw")), "draw", "slot", name="seq")
+    pairs = workloads.slot_pairs(drawn.filter(F.col("seq") < max(1, n // 25)), incoming.select("label", F.col("label").alias("seq")))
+    return old, incoming, pairs
 
 
 # ---- repair on G0
 def setting(spark: SparkSession, sf: str, k: int = 8):
-    p = sources.embeddings(spark, sf)
-    old, incoming = p.filter(F.col("label") < BASE), p.filter(F.col("label") >= BASE)
-    return old, incoming, written(exact.knn_graph(old, k), "g0"), written(batch(p), "batch")
+    old, incoming, pairs = split(sources.embeddings(spark, sf))
+    return old, incoming, written(exact.knn_graph(old, k), "g0"), written(pairs, "batch")
 
 
 def targets_sql(strategy: str) -> str:
@@ -248,10 +257,10 @@ def pools_sql(strategy: str) -> str:
 def repaired_sql(strategy: str) -> str:
     occupants = "oc AS (SELECT b0.label AS slot, v FROM b0 WHERE label NOT IN (SELECT slot FROM bt) UNION ALL SELECT bt.slot, e.v FROM bt JOIN e USING (label))"
     c = "c AS (SELECT u, cand, list_distance(x.v, y.v) AS d, y.v FROM pool JOIN oc x ON x.slot = u JOIN oc y ON y.slot = cand)"
-    return f"WITH RECURSIVE {g0_sql(8, f'label < {BASE}')}, {_BATCH}{pools_sql(strategy)}, {occupants}, {c}, {prune_sql(STRATEGIES[strategy].alpha, CAP)}"
+    return f"WITH RECURSIVE {g0_sql(8, BASE)}, {_BATCH}{pools_sql(strategy)}, {occupants}, {c}, {prune_sql(STRATEGIES[strategy].alpha, CAP)}"
 
 
-G8 = f"WITH {g0_sql(8, f'label < {BASE}')}, {_BATCH}"
+G8 = f"WITH {g0_sql(8, BASE)}, {_BATCH}"
 
 
 def _targets(spark, sf, strategy):
@@ -290,7 +299,8 @@ def _all_sql(one: str, head, tail: str) -> str:
 def repair_work_by_strategy(spark, sf):
     _, _, g, b = setting(spark, sf)
     e = exact.edges(g)
-    return _unions([repair.pools(e, b, st).agg(F.countDistinct("u").alias("targets"), F.count(F.lit(1)).alias("candidates"), F.round(F.count(F.lit(1)) / F.countDistinct("u"), 4).alias("mean_pool")).select(F.lit(s).alias("strategy"), "*") for s, st in STRATEGIES.items()])
+    two = written(repair.two_hop(e, b), "two-hop")
+    return _unions([repair.pools(e, b, st, two).agg(F.countDistinct("u").alias("targets"), F.count(F.lit(1)).alias("candidates"), F.round(F.count(F.lit(1)) / F.countDistinct("u"), 4).alias("mean_pool")).select(F.lit(s).alias("strategy"), "*") for s, st in STRATEGIES.items()])
 
 
 @query("repair_unreachable_by_strategy", _all_sql("", repaired_sql, ", nl AS (SELECT src, dst FROM g WHERE src NOT IN (SELECT u FROM pruned) UNION ALL SELECT u, unnest(nbrs) FROM pruned) SELECT count(*)::BIGINT AS unreachable FROM b0 WHERE label NOT IN (SELECT dst FROM nl)"))
@@ -320,19 +330,23 @@ def twohop_pick_rate(spark, sf):
     return picked.join(near.withColumn("near", F.lit(1)), ["u", "cand"], "left").agg(F.count(F.lit(1)).alias("picked"), F.count(F.when(F.col("near").isNull(), 1)).alias("from_two_hop"))
 
 
-@query("work_vs_degree", " UNION ALL ".join(f"SELECT {m} AS m, '{s}' AS strategy, x.* FROM (WITH {g0_sql(m, f'label < {BASE}')}, {_BATCH}{pools_sql(s)} SELECT count(*)::BIGINT AS candidates FROM pool) x" for m in (4, 8, 16) for s in ("native", "mutual_gamma")))
+DOUBLED = (4, 8, 16, 32)
+
+
+@query("work_vs_degree", " UNION ALL ".join(f"SELECT {m} AS m, '{s}' AS strategy, x.* FROM (WITH {g0_sql(m, BASE)}, {_BATCH}{pools_sql(s)} SELECT count(*)::BIGINT AS candidates FROM pool) x" for m in DOUBLED for s in STRATEGIES))
 def work_vs_degree(spark, sf):
     """Candidates to evaluate as the degree doubles: about M cubed for the conventional pool, M squared for the local one."""
-    p = sources.embeddings(spark, sf)
-    old, b, parts = p.filter(F.col("label") < BASE), written(batch(p), "batch"), []
-    g = written(exact.knn_graph(old, 16), "g0")
-    for m in (4, 8, 16):
-        e = exact.edges(g).filter(F.col("place") < m)
-        parts += [repair.pools(e, b, STRATEGIES[s]).agg(F.count(F.lit(1)).alias("candidates")).select(F.lit(m).alias("m"), F.lit(s).alias("strategy"), "*") for s in ("native", "mutual_gamma")]
+    old, _, pairs = split(sources.embeddings(spark, sf))
+    b, parts = written(pairs, "batch"), []
+    g = written(exact.knn_graph(old, DOUBLED[-1]), "g0")
+    for m in DOUBLED:
+        e = written(exact.edges(g).filter(F.col("place") < m).select("src", "dst"), "edges")
+        two = written(repair.two_hop(e, b), "two-hop")
+        parts += [repair.pools(e, b, st, two).agg(F.count(F.lit(1)).alias("candidates")).select(F.lit(m).alias("m"), F.lit(s).alias("strategy"), "*") for s, st in STRATEGIES.items()]
     return _unions(parts)
 
 
-@query("replace_update_g0", f"WITH RECURSIVE {g0_sql(8, f'label < {BASE}')}, {_BATCH}, oc AS (SELECT label, v FROM b0 WHERE label NOT IN (SELECT slot FROM bt)), c AS (SELECT u, cand, d, v FROM (SELECT bt.label AS u, oc.label AS cand, list_distance(e.v, oc.v) AS d, oc.v, row_number() OVER (PARTITION BY bt.label ORDER BY list_distance(e.v, oc.v), oc.label) AS r FROM bt JOIN e USING (label), oc) WHERE r <= 40), {prune_sql(1.0, CAP)} SELECT u, nbrs FROM pruned")
+@query("replace_update_g0", f"WITH RECURSIVE {g0_sql(8, BASE)}, {_BATCH}, oc AS (SELECT label, v FROM b0 WHERE label NOT IN (SELECT slot FROM bt)), c AS (SELECT u, cand, d, v FROM (SELECT bt.label AS u, oc.label AS cand, list_distance(e.v, oc.v) AS d, oc.v, row_number() OVER (PARTITION BY bt.label ORDER BY list_distance(e.v, oc.v), oc.label) AS r FROM bt JOIN e USING (label), oc) WHERE r <= 40), {prune_sql(1.0, CAP)} SELECT u, nbrs FROM pruned")
 def replace_update_g0(spark, sf):
     """Own lists of the new points: their 40 nearest live occupants, pruned with alpha 1."""
     old, incoming, _, b = setting(spark, sf)

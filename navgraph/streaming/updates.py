@@ -49,13 +49,85 @@ def maintain(log: DataFrame, index: MaintainedIndex, checkpoint: str):
     return log.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def replay(spark: SparkSession, sf_dir: str, most: int, params: GraphParams) -> DataFrame:
-    """The index of the embeddings after the first `most` events, streamed in files of 500 events."""
+def replay(spark: SparkSession, sf_dir: str, params: GraphParams, files: int = 8) -> DataFrame:
+    """The index of the embeddings after all events, streamed in `files` files, one after the other."""
     path = scratch_path(spark, "events")
-    src = sources.table(spark, sf_dir, "events").filter(F.col("event_id") < most).withColumn("ts", F.col("ts").cast("timestamp"))
-    for start in range(0, most, 500):  # one after the other: a file stream takes files by their age
-        src.filter(F.col("event_id").between(start, start + 499)).coalesce(1).write.mode("append").parquet(path)
+    src = sources.table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    first, last = src.agg(F.min("event_id"), F.max("event_id")).first()
+    step = max(1, -(-(last - first + 1) // files))
+    for start in range(first, last + 1, step):  # a file stream takes files by their age
+        src.filter(F.col("event_id").between(start, start + step - 1)).coalesce(1).write.mode("append").parquet(path)
     p = written(sources.embeddings(spark, sf_dir), "points")
-    index = MaintainedIndex(written(ix.build(p, params), "index"), params, policy=RebuildPolicy(200))
+    index = MaintainedIndex(written(ix.build(p, params, 4), "index"), params, policy=RebuildPolicy(200))
     maintain(as_log(events(spark, path), p, p.count()), index, scratch_path(spark, "stream")).awaitTermination()
     return ix.live(index.index)
+
+
+def late_aside(events: DataFrame, path: str, late: str, checkpoint: str):
+    """Events more than `late` behind the newest one of earlier batches go to `path`/late, the others to `path`/on_time, so that
+    nothing that a watermark drops is lost. A batch that runs again writes the same folders."""
+    spark = events.sparkSession
+
+    def step(batch: DataFrame, number: int) -> None:
+        before = spark.read.schema("number long, newest timestamp").parquet(f"{path}/newest").filter(F.col("number") < number).agg(F.max("newest")).first()[0] if number else None
+        is_late = F.lit(False) if before is None else F.col("ts") < F.lit(before) - F.expr(f"INTERVAL {late}")
+        for name, wanted in (("late", is_late), ("on_time", ~is_late)):
+            batch.filter(wanted).write.mode("overwrite").parquet(f"{path}/{name}/batch={number}")
+        batch.agg(F.lit(number).cast("long").alias("number"), F.max("ts").alias("newest")).write.mode("overwrite").parquet(f"{path}/newest/batch={number}")
+
+    return events.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def search_stream(queries: DataFrame, index: MaintainedIndex, k: int, ef: int, path: str, checkpoint: str):
+    """Stream of queries (query_id, vec) against the index as it is when a batch comes; hits go to `path`, a folder a batch."""
+
+    def step(batch: DataFrame, number: int) -> None:
+        index.search(batch, k, ef).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return queries.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def mixed(log: DataFrame, index: MaintainedIndex, k: int, ef: int, path: str, checkpoint: str):
+    """One stream of updates and queries (op "query"): each batch's updates are applied, then its queries answered below `path`."""
+
+    def step(batch: DataFrame, number: int) -> None:
+        own = written(batch, "mixed")
+        index.apply(ix.normalized_log(own.filter("op != 'query'")), number)
+        index.search(own.filter("op = 'query'").select(F.col("seq").alias("query_id"), "vec"), k, ef).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return log.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def stateful(log: DataFrame, params: GraphParams, strategy: str = "mutual_gamma", shards: int = 4) -> DataFrame:
+    """(shard, live, reuses, unreachable) after each batch: every shard's graph is the state of its key, changed in order of seq."""
+    import pandas as pd
+    import pyarrow as pa
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    from navgraph.operators.kernel import GraphKernel
+    from navgraph.session import ship
+
+    ship(log.sparkSession)
+
+    def change(key, batches, state):
+        table = None
+        if state.exists:
+            with pa.ipc.open_stream(state.get[0]) as reader:
+                table = reader.read_all()
+        g = GraphKernel.from_table(table) if table is not None else None
+        for r in sorted((r for frame in batches for r in frame.to_dict("records")), key=lambda r: r["seq"]):
+            g = g or (GraphKernel(len(r["vec"]), params.m, params.m0, params.ef_construction, params.metric) if r["vec"] is not None else None)
+            if g is not None:
+                g.mark_deleted(r["label"])
+                if r["op"] != "delete":
+                    g.replace_update(r["label"], r["vec"], strategy, r["seq"] + 1)
+        if g is None or not g.label:
+            return
+        out, table = pa.BufferOutputStream(), g.table("main", key[0], shards)
+        with pa.ipc.new_stream(out, table.schema) as writer:
+            writer.write_table(table)
+        state.update((out.getvalue().to_pybytes(),))
+        yield pd.DataFrame({"shard": [key[0]], "live": [len(g.live())], "reuses": [g.reuses], "unreachable": [len(g.unreachable_degree())]})
+
+    dealt = log.select("seq", "op", "label", "vec", ix.shard_of(F.col("label"), shards).alias("shard"))
+    return dealt.groupBy("shard").applyInPandasWithState(change, "shard int, live long, reuses long, unreachable long", "graph binary", "update", GroupStateTimeout.NoTimeout)
