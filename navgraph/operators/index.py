@@ -139,8 +139,8 @@ def routed(index: DataFrame, log: DataFrame, shards: int, pivots: DataFrame | No
     nearest pivot, so an upsert that moves is both."""
     if pivots is None:
         return log.select("seq", "op", "label", "vec", shard_of(F.col("label"), shards).alias("shard"))
-    home = index.filter("deleted_seq IS NULL").select(F.col("label").alias("of"), F.col("shard"))
-    leaves = log.filter("op IN ('delete', 'upsert', 'insert')").join(home, F.col("label") == F.col("of")).select("seq", F.lit("delete").alias("op"), "label", F.lit(None).cast("array<float>").alias("vec"), "shard")
+    home = index.filter("deleted_seq IS NULL").select(F.col("label").alias("of"), F.col("shard").alias("home"))
+    leaves = log.filter("op IN ('delete', 'upsert', 'insert')").join(home, F.col("label") == F.col("of")).select("seq", F.lit("delete").alias("op"), "label", F.lit(None).cast("array<float>").alias("vec"), F.col("home").alias("shard"))
     comes = by_space(log.filter("op IN ('insert', 'upsert')"), pivots).select("seq", F.lit("insert").alias("op"), "label", "vec", "shard")
     return leaves.unionByName(comes)
 
