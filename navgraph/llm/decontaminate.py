@@ -12,11 +12,12 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navgraph.llm.arrow import add_columns
+from navgraph.llm.arrow import add_columns, fresh, named
 from navgraph.llm.textscan import ALNUM, LOWER, buffers
+from navgraph.session import written
 
 WINDOW = 10
-#: Most bytes of benchmark text that are sent to the workers; the automaton takes a fixed multiple of it.
+#: Most bytes of benchmark text that are sent to the workers at once; the automaton takes a fixed multiple of it.
 MAX_BYTES = 64 << 20
 
 #: Lower-cases A-Z and makes a blank of what separates words, byte by byte, so that places stay.
@@ -65,54 +66,82 @@ def scan(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_bytes: int
 
     docs needs text; items needs item_id and text. A word is hit if it lies in an occurrence of any window. spans are runs of
     hit words as code point offsets, end exclusive. Null or wordless texts have no words and no hits; repeated items count
-    once; a null item_id reads "null"; no items hit nothing. A benchmark of more than `max_bytes` bytes is refused, because
-    it is sent to every worker.
+    once; a null item_id reads "null"; no items hit nothing. Other columns stay, those of the five names are replaced.
+
+    At most about `max_bytes` bytes of benchmark are sent to the workers at once. A larger one is dealt by hash into parts, and the
+    documents are read once for each: what a part hits goes along to the next.
     """
+    spark = docs.sparkSession
+    items = items.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("item_id"), F.coalesce("text", F.lit("")).alias("text")).distinct()
     size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > max_bytes:
-        raise ValueError(f"the benchmark has {size} bytes of text; max_bytes is {max_bytes}")
-    rows = [(("null" if k is None else str(k)), text or "") for k, text in items.select(F.col("item_id").cast("string"), "text").distinct().collect()]
-    sent = docs.sparkSession.sparkContext.broadcast(rows)
-
-    def make():
-        items, found = sent.value, automaton(sent.value, window)
-
-        def work(batch):
-            data, offsets = buffers(batch.column(batch.schema.get_field_index("text")))
-            n_words, n_hit, ids, spans = [], [], [], []
-            for i in range(len(offsets) - 1):
-                text = data[offsets[i] : offsets[i + 1]].tobytes()
-                plain, n = normalised(text)
-                n_words.append(n)
-                hits = list(found.iter(plain)) if n and len(found) else []
-                if not hits:
-                    n_hit.append(0)
-                    ids.append([])
-                    spans.append([])
-                    continue
-                blanks = np.flatnonzero(np.frombuffer(plain.encode("latin-1"), np.uint8) == 0x20)
-                ends = np.searchsorted(blanks, [end for end, _ in hits])
-                edge = np.zeros(n + 1, np.int64)
-                np.add.at(edge, ends - [k for _, (k, _) in hits], 1)
-                np.add.at(edge, ends, -1)
-                hit = np.cumsum(edge[:-1]) > 0
-                n_hit.append(int(hit.sum()))
-                ids.append(sorted({items[x][0] for _, (_, own) in hits for x in own}))
-                step = np.diff(np.concatenate(([0], hit.astype(np.int8), [0])))
-                inside = np.frombuffer(text.translate(NORMAL), np.uint8) != 0x20
-                turn = np.diff(np.concatenate(([0], inside.astype(np.int8), [0])))
-                first, last = np.flatnonzero(turn == 1)[np.flatnonzero(step == 1)], np.flatnonzero(turn == -1)[np.flatnonzero(step == -1) - 1]
-                spans.append([{"start": int(a), "end": int(b)} for a, b in zip(characters(text, first), characters(text, last), strict=True)])
-            return {"n_words": n_words, "n_hit": n_hit, "items": ids, "contaminated": [x > 0 for x in n_hit], "spans": spans}
-
-        return work
-
-    return add_columns(docs, "n_words long, n_hit long, items array<string>, contaminated boolean, spans array<struct<start:long,end:long>>", make)
+    parts = max(1, -(-size // max_bytes))
+    own = [c for c in docs.columns if c.lower() not in ("n_words", "n_hit", "items", "contaminated", "spans")]
+    (marks,) = fresh([*docs.columns, "n_words", "n_hit", "items", "contaminated", "spans"], "hit_words")
+    found = docs.select(*map(named, own))
+    if parts > 1:
+        found = found.withColumns({marks: F.lit(None).cast("binary"), "items": F.array().cast("array<string>")})
+    for part in range(parts):
+        rows = [tuple(r) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == part).collect()]
+        sent = spark.sparkContext.broadcast(rows)
+        last = part == parts - 1
+
+        def make(sent=sent, last=last):
+            items, made = sent.value, automaton(sent.value, window)
+
+            def work(batch):
+                data, offsets = buffers(batch.column(batch.schema.get_field_index("text")))
+                before = batch.schema.get_field_index(marks)
+                n_words, n_hit, ids, spans, masks = [], [], [], [], []
+                for i in range(len(offsets) - 1):
+                    text = data[offsets[i] : offsets[i + 1]].tobytes()
+                    plain, n = normalised(text)
+                    mask = batch.column(before)[i].as_py() if before >= 0 else None
+                    known = batch.column(batch.schema.get_field_index("items"))[i].as_py() if before >= 0 else []
+                    hits = list(made.iter(plain)) if n and len(made) else []
+                    n_words.append(n)
+                    if not hits and mask is None:
+                        n_hit.append(0)
+                        ids.append([])
+                        spans.append([])
+                        masks.append(None)
+                        continue
+                    hit = np.unpackbits(np.frombuffer(mask, np.uint8), count=n).astype(bool) if mask is not None else np.zeros(n, bool)
+                    if hits:
+                        blanks = np.flatnonzero(np.frombuffer(plain.encode("latin-1"), np.uint8) == 0x20)
+                        ends = np.searchsorted(blanks, [end for end, _ in hits])
+                        edge = np.zeros(n + 1, np.int64)
+                        np.add.at(edge, ends - [k for _, (k, _) in hits], 1)
+                        np.add.at(edge, ends, -1)
+                        hit |= np.cumsum(edge[:-1]) > 0
+                    ids.append(sorted({*known, *(items[x][0] for _, (_, own) in hits for x in own)}))
+                    masks.append(np.packbits(hit).tobytes())
+                    n_hit.append(int(hit.sum()))
+                    spans.append(_spans(text, hit) if last else [])
+                out = {"n_words": n_words, "n_hit": n_hit, "items": ids, "contaminated": [x > 0 for x in n_hit], "spans": spans}
+                return out if last else {marks: masks, "items": ids}
+
+            return work
+
+        if last:
+            found = add_columns(found, "n_words long, n_hit long, items array<string>, contaminated boolean, spans array<struct<start:long,end:long>>", make)
+        else:
+            found = written(add_columns(found, f"{marks} binary, items array<string>", make), "benchmark-hits")
+            sent.destroy()
+    return found.select(*map(named, own), "n_words", "n_hit", "items", "contaminated", "spans")
+
+
+def _spans(text: bytes, hit: np.ndarray) -> list[dict]:
+    """Runs of hit words, as code point offsets of the text."""
+    step = np.diff(np.concatenate(([0], hit.astype(np.int8), [0])))
+    inside = np.frombuffer(text.translate(NORMAL), np.uint8) != 0x20
+    turn = np.diff(np.concatenate(([0], inside.astype(np.int8), [0])))
+    first, last = np.flatnonzero(turn == 1)[np.flatnonzero(step == 1)], np.flatnonzero(turn == -1)[np.flatnonzero(step == -1) - 1]
+    return [{"start": int(a), "end": int(b)} for a, b in zip(characters(text, first), characters(text, last), strict=True)]
 
 
 def clean(docs: DataFrame, items: DataFrame, window: int = WINDOW) -> DataFrame:
     """The documents without any hit, with the columns they came with."""
-    return scan(docs, items, window).filter(~F.col("contaminated")).select(*docs.columns)
+    return scan(docs, items, window).filter(~F.col("contaminated")).select(*map(named, docs.columns))
 
 
 def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -22,14 +22,15 @@ CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
 #: Characters of a window, and the least entropy (bits a character) by class of the candidate.
 WIDTH = 20
 LEAST = {"hex": 2.8, "alnum": 3.4, "base64": 3.6}
-#: Candidates that are let pass: identifiers, paths and addresses, runs of counting characters, documented examples.
+#: Parts of candidates that are let pass: identifiers, paths and addresses, numbered names.
 ALLOWED = (
     r"[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}",
     r"[A-Za-z]*[0-9]*",
     r"[0-9]+[A-Za-z]*",
     r"([A-Za-z]+|[0-9]+)([-_/=+]+([A-Za-z]+|[0-9]+))*[-_/=+]*",
-    r".*(EXAMPLE|example|0123456789|123456789|abcdefghij|ABCDEFGHIJ).*",
 )
+#: Documented examples and runs of counting characters: no secret has them, and candidates are parted there.
+DOCUMENTED = re.compile(r"EXAMPLE|example|0123456789|123456789|abcdefghij|ABCDEFGHIJ")
 
 _table = lambda chars: bytes(0x78 if chr(i) in chars else 0x20 for i in range(256))
 _HEX_RUN, _CANDIDATE_RUN = _table("0123456789abcdef"), _table("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-")
@@ -69,15 +70,29 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(found + [(m.start(), 2, m.end()) for m in HEX.finditer(text)])
 
 
+def outside(start: int, end: int, taken: list[tuple[int, int]]):
+    """The parts of start:end that none of the ascending spans covers."""
+    for a, b in taken:
+        if b > start and a < end:
+            if a > start:
+                yield start, a
+            start = max(start, b)
+    if start < end:
+        yield start, end
+
+
 def entropy_spans(text: str, base: list[tuple[int, int, int]], allowed: re.Pattern) -> list[tuple[int, int, int]]:
-    """Dense parts of candidates that hold a letter and a digit, aren't allowed and don't touch a fixed pattern's span."""
+    """Dense runs of candidates that hold a letter and a digit. What a fixed pattern's span covers, or a documented example is,
+    parts a candidate; each part is allowed or not by itself."""
     found = []
     for m in CANDIDATE.finditer(text):
-        s = m[0]
-        if allowed.fullmatch(s) or any(a < m.end() and m.start() < b for a, _, b in base) or text[max(0, m.start() - 3) : m.start()].endswith(("://", "www", "@")):
+        if text[max(0, m.start() - 3) : m.start()].endswith(("://", "www", "@")):
             continue
-        if part := dense(s, LEAST[character_class(s)]):
-            found.append((m.start() + part[0], 3, m.start() + part[1]))
+        taken = sorted([(a, b) for a, _, b in base if a < m.end() and m.start() < b] + [(d.start(), d.end()) for d in DOCUMENTED.finditer(text, m.start(), m.end())])
+        for a, b in outside(m.start(), m.end(), taken):
+            s = text[a:b]
+            if len(s) >= WIDTH and not allowed.fullmatch(s) and (part := dense(s, LEAST[character_class(s)])):
+                found.append((a + part[0], 3, a + part[1]))
     return found
 
 

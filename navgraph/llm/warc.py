@@ -16,8 +16,8 @@ from navgraph.session import scratch_path, ship, written
 
 #: Payloads of at least so many bytes are kept once; equal ones refer to the first.
 LEAST_SHARED = 100
-#: Captures per archive file, which bounds what one reading task holds.
-PER_FILE = 4000
+#: Captures per archive file at most, and about the bytes of pages in one, which bound what one reading task holds.
+PER_FILE, FILE_BYTES = 4000, 64 << 20
 END = "\r\n\r\n"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -62,8 +62,11 @@ def transactions(pages: DataFrame, least_shared: int = LEAST_SHARED) -> DataFram
 
 
 def write(pages: DataFrame, path: str, least_shared: int = LEAST_SHARED) -> None:
-    """Writes page_id, url, html as compressed WARC files below `path`, through Spark's own writer (any file system)."""
-    transactions(pages, least_shared).write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", PER_FILE).text(path)
+    """Writes page_id, url, html as compressed WARC files below `path`, through Spark's own writer (any file system). Files hold
+    as many captures as pages of the mean length fill FILE_BYTES."""
+    n, size = pages.agg(F.count(F.lit(1)), F.sum(F.octet_length("html"))).first()
+    per_file = max(1, min(PER_FILE, FILE_BYTES * n // max(size or 0, 1))) if n else PER_FILE
+    transactions(pages, least_shared).write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", per_file).text(path)
 
 
 def records(stream: io.BufferedIOBase) -> Iterator[tuple[dict[str, str], bytes]]:
@@ -84,12 +87,13 @@ def records(stream: io.BufferedIOBase) -> Iterator[tuple[dict[str, str], bytes]]
         yield headers, block
 
 
-SCHEMA = "record_id string, type string, concurrent_to array<string>, refers_to string, uri string, payload_bytes long, payload_digest string, intact boolean, fields map<string,string>"
+SCHEMA = "record_id string, type string, concurrent_to array<string>, refers_to string, uri string, payload_bytes long, payload_digest string, intact boolean, fields map<string,string>, http string, payload binary"
 
 
-def read(spark: SparkSession, path: str) -> DataFrame:
+def read(spark: SparkSession, path: str, content: bool = True) -> DataFrame:
     """One row per record of the archives below `path` (plain or gzip). payload_* are of what was read; for a revisit, the
-    digest is the one it states. intact: the payload has the digest that its header states."""
+    digest is the one it states. intact: the payload has the digest that its header states. With content, http has the head of a
+    request, response or revisit and payload the body of a response; without, both are null and no body travels."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
@@ -100,11 +104,11 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     def run(batches):
         target = to_arrow_schema(schema)
         for batch in batches:
-            for content in batch.column(0):
-                raw = pa.BufferReader(content.as_buffer())
+            for archive in batch.column(0):
+                raw = pa.BufferReader(archive.as_buffer())
                 zipped = raw.read(2) == b"\x1f\x8b"
                 raw.seek(0)
-                rows = []
+                rows, held = [], 0
                 for h, block in records(io.BufferedReader(gzip.GzipFile(fileobj=raw), 1 << 20) if zipped else io.BufferedReader(raw)):
                     kind = h.get("warc-type")
                     head, gap, payload = block.partition(b"\r\n\r\n") if "http" in h.get("content-type", "") else (b"", b"", block)
@@ -114,10 +118,12 @@ def read(spark: SparkSession, path: str) -> DataFrame:
                         "record_id": "".join(ids.findall(h.get("warc-record-id", ""))), "type": kind, "concurrent_to": ids.findall(h.get("warc-concurrent-to", "")), "refers_to": next(iter(ids.findall(h.get("warc-refers-to", ""))), None), "uri": h.get("warc-target-uri"),
                         "payload_bytes": len(payload) if kind != "revisit" else None, "payload_digest": found or stated, "intact": found == stated if found and stated else None,
                         "fields": [tuple(x.strip() for x in y.split(":", 1)) for y in block.decode("utf-8", "replace").split("\r\n") if ":" in y] if kind == "metadata" else None,
+                        "http": head.decode("utf-8", "replace") if content and gap else None, "payload": payload if content and kind == "response" else None,
                     })
-                    if len(rows) >= 5000:
+                    held += len(block)
+                    if len(rows) >= 5000 or held > 32 << 20:
                         yield pa.RecordBatch.from_pylist(rows, target)
-                        rows = []
+                        rows, held = [], 0
                 if rows:
                     yield pa.RecordBatch.from_pylist(rows, target)
 
@@ -130,9 +136,11 @@ def assemble(found: DataFrame) -> DataFrame:
 
     A link may be stated on either side. Of several requests or metadata records of one capture the one with the smallest id
     stays; a capture without any has null there. A revisit gets payload size and digest of the response it refers to; if that
-    isn't in the archives, size is null and the digest the stated one. Repeated records give repeated rows.
+    isn't in the archives, size is null and the digest the stated one. Repeated records give repeated rows. http and payload are the
+    capture's own (a revisit's text is its response's: join on refers_id); rows whose metadata names no page have a null page_id,
+    and pages written with a null id come back so; two rows written with one page_id and one payload are both responses.
     """
-    own = F.struct("record_id", "uri", "fields")
+    own = F.struct("record_id", "uri", "fields", "http")
     stated = found.select("record_id", "type", own.alias("own"), F.explode("concurrent_to").alias("to"))
     back = found.filter(F.col("type").isin("response", "revisit")).select(F.col("record_id").alias("center"), F.explode("concurrent_to").alias("other"))
     others = found.filter(F.col("type").isin("request", "metadata"))
@@ -141,13 +149,13 @@ def assemble(found: DataFrame) -> DataFrame:
     least = lambda kind: F.min_by(F.when(F.col("type") == kind, F.col("own")), F.when(F.col("type") == kind, F.col("own.record_id")))
     sides = links.groupBy("center").agg(least("request").alias("request"), least("metadata").alias("metadata"))
     captures = found.filter(F.col("type").isin("response", "revisit")).join(sides, F.col("record_id") == F.col("center"), "left")
-    captures = captures.select("record_id", "type", "refers_to", "uri", "payload_bytes", "payload_digest", "intact", "request", "metadata", F.try_element_at("metadata.fields", F.lit("page-id")).cast("long").alias("page_id"))
+    captures = captures.select("record_id", "type", "refers_to", "uri", "payload_bytes", "payload_digest", "intact", "request", "metadata", "http", "payload", F.try_element_at("metadata.fields", F.lit("page-id")).cast("long").alias("page_id"))
     response = captures.filter("type = 'response'").dropDuplicates(["record_id"]).select(F.col("record_id").alias("first_id"), F.struct("page_id", "payload_bytes", "payload_digest").alias("first"))
     # Responses refer to nothing; in the join they would all meet under null.
     own = captures.filter("type = 'response'").withColumns({"first_id": F.lit(None).cast("string"), "first": F.lit(None).cast("struct<page_id:long,payload_bytes:long,payload_digest:string>")})
     joined = captures.filter("type = 'revisit'").join(response, F.col("refers_to") == F.col("first_id"), "left").unionByName(own)
     return joined.select(
-        "page_id", "record_id", F.col("type").alias("record_type"), "uri", "intact", "request", "metadata",
+        "page_id", "record_id", F.col("type").alias("record_type"), "uri", "intact", "request", "metadata", "http", "payload", F.col("refers_to").alias("refers_id"),
         F.coalesce("payload_bytes", "first.payload_bytes").alias("payload_bytes"), F.coalesce("first.payload_digest", "payload_digest").alias("payload_digest"), F.col("first.page_id").alias("refers_to"),
     )
 
@@ -155,7 +163,7 @@ def assemble(found: DataFrame) -> DataFrame:
 def op6_warc_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = scratch_path(spark, "warc")
     write(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url", "html"), path)
-    found = written(read(spark, path), "warc-records")
+    found = written(read(spark, path, content=False), "warc-records")
     return assemble(found).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 

@@ -47,6 +47,14 @@ def test_secrets_found_and_allowed(spark):
     assert found[7].n_assign == 1
 
 
+def test_secrets_beside_other_spans(spark):
+    secret = "Zx81mQp7Lw3vTn5RkB2yHs9d"
+    texts = [f"deadbeefdeadbeefdeadbeef01/{secret} x", f"a/example/{secret}", f"{secret}_token=abcdef", "a/example/of-a-path/that-goes-on/and-on"]
+    found = {r.doc_id: r for r in secrets.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert all(secret[2:-2] not in found[i].redacted for i in range(3)) and found[3].spans == ""
+    assert found[0].n_hex == 1 and found[0].n_entropy == 1 and found[2].n_assign == 1 and found[2].n_entropy == 1
+
+
 def test_entropy_by_increments():
     rng = np.random.default_rng(1)
     for _ in range(30):
@@ -78,8 +86,8 @@ def test_decontaminate(spark, docs, none):
             assert 0 <= s.start < s.end <= len(r.text)
     assert decontaminate.scan(none, bench).count() == 0
     assert decontaminate.clean(docs, bench.filter("item_id = 3")).count() == len(ROWS)
-    with pytest.raises(ValueError):
-        decontaminate.scan(docs, bench, max_bytes=3)
+    whole, parts = ({(r.doc_id, r.n_hit, tuple(r["items"]), tuple(r.spans)) for r in decontaminate.scan(docs.withColumnRenamed("score", "hit_words"), bench, max_bytes=n).collect()} for n in (10**6, 30))
+    assert whole == parts
 
 
 def test_jaccard(docs, none):
@@ -152,6 +160,8 @@ def test_warc(spark):
     path = scratch_path(spark, "warc-test")
     warc.write(spark.createDataFrame(rows, "page_id long, url string, html string").repartition(2), path)
     got = warc.assemble(warc.read(spark, path)).collect()
+    assert all(r.payload.decode() == next(h or "" for p, _, h in rows if p == r.page_id) for r in got if r.record_type == "response") and all(r.http.startswith("HTTP/1.1 200") and r.request.http.startswith("GET ") for r in got)
+    assert all(r.payload is None and r.http is None for r in warc.assemble(warc.read(spark, path, content=False)).collect())
     assert len(got) == len(rows) and all(r.request and r.metadata and r.intact in (True, None) for r in got)
     for r in got:
         html = next(h or "" for p, _, h in rows if p == r.page_id)
