@@ -9,9 +9,10 @@ Documents are dealt into chunks. A chunk tells each bucket its distinct words an
 documents; the bucket, which hears all chunks, adds up, makes its segment and answers with counts and levels in the order of asking, and
 the chunk's documents meet the answers: an n-gram goes over the network once per chunk.
 
-The model: p(w | v) = a * c(vw) / c(v) + (1 - a) * p1(w), with counts rounded to levels, p1 the base's formula on them and a by
-size of c(v), fitted by expectation maximisation over all training tokens with each token's own count taken out. A token's
-share depends only on its three levels, so a table of how many tokens have which levels says as much as the tokens themselves.
+The model: p(w | v) = max(c(vw) - D, 0) / c(v) + l * p1(w), with counts rounded to levels, p1 the base's formula on them, the
+discount D = n1 / (n1 + 2 n2), 0.9 at most, from the numbers of pairs seen once and twice, and l by size of c(v): the share that discounting
+sets free there. The discount is what tells a text that the corpus holds once, itself, from one that it holds again. A token's share
+depends only on its three levels, so a table of how many tokens have which levels says as much as the tokens themselves.
 """
 
 from __future__ import annotations
@@ -36,6 +37,8 @@ LOAD, CLASSES = 0.35, 12
 #: Bytes of a hash that are sent: of a word all, of a pair so many below its bucket's bits.
 WORD, PAIR = 8, 5
 ADD = 0.1
+#: Where hardly a pair is seen twice, one seen once still counts for something.
+MOST_DISCOUNT = 0.9
 END, BEGIN = np.uint64(0x3C5A9D1E7F208B46), np.uint64(0x71E2C8A4D63B05F9)
 LEVELS = 128
 #: Stands in for the level of END and BEGIN, whose count is the number of documents.
@@ -122,26 +125,28 @@ class Model:
 
     def __init__(self, total: int, distinct: int, documents: int):
         self.total, self.distinct, self.documents = total, distinct, documents
+        self.discount, self.freed = 0.5, np.ones(CLASSES)
 
-    def parts(self, before: np.ndarray, own: np.ndarray, both: np.ndarray, less: float = 0.0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """From levels: p1 of a token, its share among the followers of the one before, and the class of that one. less: taken off."""
+    def parts(self, before: np.ndarray, own: np.ndarray, both: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """From levels: p1 of a token, the counts of its pair and of the one before, and the class of that one."""
         value = np.append(MEANS, float(self.documents))
-        c_before, c_own, c2 = value[before], value[own], np.maximum(value[both] - less, 0)
-        p1 = (np.maximum(c_own - less, 0) + ADD) / (self.total + ADD * (self.distinct + 1))
-        kind = np.minimum(np.log2(np.maximum(c_before, 1)).astype(np.int64) // 2, CLASSES - 1)
-        return p1, np.minimum(c2 / np.maximum(c_before - less, 1), 1.0), kind
-
-    def fit(self, cells: np.ndarray, n: np.ndarray) -> np.ndarray:
-        """Weights from how many training tokens (n) have which levels (cells, as cell() makes them)."""
-        weights = np.zeros(CLASSES)
-        p1, p2, kind = self.parts(cells >> 16, cells >> 8 & 255, cells & 255, 1.0)
-        for k in range(CLASSES):
-            x, y, m = p1[kind == k], p2[kind == k], n[kind == k]
-            a = 0.3
-            for _ in range(30 if len(m) else 0):
-                a = float(np.average(a * y / (a * y + (1 - a) * x), weights=m))
-            weights[k] = min(a, 0.999) if len(m) else 0.0
-        return weights
+        c_before = np.maximum(value[before], 1)
+        p1 = (value[own] + ADD) / (self.total + ADD * (self.distinct + 1))
+        return p1, value[both], c_before, np.minimum(np.log2(c_before).astype(np.int64) // 2, CLASSES - 1)
+
+    def fit(self, cells: np.ndarray, n: np.ndarray) -> None:
+        """Discount and freed shares from how many training tokens (n) have which levels (cells, as cell() makes them)."""
+        _, c2, _, kind = self.parts(cells >> 16, cells >> 8 & 255, cells & 255)
+        pairs = n / np.maximum(c2, 1)  # each distinct pair stands in as many tokens as its count
+        once, twice = (float(pairs[(cells & 255) == q].sum()) for q in (1, TWICE))
+        self.discount = min(once / (once + 2 * twice), MOST_DISCOUNT) if once else 0.5
+        tokens = np.bincount(kind, n, CLASSES)
+        self.freed = np.where(tokens > 0, self.discount * np.bincount(kind, pairs, CLASSES) / np.maximum(tokens, 1), 1.0)
+
+    def log10(self, cells: np.ndarray) -> np.ndarray:
+        """log10 probability of tokens with these levels."""
+        p1, c2, c_before, kind = self.parts(cells >> 16, cells >> 8 & 255, cells & 255)
+        return np.log10(np.minimum(np.maximum(c2 - self.discount, 0) / c_before, 1.0) + self.freed[kind] * p1)
 
 
 def cell(n: np.ndarray, own: pa.Array, both: pa.Array) -> np.ndarray:
@@ -252,16 +257,13 @@ def score(docs: DataFrame, train: str = "train") -> DataFrame:
     total, distinct, documents = (int(x or 0) for x in known)
     model = Model(total, distinct, documents)
     cells = measured.filter("learned").select("n_tokens", "own", "both").mapInArrow(tally, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
-    weights = model.fit(cells.column("cell").to_numpy(), cells.column("n").to_numpy())
-    log_all, parts = math.log10(total + ADD * (distinct + 1)), model.parts
+    model.fit(cells.column("cell").to_numpy(), cells.column("n").to_numpy())
+    log_all = math.log10(total + ADD * (distinct + 1))
 
     def log10(batches):
         for batch in small(batches, 2):
             n = batch.column(2).to_numpy()
-            cells = cell(n, *batch.columns[5:])
-            p1, p2, kind = parts(cells >> 16, cells >> 8 & 255, cells & 255)
-            a = weights[kind]
-            sums = np.bincount(np.repeat(np.arange(len(n)), n), np.log10(a * p2 + (1 - a) * p1), len(n))
+            sums = np.bincount(np.repeat(np.arange(len(n)), n), model.log10(cell(n, *batch.columns[5:])), len(n))
             yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(sums, pa.float64())], names=["one", "two", "n_tokens", "n_known", "base", "score"])
 
     sums = (

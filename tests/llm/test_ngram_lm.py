@@ -38,26 +38,31 @@ def test_scores_against_exact_counts(spark):
         return np.array(out)
 
     numbers = Counter(c for i, _, train, *_ in rows if train for c in cells(i).tolist())
-    weights = model.fit(np.array(list(numbers)), np.array(list(numbers.values())))
+    model.fit(np.array(list(numbers)), np.array(list(numbers.values())))
+    once, twice = (sum(c == k for c in pairs.values()) for k in (1, 2))
+    assert model.discount == pytest.approx(min(once / (once + 2 * twice), ngram_lm.MOST_DISCOUNT))
     raised = []
     for i, r in found.items():
-        p1, p2, kind = model.parts(*(cells(i) >> s & 255 for s in (16, 8, 0)))
-        expected = float(np.log10(weights[kind] * p2 + (1 - weights[kind]) * p1).sum())
-        raised.append(r.score - expected)
+        raised.append(r.score - float(model.log10(cells(i)).sum()))
         assert r.one == "x" and r["a.b"] == "y"
         assert r.n_known == sum(uni[w] > 0 for w in own[i]) and r.train_tokens == model.total
         assert r.base_score == pytest.approx(sum(math.log10((uni[w] + 0.1) / (model.total + 0.1 * (len(uni) + 1))) for w in own[i]), abs=1e-6)
     # A false level raises a pair's share by half or so; a pair never seen that seems to be costs more, once in thousands.
-    assert min(raised) > -0.3 and np.mean(raised) < 0.6 and np.quantile(raised, 0.95) < 2
+    assert min(raised) > -0.5 and np.mean(raised) < 0.6 and np.quantile(raised, 0.95) < 2
 
 
 def test_documents_that_occur_twice(spark):
-    """Over what the base says, texts that have an exact copy score higher per token than those that have none."""
+    """Over what the base says, texts that have an exact copy score higher per token than those that have no near copy."""
+    from navgraph.llm import jaccard
+
     sf = "/root/testdata/sf0.01"
-    texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
-    n = Counter(texts.values())
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    n = Counter(r.text for r in docs.collect())
+    near = {r.doc_id: r.n_links for r in jaccard.near_groups(docs).collect()}
+    texts = {r.doc_id: r.text for r in docs.collect()}
     rows = ngram_lm.op5_lm_scoring(spark, sf).filter("n_tokens > 30").select("doc_id", "held_out", ((F.col("score") - F.col("base_score")) / F.col("n_tokens")).alias("more")).collect()
-    twice, once = (np.array([r.more for r in rows if (n[texts[r.doc_id]] > 1) == k]) for k in (True, False))
-    above = np.mean(twice[:, None] > once[None, :])
-    print(f"{len(twice)} copied, {len(once)} single documents: a copied one scores higher in {above:.3f} of the pairs; at the single ones' 0.9 quantile {np.mean(twice > np.quantile(once, 0.9)):.3f} of the copied")
-    assert above > 0.8
+    for held in (True, False):
+        twice, once = (np.array([r.more for r in rows if r.held_out == held and k(r.doc_id)]) for k in (lambda i: n[texts[i]] > 1, lambda i: near[i] == 0))
+        above = np.mean(twice[:, None] > once[None, :])
+        print(f"held out {held}: {len(twice)} copied, {len(once)} single documents: a copied one scores higher in {above:.3f} of the pairs; above the single ones' 0.9 quantile are {np.mean(twice > np.quantile(once, 0.9)):.3f} of the copied")
+        assert above > (0.9 if held else 0.65)
