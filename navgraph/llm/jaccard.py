@@ -358,7 +358,8 @@ def near_groups(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) ->
     least = components(found.filter("set IS NULL").select("a", "b")).withColumnRenamed("component", "least")
     partners = found.filter("set IS NOT NULL").groupBy("set").agg(F.sum("partners").alias("partners"))
     known = nodes.select("set", "node", "copies").join(least, "node", "left").join(partners, "set", "left")
-    known = known.select("set", F.coalesce("least", "node").alias("least"), (F.col("copies") - 1 + F.coalesce("partners", F.lit(0))).alias("links"))
+    # Written, so that the join with the documents stands on plain exchanges: Spark deals out a set that very many documents have.
+    known = written(known.select("set", F.coalesce("least", "node").alias("least"), (F.col("copies") - 1 + F.coalesce("partners", F.lit(0))).alias("links")), "shingle-groups")
     done = sets.filter("set IS NOT NULL").select("id", "n", "set").join(known, "set").select("id", "n", "least", "links")
     done = done.unionByName(sets.filter("set IS NULL").select("id", "n", F.col("id").alias("least"), F.lit(0).cast("long").alias("links")))
     return done.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("least").alias("component_id"), F.col("links").alias("n_links"))
