@@ -21,3 +21,14 @@ def test_zero_keeps_its_sign(spark, tmp_path):
     for name in ("op_centroid", "op_centroid_aggregate"):
         got, wanted = against_sql(spark, name, tmp_path, "embeddings")
         assert got == wanted and "-0.0" in got[0], name
+
+
+def test_lateral_join_ranks_within_customers(spark, tmp_path):
+    spark.createDataFrame([(1,), (1,), (2,), (3,)], "c_custkey long").write.parquet(f"{tmp_path}/customer.parquet")
+    orders = [(10 + i, 1, float(i % 5)) for i in range(40)] + [(90, 2, None), (91, 2, 5.0), (92, 2, 5.0), (93, 4, 1.0)]
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, o_totalprice double").write.parquet(f"{tmp_path}/orders.parquet")
+    got, wanted = against_sql(spark, "op_join_lateral", tmp_path, "orders", "customer")
+    assert got == wanted and len(got) == 4
+    # No sort over all customers' orders may stand before the exchange that deals them out.
+    plan = entry.queries()["op_join_lateral"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
+    assert "rangepartitioning" not in plan
