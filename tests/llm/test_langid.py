@@ -57,3 +57,25 @@ def test_accuracy_on_held_out_documents(spark):
     right = np.mean([r.lang == r.lang_pred for r in rows])
     print(f"{len(rows)} held-out documents, accuracy {right:.4f}")
     assert len(rows) > 300 and right >= 0.99
+
+
+def test_inference_in_place_gives_what_training_sees():
+    net, rng = langid.Network(["a", "b", "c"]), np.random.default_rng(3)
+    x = rng.integers(0, 256, (50, 9)).astype(np.int16)
+    x[31:, 2], x[:, 5], x[7:, 8] = langid.NONE, langid.NONE, langid.NONE
+    mask = x < langid.NONE
+    logits = net._logits(net._states(x, mask.astype(np.float32)))
+    wanted = logits - np.log(np.exp(logits).sum(1, keepdims=True))
+    assert np.abs((net.log_probabilities(x) - wanted) * mask[:, None]).max() < 1e-5
+
+
+def test_inference_holds_no_states():
+    import tracemalloc
+
+    net, x = langid.Network(["a", "b", "c", "d"]), np.zeros((langid.RUN, langid.TOGETHER), np.int16)
+    tracemalloc.start()
+    net.log_probabilities(x)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    states = 4 * (langid.RUN + 1) * 2 * (net.n + net.e + 1) * langid.TOGETHER
+    assert most < 0.5 * states
