@@ -32,3 +32,12 @@ def test_lateral_join_ranks_within_customers(spark, tmp_path):
     # No sort over all customers' orders may stand before the exchange that deals them out.
     plan = entry.queries()["op_join_lateral"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
     assert "rangepartitioning" not in plan
+
+
+def test_layers_and_choices_follow_the_tables(spark, tmp_path):
+    for n, path in ((5, tmp_path / "few"), (300, tmp_path / "many")):
+        spark.createDataFrame([(i, [1.0] if i % 3 else None) for i in range(n)], "vec_id long, embedding array<float>").write.parquet(f"{path}/embeddings.parquet")
+        spark.range(n * 40).selectExpr("'R' AS l_returnflag", "CAST(id % 2 AS INT) AS l_linenumber").write.parquet(f"{path}/lineitem.parquet")
+        for name, table in (("op_recursive_layers", "embeddings"), ("planner_choices", "lineitem")):
+            got, wanted = against_sql(spark, name, path, table)
+            assert got == wanted and len(got) == {5: {"op_recursive_layers": 1, "planner_choices": 3}, 300: {"op_recursive_layers": 4, "planner_choices": 3}}[n][name], got
