@@ -41,3 +41,16 @@ def test_layers_and_choices_follow_the_tables(spark, tmp_path):
         for name, table in (("op_recursive_layers", "embeddings"), ("planner_choices", "lineitem")):
             got, wanted = against_sql(spark, name, path, table)
             assert got == wanted and len(got) == {5: {"op_recursive_layers": 1, "planner_choices": 3}, 300: {"op_recursive_layers": 4, "planner_choices": 3}}[n][name], got
+
+
+def test_interval_join_meets_spans_only(spark, tmp_path):
+    minutes = [0, 1, 119, 120, 121, 239, 240, 241, 360, 1439, 1440, 1559, 1560]
+    rows = [(10 * i + k, m, ("view", "error")[k > 4]) for i, m in enumerate(minutes) for k in (3, 4, 5, 9)] + [(1000 + 10 * i + 3, m, "error") for i, m in enumerate(minutes)]
+    events = spark.createDataFrame(rows, "event_id long, m int, event_type string")
+    for kind in ("timestamp", "timestamp_ntz"):
+        path = tmp_path / kind
+        events.selectExpr("event_id", f"CAST(TIMESTAMP '2024-01-01 00:00:00' + make_interval(0, 0, 0, 0, 0, m) AS {kind}) AS ts", "event_type").write.parquet(f"{path}/events.parquet")
+        got, wanted = against_sql(spark, "op_join_interval", path, "events")
+        assert got == wanted and len(got) > len(minutes)
+        plan = entry.queries()["op_join_interval"](spark, str(path))._jdf.queryExecution().optimizedPlan().toString()
+        assert "s#" in plan.split("Join Inner")[1].split("\n")[0]
