@@ -167,3 +167,37 @@ def test_shape_of_the_claims():
     assert total["mutual_gamma"][1] <= total["native"][1] + 4
     t = run_churn(x, "full_coverage", "mutual_gamma", 8, 0, 4, 8, 40, tau=200)
     assert [r["value"] for r in t if r["metric"] == "unreachable_with_backup" and r["iter"] in (3, 7)] == [0.0, 0.0]
+
+
+def test_a_beam_as_wide_as_the_graph_is_a_walk():
+    rng = np.random.default_rng(11)
+    x = np.round(rng.standard_normal((300, 4)), 1)
+    g = GraphKernel(4, 3, 4, 12)
+    for i, v in enumerate(x):
+        g.insert(i, v)
+    for i in range(0, 300, 9):
+        g.mark_deleted(i)
+    for i in range(0, 300, 27):
+        g.replace_update(1000 + i, x[i] + 0.1, "native")
+    for kept in (None, []):
+        g.walks = kept
+        for q in rng.standard_normal((40, 4)):
+            start = g.descend(q, 0)
+            seen = g.reached(start[0])
+            wanted = sorted((float(d), s) for d, s in zip(np.sqrt(((g.vec[sorted(seen)] - q) ** 2).sum(1)), sorted(seen), strict=True) if s not in g.marked)[:7]
+            before = g.count["search"]
+            got = g.knn(q, 7, 100_000)
+            assert [s for _, s in got] == [s for _, s in wanted] and g.count["search"] - before >= len(seen)
+    assert len(g.walks) < 40
+
+
+def test_exhaustive_searches_share_their_walk():
+    rng, calls = np.random.default_rng(12), []
+    g = GraphKernel(4, 4, 8, 40)
+    for i, v in enumerate(rng.standard_normal((400, 4))):
+        g.insert(i, v)
+    g.walks = []
+    for q in rng.standard_normal((50, 4)):
+        g.knn(q, 5, 1000)
+        calls.append(len(g.walks))
+    assert calls[-1] <= 3
