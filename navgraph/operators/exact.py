@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from navgraph.functions.vectors import METRICS, l2, l2_sq
+from navgraph.functions.vectors import METRICS, l2
 from navgraph.session import ship
 
 #: Numbers of all queries' vectors together that are sent to every task at most (8 bytes each); more are dealt out in blocks.
@@ -118,12 +118,51 @@ def edges(lists: DataFrame) -> DataFrame:
     return lists.select("src", F.posexplode("nbrs").alias("place", "dst"))
 
 
-def radius(points: DataFrame, r: float) -> DataFrame:
-    """a < b with distance of at most r."""
-    a = points.select(F.col("label").alias("a"), F.col("vec").cast("array<double>").alias("av"))
-    b = points.select(F.col("label").alias("query_id"), F.col("vec").cast("array<double>").alias("bv"))
-    near = pairs(a, b).filter("a < query_id").select("a", F.col("query_id").alias("b"), l2_sq(F.col("av"), F.col("bv")).alias("d2"))
-    return near.filter(F.sqrt("d2") <= r).select("a", "b", F.sqrt("d2").alias("dist"))
+def radius(points: DataFrame, r: float, rows: int = ROWS) -> DataFrame:
+    """a < b with distance of at most r.
+
+    Points are dealt by hash into blocks of about `rows`, and every two blocks meet in one task's matrix product, which leaves pairs
+    near enough but for rounding; their distances are then taken exactly. Null vectors, and pairs of different lengths, have no distance.
+    """
+    ship(points.sparkSession)
+    p = points.select(F.col("label").cast("long").alias("label"), F.col("vec").cast("array<double>").alias("vec")).filter("label IS NOT NULL AND vec IS NOT NULL")
+    n = p.count()
+    blocks = max(1, -(-n // rows))
+    p = p.withColumn("block", F.pmod(F.xxhash64("label"), F.lit(blocks)).cast("int"))
+    # Block i meets block j where i <= j; a row goes to all pairs of which its block is one.
+    pair = lambda i, j: F.struct(F.least(i, j).alias("i"), F.greatest(i, j).alias("j"))
+    dealt = p.withColumn("pair", F.explode(F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), lambda j: pair(F.col("block"), j)))).select("pair.i", "pair.j", "block", "label", "vec")
+
+    def meet(key, table):
+        i, j = (k.as_py() for k in key)
+        block, size = table.column("block").to_numpy(), table.column("vec").combine_chunks().value_lengths().to_numpy()
+        found = []
+        for length in np.unique(size):
+            own = table.filter(pa.array(size == length))
+            labels, x, at = own.column("label").to_numpy(), own.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(own), -1), block[size == length]
+            one, two = np.flatnonzero(at == i), np.flatnonzero(at == j)
+            norm = (x * x).sum(1)
+            for k in range(0, len(one), ASKED):
+                few = one[k : k + ASKED]
+                with np.errstate(all="ignore"):
+                    apart2 = norm[few][:, None] + norm[two] - 2 * (x[few] @ x[two].T)
+                    slack = 1e-9 * (norm[few][:, None] + norm[two] + r * r)
+                # Not above it, so that what has no number is looked at again.
+                u, v = np.nonzero(~(apart2 > r * r + slack))
+                u, v = few[u], two[v]
+                low, high = np.where(labels[u] < labels[v], u, v), np.where(labels[u] < labels[v], v, u)
+                good = (labels[low] < labels[high]) & ((u < v) if i == j else True)
+                low, high = low[good], high[good]
+                for c in range(0, len(low), 1 << 16):
+                    l, h = low[c : c + (1 << 16)], high[c : c + (1 << 16)]  # noqa: E741
+                    with np.errstate(all="ignore"):
+                        d = apart(x[l], x[h], "l2")
+                    near = d <= r
+                    found.append((labels[l][near], labels[h][near], d[near]))
+        parts = [np.concatenate(c) if found else np.zeros(0) for c in (zip(*found, strict=True) if found else [()] * 3)]
+        return pa.table({"a": pa.array(parts[0], pa.int64(), from_pandas=False), "b": pa.array(parts[1], pa.int64()), "dist": pa.array(parts[2], pa.float64())})
+
+    return dealt.groupBy("i", "j").applyInArrow(meet, "a long, b long, dist double")
 
 
 __all__ = ["edges", "knn", "knn_graph", "l2", "pairs", "radius", "ranked"]

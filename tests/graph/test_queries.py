@@ -54,3 +54,20 @@ def test_interval_join_meets_spans_only(spark, tmp_path):
         assert got == wanted and len(got) > len(minutes)
         plan = entry.queries()["op_join_interval"](spark, str(path))._jdf.queryExecution().optimizedPlan().toString()
         assert "s#" in plan.split("Join Inner")[1].split("\n")[0]
+
+
+def test_radius_by_blocks(spark):
+    import numpy as np
+
+    from navgraph.operators import exact
+
+    rng = np.random.default_rng(4)
+    x = np.round(rng.standard_normal((120, 3)), 1)
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(500, x[0].tolist()), (501, None), (502, [float("nan"), 0.0, 0.0]), (503, [0.5, 0.5])]
+    points = spark.createDataFrame(rows, "label long, vec array<double>")
+    wanted = sorted((i, j, round(float(np.sqrt(((x[i % 500] - x[j % 500]) ** 2).sum())), 9)) for i in [*range(120), 500] for j in [*range(120), 500] if i < j and np.sqrt(((x[i % 500] - x[j % 500]) ** 2).sum()) <= 0.5)
+    for rows in (4096, 17):
+        got = exact.radius(points, 0.5, rows)
+        assert sorted((p.a, p.b, round(p.dist, 9)) for p in got.collect()) == wanted and (0, 500) in {(a, b) for a, b, _ in wanted}
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoopJoin" not in plan and "CartesianProduct" not in plan
