@@ -137,3 +137,11 @@ def test_moving_between_shards_by_space(spark, points):
     changed = index.apply_log(i, spark.createDataFrame([(0, "upsert", 0, x[other][0])], LOG), pivots=pivots)
     live = {r.label: r.shard for r in changed.filter("deleted_seq IS NULL").collect()}
     assert len(live) == 90 and live[0] == x[other][1]
+
+
+def test_one_search_for_several_numbers_of_shards(points):
+    i = index.build(index.by_space(points, index.pivots_of(points, 4)), PARAMS, 4)
+    q = points.filter("label < 20").selectExpr("label AS query_id", "vec")
+    rows = lambda f: sorted((r.query_id, r["rank"], r.label, r.dist) for r in f.collect())
+    found = index.knn_by_probes(i, q, 5, 60, (1, 2, 4))
+    assert all(rows(found[n]) == rows(index.knn(i, q, 5, 60, n)) for n in found) and len({str(rows(f)) for f in found.values()}) > 1
