@@ -38,3 +38,24 @@ def test_shards_and_doubles_and_no_points(spark):
     of = lambda p: {(r.strategy, r.iter, r.metric): r.value for r in experiments.churn(p, "full_coverage", 3, m=3, ef=8, shards=2).collect() if "seconds" not in r.metric}
     assert of(floats) == pytest.approx(of(doubles)) and of(floats)["native", 2, "live"] == 90
     assert not experiments.churn(floats.filter("label IS NULL"), "random", 3, m=3, ef=8).collect()
+
+
+def test_hashed_documents_by_plain_arithmetic(spark, tmp_path):
+    """Repeated and null ids, null and empty texts, words of several bytes; no word is a row of its own."""
+    import hashlib
+
+    from navgraph.sources import vectors as sources
+
+    rows = [(1, "a b"), (1, "b c b"), (None, "x"), (2, None), (3, ""), (4, "  é ü\n x  "), (None, "y z"), (5, "w w w")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    wanted = {}
+    for label, text in rows:
+        for w in (text or "").split(" "):
+            h = hashlib.md5(w.encode()).hexdigest()
+            wanted.setdefault(label, np.zeros(16))[int(h[:8], 16) % 16] += -1 if int(h[8], 16) % 2 else 1
+    found = sources.hashed_documents(spark, str(tmp_path), 16)
+    assert "Generate" not in found._jdf.queryExecution().executedPlan().toString()
+    got = {r.label: np.float32(r.vec) for r in found.collect()}
+    assert got.keys() == wanted.keys()
+    for label, v in wanted.items():
+        assert (got[label] == np.float32(v / np.sqrt((v * v).sum()) if v.any() else v)).all()
