@@ -58,7 +58,7 @@ def replay(spark: SparkSession, sf_dir: str, params: GraphParams, files: int = 8
     for start in range(first, last + 1, step):  # a file stream takes files by their age
         src.filter(F.col("event_id").between(start, start + step - 1)).coalesce(1).write.mode("append").parquet(path)
     p = written(sources.embeddings(spark, sf_dir), "points")
-    index = MaintainedIndex(written(ix.build(p, params, 4), "index"), params, policy=RebuildPolicy(200))
+    index = MaintainedIndex(written(ix.build(p, params, 4, compiled=True), "index"), params, policy=RebuildPolicy(200))
     maintain(as_log(events(spark, path), p, p.count()), index, scratch_path(spark, "stream")).awaitTermination()
     return ix.live(index.index)
 

@@ -59,3 +59,41 @@ def test_hashed_documents_by_plain_arithmetic(spark, tmp_path):
     assert got.keys() == wanted.keys()
     for label, v in wanted.items():
         assert (got[label] == np.float32(v / np.sqrt((v * v).sum()) if v.any() else v)).all()
+
+
+def test_shards_in_the_jvm_have_the_rows_of_the_kernel(spark):
+    """Build, logs that delete, unmark, insert, upsert and bring new labels, and what is found: row by row."""
+    from navgraph.operators import index as ix
+
+    x, params, rng = points(160, 9), ix.GraphParams(3, 5, 12), np.random.default_rng(6)
+    p = spark.createDataFrame([(k, v.tolist(), 0) for k, v in x.items()] + [(-50, x[6].tolist(), 1)], "label long, vec array<float>, version long").repartition(5)
+    rows = lambda df: sorted(repr(tuple(sorted(c.items()) if isinstance(c, dict) else c for c in r)) for r in df.collect())
+    plain, made = ix.build(p, params, 3).cache(), ix.build(p, params, 3, compiled=True)
+    assert "ArrowPython" not in (plan := made._jdf.queryExecution().executedPlan().toString()) and "InArrow" not in plan
+    made = made.cache()
+    assert rows(plain) == rows(made) and len(rows(made)) == 160
+    labels, seq = [*x, 5000, 5001], 10
+    for strategy in ("native", "mutual_gamma", *STRATEGIES):
+        log = []
+        for label in rng.choice(labels, 70, replace=False).tolist():
+            for op in rng.choice(["delete", "unmark", "insert", "upsert"], rng.integers(1, 4)).tolist():
+                log.append((seq := seq + 1, op, label, None if op in ("delete", "unmark") else (rng.integers(-3, 4, 9) / 3).tolist()))
+        log = spark.createDataFrame(log, "seq long, op string, label long, vec array<float>").repartition(4)
+        for first in (False, True):
+            a, b = (ix.apply_log(i, log, strategy, 3, marks_first=first, params=params, compiled=c) for i, c in ((plain, False), (made, True)))
+            assert rows(a) == rows(b), (strategy, first)
+        plain, made = a.cache(), b.cache()
+        assert rows(ix.found_slots(plain)) == rows(ix.found_slots(made, True))
+    assert rows(ix.build_backup(plain, params, 3)) == rows(ix.build_backup(made, params, 3, True))
+
+
+def test_maintained_index_goes_in_the_jvm_where_it_can(spark):
+    from navgraph.operators import index as ix
+
+    p = spark.createDataFrame([(k, v.tolist(), 0) for k, v in points(40, 4).items()], "label long, vec array<float>, version long")
+    log = spark.createDataFrame([(1, "delete", -50, None), (2, "upsert", -43, [1.0] * 4), (3, "upsert", 999, [0.5] * 4)], "seq long, op string, label long, vec array<float>")
+    for metric in ("l2", "ip"):
+        params = ix.GraphParams(3, 6, 10, metric)
+        m = ix.MaintainedIndex(ix.build(p, params, 2), params, policy=ix.RebuildPolicy(1)).apply(log)
+        assert m.compiled == (metric == "l2") and m.backup is not None
+        assert {r.label for r in ix.live(m.index).collect()} == {*points(40, 4), 999} - {-50}
