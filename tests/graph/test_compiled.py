@@ -31,6 +31,29 @@ def test_runs_in_the_jvm_equal_those_of_the_kernel(spark, scenario, iters, size,
     assert got == pytest.approx(wanted, abs=1e-12) and len(got) > 100
 
 
+@pytest.mark.parametrize("scale", [1e-24, 1.0, 3e19])
+def test_distances_that_floats_cannot_tell(spark, scale):
+    """Distances apart by less than a float's rounding, whose squares run over or under in floats: decided as the kernel decides them."""
+    from pathlib import Path
+
+    from navgraph import jvm
+
+    loader = jvm._classes(spark)
+    assert loader.loadClass("navgraph.Near")
+    plain = spark._jvm.org.codehaus.janino.SimpleCompiler()  # what stands in for it compiles as well
+    plain.cook((Path(jvm.__file__).parent / "NearPlain.java").read_text())
+    rng = np.random.default_rng(8)
+    v = (1 + rng.integers(-3, 4, (120, 21)) * 2.0**-22) * np.where(rng.random((120, 21)) < 0.5, 1, -1) * rng.choice([1, 2], (120, 1)) * scale
+    v[100:] = v[:20]
+    x = dict(enumerate(v.astype(np.float32)))
+    p = spark.createDataFrame([(k, w.tolist()) for k, w in x.items()], "label long, vec array<float>")
+    own = {s: STRATEGIES[s] for s in ("native", "mutual_gamma")}
+    options = {"ask_ef": (4, 30), "recall_ef": (10,), "tau": 30}
+    got = {(r.strategy, r.iter, r.metric): r.value for r in experiments.churn(p, "random", 10, 12, m=3, m0=5, ef=12, strategies=own, **options).collect() if "seconds" not in r.metric}
+    wanted = {(r["strategy"], r["iter"], r["metric"]): r["value"] for s in own for r in experiments.run_churn({k: w.astype(float) for k, w in x.items()}, "random", s, 10, 12, 3, 5, 12, **options) if "seconds" not in r["metric"]}
+    assert got == pytest.approx(wanted, abs=1e-12) and len(got) > 100
+
+
 def test_shards_and_doubles_and_no_points(spark):
     x = points(90, 4)
     rows = [(k, [float(c) for c in v]) for k, v in x.items()]
