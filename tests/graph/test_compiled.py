@@ -120,3 +120,40 @@ def test_maintained_index_goes_in_the_jvm_where_it_can(spark):
         m = ix.MaintainedIndex(ix.build(p, params, 2), params, policy=ix.RebuildPolicy(1)).apply(log)
         assert m.compiled == (metric == "l2") and m.backup is not None
         assert {r.label for r in ix.live(m.index).collect()} == {*points(40, 4), 999} - {-50}
+
+
+def test_wide_searches_in_the_jvm_have_the_hits_of_the_kernel(spark):
+    """Beams narrower and wider than the shards, many equal vectors, marked points, a backup, and no floats."""
+    from navgraph.operators import index as ix
+
+    params, rng = ix.GraphParams(3, 5, 12), np.random.default_rng(1)
+    x = (rng.integers(-3, 4, (3000, 9)) / 3).astype(np.float32)
+    x[1500:1560], x[2000:2900, :6] = x[0], x[5, :6]
+    p = spark.createDataFrame([(7 * i - 50, v.tolist(), 0) for i, v in enumerate(x)], "label long, vec array<float>, version long")
+    q = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x[::60])], "query_id long, vec array<float>")
+    log = spark.createDataFrame([(i, "delete", 7 * i - 50, None) for i in range(0, 900, 2)], "seq long, op string, label long, vec array<float>")
+    built = ix.build(p, params, 2, compiled=True).cache()
+    marked = ix.apply_log(built, log, compiled=True).cache()
+    backup = ix.build_backup(marked, params, 2, compiled=True).cache()
+    of = lambda df: sorted(map(tuple, df.collect()))
+    for index in (built, marked):
+        for k, ef in ((10, 10), (10, 1200), (10, 100_000), (300, 1100)):
+            found = ix.search_hits(index, q, k, ef, compiled=True)
+            assert "InArrow" not in found._jdf.queryExecution().executedPlan().toString()
+            assert of(found) == of(ix.search_hits(index, q, k, ef)), (k, ef)
+    hits = ix.search_hits(marked, q, 10, 1200, compiled=True).cache()
+    assert of(ix.dual(marked, backup, q, 10, 1200, hits, compiled=True)) == of(ix.dual(marked, backup, q, 10, 1200))
+    assert of(ix.search_hits(marked, q.withColumn("vec", q["vec"].cast("array<double>")), 10, 50, compiled=True)) == of(ix.search_hits(marked, q, 10, 50, compiled=True))
+
+
+def test_searches_of_all_points_go_side_by_side(spark):
+    """Seconds are the threads' together, the pieces are each done once."""
+    from pathlib import Path
+
+    from navgraph import jvm
+
+    assert "Side" in jvm.SOURCES and "new Selves(" in (Path(jvm.__file__).parent / "Churn.java").read_text()
+    x = points(5000, 6)
+    p = spark.createDataFrame([(k, v.tolist()) for k, v in x.items()], "label long, vec array<float>")
+    t = {(r.iter, r.metric): r.value for r in experiments.churn(p, "random", 1, m=4, ef=10, strategies=("native",), ask_ef=(5, 5000)).collect()}
+    assert 0 < t[5, "self_recall"] <= t[5000, "self_recall"] <= 1 and t[5000, "search_seconds"] > t[5, "search_seconds"] > 0
